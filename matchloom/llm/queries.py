@@ -2,19 +2,51 @@
 
 from __future__ import annotations
 
+import os
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..catalog import load
-from .simhash import near_duplicates
+from . import bpe, simhash, toxicity
+
+
+def vocabulary(name: str) -> str:
+    """Path of a public vocabulary file; MATCHLOOM_TOKENIZERS overrides the folder."""
+    if folder := os.environ.get("MATCHLOOM_TOKENIZERS"):
+        return os.path.join(folder, name)
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def fold(n: int) -> Column:
+    """Remainder of the CRC-32 of the id as text; null ids have none."""
+    return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(n))
+
+
+def held_out(n: int, r: int) -> Column:
+    return F.coalesce(fold(n) == r, F.lit(False)).alias("held_out")
 
 
 def op2_simhash_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(load(spark, sf_dir, "documents"), shingle=4, radius=4)
+    return simhash.near_duplicates(load(spark, sf_dir, "documents"), shingle=4, radius=4)
+
+
+def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.encode_documents(load(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")
+    model = toxicity.train(docs, labels, learn=fold(3) != 1)
+    scored = toxicity.score_documents(docs, model)
+    return scored.select("doc_id", held_out(3, 1), "score", (F.col("score") >= toxicity.THRESHOLD).cast("int").alias("predicted"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_simhash_near_dup": op2_simhash_near_dup,
+    "op3_bpe_round_trip": op3_bpe_round_trip,
+    "op7_toxicity": op7_toxicity,
 }
 ORACLE_SQL: dict[str, str] = {}
