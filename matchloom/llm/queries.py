@@ -2,19 +2,16 @@
 
 from __future__ import annotations
 
-import os
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..catalog import load
-from . import bpe, simhash, toxicity
+from . import bpe, ppm, simhash, toxicity
 
 
 def vocabulary(name: str) -> str:
-    """Path of a public vocabulary file; MATCHLOOM_TOKENIZERS overrides the folder."""
-    if folder := os.environ.get("MATCHLOOM_TOKENIZERS"):
-        return os.path.join(folder, name)
+    """Path of a public vocabulary file."""
     import public_tokenizers
 
     return public_tokenizers.path(name)
@@ -37,6 +34,11 @@ def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(load(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op6_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = ppm.score_documents(load(spark, sf_dir, "documents"), fold(7) != 2)
+    return scored.select("doc_id", held_out(7, 2), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")
     model = toxicity.train(docs, labels, learn=fold(3) != 1)
@@ -47,6 +49,7 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_simhash_near_dup": op2_simhash_near_dup,
     "op3_bpe_round_trip": op3_bpe_round_trip,
+    "op6_lm_score": op6_lm_score,
     "op7_toxicity": op7_toxicity,
 }
 ORACLE_SQL: dict[str, str] = {}
