@@ -120,18 +120,18 @@ class PrefixEncoder:
     def ids(self, raw: bytes) -> list[int]:
         """Token ids of one pre-token."""
         n = len(raw)
-        last = [-1] * (n + 1)
-        ends: list[list[tuple[int, int]]] = [[] for _ in range(n + 1)]
-        for end, found in self.automaton.iter(raw.decode("latin-1")):
-            ends[end + 1].append(found)
-        fits = self.rules.fits
-        sizes = [0] * (n + 1)
-        for at in range(1, n + 1):
-            for length, token in sorted(ends[at], reverse=True):
-                start = at - length
-                if start == 0 or last[start] >= 0 and fits(last[start], token):
-                    last[at], sizes[at] = token, length
-                    break
+        last, sizes = [-1] * (n + 1), [0] * (n + 1)
+        known, fits = self.rules.known, self.rules.fits
+        for end, (length, token) in self.automaton.iter(raw.decode("latin-1")):
+            if last[end + 1] >= 0:
+                continue
+            start = end + 1 - length
+            if start:
+                before = last[start]
+                ok = known.get(before << 20 | token)
+                if not (fits(before, token) if ok is None else ok):
+                    continue
+            last[end + 1], sizes[end + 1] = token, length
         out = []
         while n > 0:
             out.append(last[n])

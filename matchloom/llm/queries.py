@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..catalog import load
-from . import bpe, ppm, simhash, toxicity
+from . import bpe, cosine, langid, mixing, ppm, simhash, toxicity
 
 
 def vocabulary(name: str) -> str:
@@ -26,6 +26,10 @@ def held_out(n: int, r: int) -> Column:
     return F.coalesce(fold(n) == r, F.lit(False)).alias("held_out")
 
 
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix_report(load(spark, sf_dir, "documents"))
+
+
 def op2_simhash_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(load(spark, sf_dir, "documents"), shingle=4, radius=4)
 
@@ -34,6 +38,12 @@ def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(load(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    model = langid.train(docs, learn=fold(4) != 2)
+    return langid.predict_documents(docs, model).select("doc_id", held_out(4, 2), "lang_pred", "score")
+
+
 def op6_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = ppm.score_documents(load(spark, sf_dir, "documents"), fold(7) != 2)
     return scored.select("doc_id", held_out(7, 2), "n_tokens", "n_known", "train_tokens", "base_score", "score")
@@ -46,10 +56,17 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(3, 1), "score", (F.col("score") >= toxicity.THRESHOLD).cast("int").alias("predicted"))
 
 
+def op9_embedding_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cosine.near_duplicates(load(spark, sf_dir, "embeddings"), threshold=0.95)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_mixing": op1_mixing,
     "op2_simhash_near_dup": op2_simhash_near_dup,
     "op3_bpe_round_trip": op3_bpe_round_trip,
+    "op5_language_id": op5_language_id,
     "op6_lm_score": op6_lm_score,
     "op7_toxicity": op7_toxicity,
+    "op9_embedding_near_dup": op9_embedding_near_dup,
 }
 ORACLE_SQL: dict[str, str] = {}
