@@ -267,26 +267,27 @@ def train(docs: DataFrame, learn: Column, per_lang: int = DOCS_PER_LANG) -> Chai
     return fit(*training_sample(docs, learn, per_lang))
 
 
-def predict_documents(docs: DataFrame, model: ChainModel, keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` (default doc_id), ``lang_pred`` and ``score``; one row per input row.
+def predict_documents(docs: DataFrame, model: ChainModel, keep: list[str] | None = None, names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """The columns ``keep`` (default doc_id), the predicted language and its score; one row per input row.
 
     Null texts and texts without a letter are ``und`` with score 0. Repeated rows repeat, extra
     columns are ignored, an empty table gives an empty result. Without any labelled row every
     text is ``und``.
     """
     keep = keep or ["doc_id"]
+    at = keep.index("text") if "text" in keep else len(keep)
     shared = docs.sparkSession.sparkContext.broadcast((model.labels, model.table, model.lexicon, model.start, model.moves))
-    chosen = docs.select(*[docs[c] for c in keep], docs["text"].alias("_read_text"))
+    chosen = docs.select(*[docs[c] for c in keep], *[docs["text"].alias("_read_text")] * (at == len(keep)))
     kinds = dict(chosen.dtypes)
 
     def run(batches):
         model = ChainModel(*shared.value)
         for batch in batches:
-            column = batch.column(len(keep))
+            column = batch.column(at)
             _, offsets = utf8_view(column)
             for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
-                names, scores = model.predict(column.slice(lo, hi - lo).to_pylist())
+                labels, scores = model.predict(column.slice(lo, hi - lo).to_pylist())
                 cols = [batch.column(i).slice(lo, hi - lo) for i in range(len(keep))]
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(names, pa.string()), pa.array(scores)], names=[*keep, "lang_pred", "score"])
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(labels, pa.string()), pa.array(scores)], names=[*keep, *names])
 
-    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), "lang_pred string, score double"]))
+    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{names[0]} string, {names[1]} double"]))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from ..catalog import load
-from . import bpe, cosine, langid, mixing, ppm, simhash, toxicity
+from . import bpe, cosine, langid, mixing, neighbours, ppm, quotations, simhash, toxicity, unigram
 
 
 def vocabulary(name: str) -> str:
@@ -38,6 +38,10 @@ def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(load(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
 
 
+def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return unigram.count_documents(load(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
+
+
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents")
     model = langid.train(docs, learn=fold(4) != 2)
@@ -56,17 +60,28 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(3, 1), "score", (F.col("score") >= toxicity.THRESHOLD).cast("int").alias("predicted"))
 
 
+def op8_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neighbours.nearest(load(spark, sf_dir, "embeddings"), every=100, k=10)
+
+
 def op9_embedding_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cosine.near_duplicates(load(spark, sf_dir, "embeddings"), threshold=0.95)
 
 
+def op10_chat_quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotations.reply_order(load(spark, sf_dir, "conversations"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mixing": op1_mixing,
     "op2_simhash_near_dup": op2_simhash_near_dup,
     "op3_bpe_round_trip": op3_bpe_round_trip,
+    "op4_token_counts": op4_token_counts,
     "op5_language_id": op5_language_id,
     "op6_lm_score": op6_lm_score,
     "op7_toxicity": op7_toxicity,
+    "op8_nearest_neighbours": op8_nearest_neighbours,
     "op9_embedding_near_dup": op9_embedding_near_dup,
+    "op10_chat_quotations": op10_chat_quotations,
 }
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op10_chat_quotations": quotations.REPLY_ORDER_SQL}

@@ -16,6 +16,7 @@ task is a forest (each row with the least row that it reaches there), never all
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -32,6 +33,7 @@ SEED = 42
 SUB_TILE = 256
 SPAN = 2048
 PIECE = 1 << 16
+VERIFY_TILE = 1024
 
 
 def shingle_hashes(words: list[bytes], size: int, seed: int = SEED) -> Iterator[np.ndarray]:
@@ -114,15 +116,26 @@ def settle(labels: np.ndarray, left: np.ndarray, right: np.ndarray) -> None:
         labels[:] = labels[labels]
 
 
-def close_rows(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs of rows within ``radius`` bits; both inputs (n, words) sorted by bit count."""
-    ones_a, ones_b = (np.bitwise_count(x).sum(axis=1, dtype=np.int16) for x in (a, b))
+def bit_counts(words: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(words).sum(axis=1, dtype=np.int64)
+
+
+def close_rows(a: np.ndarray, b: np.ndarray, radius: int, same: bool, sizes: tuple | None = None, ratio: float = 0.0) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Index pairs of rows within ``radius`` bits. Both inputs (n, words) are sorted by bit
+    count, or by ``sizes`` where those are given: then sets whose sizes differ by more than the
+    ratio allows are skipped as well."""
+    ones_a, ones_b = bit_counts(a), bit_counts(b)
+    key_a, key_b = sizes or (ones_a, ones_b)
     for i in range(0, len(a), SUB_TILE):
         j = min(i + SUB_TILE, len(a))
-        lo = i if same else int(np.searchsorted(ones_b, ones_a[i] - radius, side="left"))
-        hi = int(np.searchsorted(ones_b, ones_a[j - 1] + radius, side="right"))
+        least, most = (key_a[i] * ratio, key_a[j - 1] / ratio) if sizes else (key_a[i] - radius, key_a[j - 1] + radius)
+        lo = i if same else int(np.searchsorted(key_b, least, side="left"))
+        hi = int(np.searchsorted(key_b, most, side="right"))
+        low, high = ones_a[i:j].min() - radius, ones_a[i:j].max() + radius
         for s in range(lo, hi, SPAN):
             e = min(s + SPAN, hi)
+            if ones_b[s:e].max() < low or ones_b[s:e].min() > high:
+                continue
             apart = np.bitwise_count(a[i:j, 0][:, None] ^ b[s:e, 0][None, :])
             for w in range(1, a.shape[1]):
                 apart += np.bitwise_count(a[i:j, w][:, None] ^ b[s:e, w][None, :])
@@ -134,18 +147,19 @@ def close_rows(a: np.ndarray, b: np.ndarray, radius: int, same: bool) -> Iterato
                 yield x[keep], y[keep]
 
 
-def tile_forest(words: np.ndarray, ids: np.ndarray, side: np.ndarray, lone: bool, radius: int) -> tuple[np.ndarray, np.ndarray]:
+def tile_forest(words: np.ndarray, ids: np.ndarray, side: np.ndarray, lone: bool, radius: int, sizes: np.ndarray | None = None, ratio: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
     """Links found in one pair of tiles, as (row id, least id of its part). side: 0 or 1."""
-    order = np.lexsort((ids, np.bitwise_count(words).sum(axis=1, dtype=np.int16), side))
+    order = np.lexsort((ids, bit_counts(words) if sizes is None else sizes, side))
     words, ids, side = words[order], ids[order], side[order]
+    sizes = None if sizes is None else sizes[order]
     cut = int(np.searchsorted(side, 1))
     rank = np.argsort(np.argsort(ids, kind="stable"), kind="stable")
     labels, by_rank = np.arange(len(ids)), np.sort(ids, kind="stable")
     if lone:
-        for x, y in close_rows(words, words, radius, True):
+        for x, y in close_rows(words, words, radius, True, None if sizes is None else (sizes, sizes), ratio):
             settle(labels, rank[x], rank[y])
     else:
-        for x, y in close_rows(words[:cut], words[cut:], radius, False):
+        for x, y in close_rows(words[:cut], words[cut:], radius, False, None if sizes is None else (sizes[:cut], sizes[cut:]), ratio):
             settle(labels, rank[x], rank[y + cut])
     moved = np.flatnonzero(labels != np.arange(len(labels)))
     return by_rank[moved], by_rank[labels[moved]]
@@ -165,19 +179,13 @@ def _block_keys(radius: int, blocks: int) -> Column:
     return F.explode(F.array(*keys))
 
 
-def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None = 5) -> DataFrame:
-    """Distinct fingerprints ``(id, w0[, w1])`` to links ``(a, b)`` that connect the same parts
-    as all pairs within ``radius`` bits do. ``blocks=None`` compares whole tiles.
-    """
-    columns = [c for c in ("w0", "w1") if c in points.columns]
-    if blocks is not None:
-        grouped = points.select("id", *columns, _block_keys(radius, blocks).alias("g")).select("id", *columns, "g.choice", "g.value")
-    else:
-        grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
+def deal_tiles(grouped: DataFrame, columns: list[str], tile: int) -> DataFrame:
+    """Rows of groups (choice, value) to pairs of tiles (i, j): every two rows of a group meet
+    in one pair. ``side`` tells the tiles of a pair apart. Groups of one row are left out."""
     sizes = grouped.groupBy("choice", "value").count().where("count > 1").withColumn("tiles", F.ceil(F.col("count") / F.lit(tile)).cast("int")).drop("count")
     own = F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int")
     partners = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
-    dealt = (
+    return (
         grouped.join(sizes, ["choice", "value"])
         .withColumn("mine", own)
         .withColumn("other", partners)
@@ -187,38 +195,141 @@ def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None
             (F.col("mine") > F.col("other")).cast("int").alias("side"),
         )
     )
-    keys = ["choice", "value", "i", "j"]
+
+
+TILE_KEYS = ["choice", "value", "i", "j"]
+LINKS = "a long, b long"
+
+
+def over_tiles(compare):
+    """A mapInArrow function that gives each pair of tiles, from rows sorted by TILE_KEYS, to
+    ``compare(table, lone)``; it returns arrays (a, b)."""
 
     def run(batches):
         kept: list[pa.RecordBatch] = []
 
         def flush(table: pa.Table):
-            cols = [table.column(c).to_numpy() for c in keys]
-            if not len(cols[0]):
-                return
-            turn = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
-            words = np.stack([table.column(c).to_numpy().view(np.uint64) for c in columns], axis=1)
-            ids, side = table.column("id").to_numpy(), table.column("side").to_numpy()
+            cols = [table.column(c).to_numpy() for c in TILE_KEYS]
+            turn = (np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1).tolist()
             out = []
-            for s, e in zip([0, *turn.tolist()], [*turn.tolist(), len(ids)]):
+            for s, e in zip([0, *turn], [*turn, len(table)]):
                 if e - s > 1:
-                    out.append(tile_forest(words[s:e], ids[s:e], side[s:e], cols[2][s] == cols[3][s], radius))
+                    out.append(compare(table.slice(s, e - s), cols[2][s] == cols[3][s]))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*out)], names=["a", "b"])
 
         for batch in batches:
+            if not len(batch):
+                continue
             kept.append(batch)
             table = pa.Table.from_batches(kept)
-            last = [table.column(c)[-1].as_py() for c in keys]
-            tail = np.all([table.column(c).to_numpy() == v for c, v in zip(keys, last)], axis=0)
+            last = [table.column(c)[-1].as_py() for c in TILE_KEYS]
+            tail = np.all([table.column(c).to_numpy() == v for c, v in zip(TILE_KEYS, last)], axis=0)
             cut = int(np.argmax(tail))
-            if cut and len(table) >= 10000:
+            if cut:
                 yield from flush(table.slice(0, cut))
                 kept = table.slice(cut).to_batches()
         if kept:
             yield from flush(pa.Table.from_batches(kept))
 
-    return dealt.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long").distinct()
+    return run
+
+
+def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None = 5, ratio: float = 0.0) -> DataFrame:
+    """Distinct fingerprints ``(id, w0[, w1, n_shingles])`` to links ``(a, b)`` that connect the
+    same parts as all pairs within ``radius`` bits do. ``blocks=None`` compares whole tiles;
+    ``ratio`` leaves out pairs whose shingle counts alone rule a Jaccard similarity out.
+    """
+    words = [c for c in ("w0", "w1") if c in points.columns]
+    columns = words + ["n_shingles"] * (ratio > 0)
+    if blocks is not None:
+        grouped = points.select("id", *columns, _block_keys(radius, blocks).alias("g")).select("id", *columns, "g.choice", "g.value")
+    else:
+        grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
+
+    def compare(table: pa.Table, lone: bool):
+        bits = np.stack([table.column(c).to_numpy().view(np.uint64) for c in words], axis=1)
+        sizes = table.column("n_shingles").to_numpy() if ratio > 0 else None
+        return tile_forest(bits, table.column("id").to_numpy(), table.column("side").to_numpy(), lone, radius, sizes, ratio)
+
+    dealt = deal_tiles(grouped, columns, tile)
+    return dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(over_tiles(compare), LINKS).distinct()
+
+
+def shingle_sets(docs: DataFrame, shingle: int) -> DataFrame:
+    """``(id, shingles)``: sorted distinct 64-bit shingle hashes as bytes."""
+
+    def run(batches):
+        for batch in batches:
+            data, offsets = utf8_view(batch.column(1))
+            out = []
+            for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
+                pieces = list(shingle_hashes(word_list(data, a, b), shingle))
+                out.append(np.unique(np.concatenate(pieces)).tobytes() if pieces else b"")
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["id", "shingles"])
+
+    return docs.select("id", "text").mapInArrow(run, "id long, shingles binary")
+
+
+def verified_links(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, lone: bool, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Exact Jaccard links of a pair of tiles, as a forest. Rows that already hang together are
+    not compared again, so a tile of near copies costs about one comparison a row."""
+    order = np.lexsort((ids, side))
+    parent = list(range(len(ids)))
+
+    def root(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    low, high = [], []
+    for k, x in enumerate(order.tolist()):
+        for y in order[:k].tolist():
+            ry, rx = root(y), root(x)
+            if rx == ry or not lone and side[x] == side[y]:
+                continue
+            a, b = sets[x], sets[y]
+            if min(len(a), len(b)) < similarity * max(len(a), len(b)):
+                continue
+            common = len(np.intersect1d(a, b, assume_unique=True))
+            if common >= similarity * (len(a) + len(b) - common):
+                parent[max(rx, ry)] = min(rx, ry)
+                low.append(ids[x])
+                high.append(ids[y])
+    return np.array(low, np.int64), np.array(high, np.int64)
+
+
+def similar_documents(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, scratch: Scratch | None = None, tile: int = 32768) -> DataFrame:
+    """``(doc_id, component_id)``: documents whose sets of ``shingle``-word shingles have a
+    Jaccard similarity of ``similarity`` or more hang together; one row per distinct doc_id.
+
+    Candidates are the pairs of 128-bit fingerprints within a radius that lies 2.6 standard
+    deviations beyond the expected distance at that similarity; inside the parts that they
+    form, links are verified on the shingle sets. Texts without words hang together. Rows that
+    share a doc_id are one document, whose first text in order counts; null ids take no part.
+    """
+    scratch = scratch or Scratch(docs.sparkSession, "similar")
+    angle = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    radius = math.ceil(128 * angle + 2.6 * math.sqrt(128 * angle * (1 - angle)))
+    rows = fingerprints(docs.where("doc_id is not null"), shingle, wide=True)
+    marked = scratch.save(rows.groupBy("doc_id").agg(F.min(F.struct("w0", "w1", "n_shingles")).alias("f")).select("doc_id", "f.*"), "fingerprints")
+    same = ["w0", "w1", "n_shingles"]
+    groups = scratch.save(marked.groupBy(*same).agg(F.min("doc_id").alias("id")), "groups")
+    parts = scratch.save(components(forest(groups, radius, tile, None, similarity), scratch), "parts")
+    texts = docs.select(F.col("doc_id").alias("id"), "text").join(parts.select(F.col("node").alias("id")), "id", "left_semi")
+    sets = shingle_sets(texts, shingle).groupBy("id").agg(F.min("shingles").alias("shingles"))
+    grouped = sets.join(parts.select(F.col("node").alias("id"), F.lit(0).alias("choice"), F.col("component").alias("value")), "id")
+
+    def compare(table: pa.Table, lone: bool):
+        held = [np.frombuffer(b, np.uint64) for b in table.column("shingles").to_pylist()]
+        return verified_links(table.column("id").to_numpy(), held, table.column("side").to_numpy(), lone, similarity)
+
+    dealt = deal_tiles(grouped, ["shingles"], VERIFY_TILE)
+    links = dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(over_tiles(compare), LINKS)
+    named = components(links, scratch)
+    final = groups.join(named, groups["id"] == named["node"], "left").select(*same, F.coalesce("component", "id").alias("component_id"))
+    return marked.join(final, same).select("doc_id", "component_id")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 4, radius: int = 4, scratch: Scratch | None = None, tile: int = 16384) -> DataFrame:

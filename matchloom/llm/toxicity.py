@@ -200,26 +200,26 @@ def train(docs: DataFrame, labels: DataFrame, learn=None, per_class: int = SAMPL
     return fit(*training_sample(docs, labels, learn, per_class))
 
 
-def score_documents(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` (default doc_id) and ``score``, one row per input row, whole texts.
+def score_documents(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None, score_col: str = "score") -> DataFrame:
+    """The columns ``keep`` (default doc_id) and ``score_col``, one row per input row, whole texts.
 
     Null, empty and blank texts get the score of an empty bag. Repeated rows repeat, extra
     columns are ignored, an empty table gives an empty result.
     """
     keep = keep or ["doc_id"]
+    at = keep.index("text") if "text" in keep else len(keep)
     shared = docs.sparkSession.sparkContext.broadcast((model.weights, model.bias, model.scale, model.shift))
-    chosen = docs.select(*[docs[c] for c in keep], docs["text"].alias("_scored_text"))
+    chosen = docs.select(*[docs[c] for c in keep], *[docs["text"].alias("_scored_text")] * (at == len(keep)))
     kinds = dict(chosen.dtypes)
 
     def run(batches):
         model = ToxicityModel(*shared.value)
         for batch in batches:
-            at = batch.schema.get_field_index("_scored_text")
             column = batch.column(at)
             _, offsets = utf8_view(column)
             for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
                 scores = model.scores(column.slice(lo, hi - lo).to_pylist())
                 cols = [batch.column(i).slice(lo, hi - lo) for i in range(len(keep))]
-                yield pa.RecordBatch.from_arrays([*cols, pa.array(scores)], names=[*keep, "score"])
+                yield pa.RecordBatch.from_arrays([*cols, pa.array(scores)], names=[*keep, score_col])
 
-    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), "score double"]))
+    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{score_col} double"]))
