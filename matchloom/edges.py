@@ -55,8 +55,8 @@ def ordered_edges(edges: DataFrame, scratch: Scratch, ties: str = "portable", se
 
     One range-partitioned sort; ids ascend along it, so no single task sees all edges.
     """
-    tie = {"portable": portable_tie(seed).desc(), "static": F.xxhash64(F.lit(seed), "u", "v").desc(), "id": F.lit(0).asc()}[ties]
-    placed = edges.orderBy(F.col("w").asc(), tie, F.col("u").desc(), F.col("v").desc())
+    tie = {"portable": [portable_tie(seed).desc()], "static": [F.xxhash64(F.lit(seed), "u", "v").desc()], "id": []}[ties]
+    placed = edges.orderBy(F.col("w").asc(), *tie, F.col("u").desc(), F.col("v").desc())
     return scratch.save(placed.select("u", "v", "w", F.monotonically_increasing_id().alias("eid")), "edges")
 
 

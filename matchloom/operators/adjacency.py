@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, Window as W, functions as F
 
 from ..edges import arcs, degrees
@@ -31,14 +32,12 @@ def vertex_reduce(cells: DataFrame, value: str, op: str | Callable = "max", spre
     """Reduce ``value`` over the cells of each vertex; ``spread`` puts the result (``reduced``)
     on every cell. A callable takes a pandas Series and must be associative."""
     if callable(op):
-        import pandas as pd
-
         kind = dict(cells.dtypes)[value]
 
         def whole(values: pd.Series) -> float:
             return op(values)
 
-        udf = F.pandas_udf(whole, kind, "grouped_agg")
+        udf = F.pandas_udf(whole, kind)
         small = cells.groupBy("vertex").agg(udf(F.col(value)).alias("reduced"))
     else:
         small = cells.groupBy("vertex").agg(OPS[op](value).alias("reduced"))

@@ -18,6 +18,8 @@ def simple(rows: str, combine: str = "sum", where: str = "w > 0") -> str:
 CENTS = "cast(round({} * 100) as bigint)"
 LINES = "(select l.*, o.o_custkey from lineitem l join orders o on o.o_orderkey = l.l_orderkey)"
 
+HOST = "regexp_extract(url, '^[a-zA-Z][a-zA-Z0-9+.-]*://([^/?#]*)', 1)"
+
 GRAPHS = {
     "part_supp": simple(f"select l_partkey as u, l_suppkey + {RIGHT} as v, {CENTS.format('l_extendedprice')} * (100 - {CENTS.format('l_discount')}) as w from lineitem"),
     "order_part": simple(f"select l_orderkey as u, l_partkey + {RIGHT} as v, cast(l_quantity as bigint) as w from lineitem"),
@@ -27,7 +29,7 @@ GRAPHS = {
     "nation_region": simple(f"select n_nationkey as u, n_regionkey + {RIGHT} as v, 1 as w from nation"),
     "customer_nation": simple(f"select c_custkey as u, c_nationkey + {RIGHT} as v, {CENTS.format('c_acctbal')} as w from customer"),
     "conversation_turn": simple(f"select conv_id as u, turn + {RIGHT} as v, length(text) as w from conversations"),
-    "page_host": simple(f"select page_id as u, {h48(chr(39) * 0 + 'regexp_extract(url, ' + repr('^[a-zA-Z][a-zA-Z0-9+.-]*://([^/?#]*)') + ', 1)')} + {RIGHT} as v, length(html) as w from pages"),
+    "page_host": simple(f"select page_id as u, {h48(HOST)} + {RIGHT} as v, length(html) as w from pages"),
     "event_succ": simple(f"select user_id as u, lead(user_id) over (order by ts, event_id) as v, {CENTS.format('value')} as w from events", where="true"),
     "rising_path": "select range as u, range + 1 as v, range + 1 as w from range((select count(*) - 1 from orders))",
     "rising_path_200": "select range as u, range + 1 as v, range + 1 as w from range(199)",
@@ -39,9 +41,9 @@ GRAPHS = {
                  (select unnest([1, 2, 3, 4]) as k))
           where a <> b)""",
     "gram": f"""
-        select a.vec_id as u, b.vec_id as v, floor(abs(list_sum(list_transform(list_zip(a.embedding, b.embedding), z -> z[1]::double * z[2]::double))) * {STEPS})::bigint as w
+        select a.vec_id as u, b.vec_id as v, floor(abs(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: z[1]::double * z[2]::double))) * {STEPS})::bigint as w
         from embeddings a join embeddings b on a.vec_id < b.vec_id
-        where floor(abs(list_sum(list_transform(list_zip(a.embedding, b.embedding), z -> z[1]::double * z[2]::double))) * {STEPS})::bigint >= 200000""",
+        where floor(abs(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: z[1]::double * z[2]::double))) * {STEPS})::bigint >= 200000""",
     "doc_near": """
         select a.doc_id as u, b.doc_id as v, 21 - abs(a.n_chars - b.n_chars) as w
         from documents a join documents b on a.lang = b.lang and a.source = b.source and a.doc_id < b.doc_id and abs(a.n_chars - b.n_chars) <= 20""",
@@ -49,11 +51,11 @@ GRAPHS = {
         with p as (select min(vec_id) as id, x, y from (select vec_id, floor(embedding[1]::double * {STEPS})::bigint as x, floor(embedding[2]::double * {STEPS})::bigint as y from embeddings) group by x, y),
         sides as (
           select a.id as u, b.id as v, (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) as w,
-                 (b.x - a.x) * (c.y - a.y) - (b.y - a.y) * (c.x - a.x) as cross, (a.x - c.x) * (b.x - c.x) + (a.y - c.y) * (b.y - c.y) as dot
+                 (b.x - a.x) * (c.y - a.y) - (b.y - a.y) * (c.x - a.x) as turned, (a.x - c.x) * (b.x - c.x) + (a.y - c.y) * (b.y - c.y) as dot
           from p a join p b on a.id < b.id join p c on c.id <> a.id and c.id <> b.id)
         select u, v, any_value(w) as w from sides group by u, v
-        having coalesce(min(dot / cross) filter (cross > 0), 1e300) + coalesce(min(-dot / cross) filter (cross < 0), 1e300) >= 0
-           and coalesce(bool_and(dot >= 0) filter (cross = 0), true)""",
+        having coalesce(min(dot / turned) filter (turned > 0), 1e300) + coalesce(min(-dot / turned) filter (turned < 0), 1e300) >= 0
+           and coalesce(bool_and(dot >= 0) filter (turned = 0), true)""",
 }
 DAYS = f"""
     select day, least(u, v) as u, greatest(u, v) as v, sum(w)::bigint as w from (

@@ -288,7 +288,7 @@ register("agg_percentiles", f"select quantile_cont(w, 0.25) as p25, quantile_con
     lambda s, d: graphs.part_supp(s, d).agg(*[F.expr(f"percentile(w, {p})").alias(n) for p, n in ((0.25, "p25"), (0.5, "p50"), (0.9, "p90"))])
 )
 register("agg_pivot_phases", sql.matched(_PS, "select w % 5 as k, count(*) filter (phase = 1) as p1, count(*) filter (phase = 2) as p2 from matching group by w % 5"))(
-    lambda s, d: _pair(s, d).withColumn("k", F.col("w") % 5).groupBy("k").pivot("phase", [1, 2]).agg(F.count("*")).select("k", F.coalesce("1", F.lit(0)).alias("p1"), F.coalesce("2", F.lit(0)).alias("p2"))
+    lambda s, d: _pair(s, d).withColumn("k", F.col("w") % 5).groupBy("k").pivot("phase", [1, 2]).agg(F.count(F.lit(1))).select("k", F.coalesce("1", F.lit(0)).alias("p1"), F.coalesce("2", F.lit(0)).alias("p2"))
 )
 @register("win_ranked_edges", f"select u, v, w, rank() over (partition by u order by w desc, v) as place, ntile(4) over (partition by u order by w desc, v) as quarter from ({_PS}) qualify rank() over (partition by u order by w desc, v) <= 3")
 def win_ranked_edges(spark: SparkSession, d: str) -> DataFrame:
