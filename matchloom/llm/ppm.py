@@ -65,6 +65,12 @@ def word_keys(rows: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(found) if found else np.zeros(0, np.uint64), np.array(sizes, np.int64)
 
 
+def distinct(keys: np.ndarray) -> np.ndarray:
+    """Sorted distinct keys, by sorting (np.unique hashes plain integers, which is slower)."""
+    keys = np.sort(keys)
+    return keys[np.concatenate([[True], keys[1:] != keys[:-1]])] if len(keys) else keys
+
+
 def pack(values: np.ndarray) -> bytes:
     return zlib.compress(values.tobytes(), 1)
 
@@ -97,7 +103,7 @@ class Tally:
 
     def add(self, keys: np.ndarray, learn: np.ndarray) -> None:
         seen, counts = np.unique(keys[learn], return_counts=True)
-        other = np.unique(keys[~learn])
+        other = distinct(keys[~learn])
         self.parts.append((seen, counts.astype(np.int64)))
         self.parts.append((other, np.zeros(len(other), np.int64)))
 
@@ -283,15 +289,16 @@ def score_batch(texts: list[pa.Array], answers: list[tuple[int, int, bytes]], to
     result = [np.zeros(len(rows), np.int64), np.zeros(len(rows), np.int64), np.zeros(len(rows)), np.zeros(len(rows))]
     for kind, make, group in ((GRAM, gram_keys, gram_group), (WORD, word_keys, word_group)):
         chunks = list(byte_chunks(offsets, CHUNK_BYTES))
-        distinct = np.unique(np.concatenate([np.unique(make(rows[lo:hi])[0]) for lo, hi in chunks]))
-        distinct = distinct[np.lexsort((distinct, group(distinct)))]
+        made = [make(rows[lo:hi]) for lo, hi in chunks] if kind == WORD else None  # grams take too much room
+        asked = distinct(np.concatenate([distinct((made[c] if made else make(rows[lo:hi]))[0]) for c, (lo, hi) in enumerate(chunks)]))
+        asked = asked[np.lexsort((asked, group(asked)))]
         blobs = sorted((g, v) for k, g, v in answers if k == kind)
         values = np.concatenate([np.frombuffer(zlib.decompress(v), np.float32 if kind == GRAM else np.int64) for _, v in blobs])
-        if len(values) != len(distinct):
+        if len(values) != len(asked):
             raise RuntimeError("a batch and its answers differ")
-        lookup = Lookup(distinct)
-        for lo, hi in chunks:
-            keys, sizes = make(rows[lo:hi])
+        lookup = Lookup(asked)
+        for c, (lo, hi) in enumerate(chunks):
+            keys, sizes = made[c] if made else make(rows[lo:hi])
             found = values[lookup.find(keys)].astype(np.float64)
             at = np.cumsum(sizes) - sizes
             if kind == GRAM:
