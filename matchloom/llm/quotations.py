@@ -107,8 +107,8 @@ with recursive split as (
 ),
 parsed as (
   select r, conv_id, turn, coalesce(role, 'user') as role,
-         list_filter(lines, x -> not regexp_matches(x, '^[ \t]*>')) as own,
-         list_filter(lines, x -> regexp_matches(x, '^[ \t]*>')) as quoted
+         list_filter(lines, lambda x: not regexp_matches(x, '^[ \t]*>')) as own,
+         list_filter(lines, lambda x: regexp_matches(x, '^[ \t]*>')) as quoted
   from split
 ),
 quotes as (
