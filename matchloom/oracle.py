@@ -25,7 +25,7 @@ GRAPHS = {
     "order_part": simple(f"select l_orderkey as u, l_partkey + {RIGHT} as v, cast(l_quantity as bigint) as w from lineitem"),
     "cust_supp": simple(f"select o_custkey as u, l_suppkey + {RIGHT} as v, {CENTS.format('l_extendedprice')} as w from {LINES}"),
     "cust_part": simple(f"select o_custkey as u, l_partkey + {RIGHT} as v, cast(l_quantity as bigint) as w from {LINES}"),
-    "copurchase": "select a.p as u, b.p as v, count(*) as w from (select distinct l_orderkey as o, l_partkey as p from lineitem) a join (select distinct l_orderkey as o, l_partkey as p from lineitem) b on a.o = b.o and a.p < b.p group by all",
+    "copurchase": "select a.l_partkey as u, b.l_partkey as v, count(*) as w from lineitem a join lineitem b on a.l_orderkey = b.l_orderkey and a.l_partkey < b.l_partkey group by all",
     "nation_region": simple(f"select n_nationkey as u, n_regionkey + {RIGHT} as v, 1 as w from nation"),
     "customer_nation": simple(f"select c_custkey as u, c_nationkey + {RIGHT} as v, {CENTS.format('c_acctbal')} as w from customer"),
     "conversation_turn": simple(f"select conv_id as u, turn + {RIGHT} as v, length(text) as w from conversations"),

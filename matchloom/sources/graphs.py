@@ -58,9 +58,9 @@ def cust_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Parts of the same order, weight: orders they share. An order has few lines, so the
-    pairs of an order are few; each order is a key of its own."""
-    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", F.col("l_partkey").alias("u")).distinct()
+    """Parts of the same order, weight: pairs of lines they share. An order has few lines, so
+    the pairs of an order are few; each order is a key of its own."""
+    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", F.col("l_partkey").alias("u"))
     pairs = lines.join(lines.withColumnRenamed("u", "v"), "l_orderkey").where("u < v")
     return pairs.groupBy("u", "v").agg(F.count("*").alias("w"))
 
