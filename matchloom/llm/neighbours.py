@@ -2,8 +2,8 @@
 
 The graph is refined in rounds of joins: every vector meets the neighbours of its neighbours
 (its own list, and a hashed choice of those that list it) around the vector they share, and
-keeps the nearest. The first lists come from random hyperplane cells instead of random draws,
-which saves rounds. Equal vectors are one node that knows its smallest ids.
+keeps the nearest. The first lists come from random hyperplane cells of bounded size instead of
+random draws, which saves rounds; both cost in proportion to the rows. Equal vectors are one node that knows its smallest ids.
 
 Queries walk the graph side by side: each round opens the nearest unopened nodes of every
 query, joins their lists, and ends for a query when nothing unopened is nearer than its
@@ -22,13 +22,14 @@ from .ppm import by_key
 from .storage import Scratch
 from .vectors import decode, distinct_vectors, packed
 
-DEGREE = 16
-TABLES = 4
-LEAF = 192
+DEGREE = 20
+TABLES = 8
+LEAF = 2048
 ROUNDS = 2
-BEAM = 48
-OPEN = 8
-MOST_STEPS = 30
+BEAM = 128
+OPEN = 24
+MOST_STEPS = 60
+STRIP = 512
 NAMES = 16
 
 
@@ -46,6 +47,28 @@ def rough(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.maximum((x**2).sum(axis=1)[:, None] + (y**2).sum(axis=1)[None, :] - 2 * x @ y.T, 0)
 
 
+def singles(blobs: list[bytes]) -> np.ndarray:
+    return np.frombuffer(b"".join(blobs), np.float32).reshape(len(blobs), -1)
+
+
+def ranking_vectors(points: DataFrame, scratch: Scratch) -> DataFrame:
+    """``(id, vec)`` in single precision over one common scale, for building the graph only."""
+
+    def largest(batches):
+        for batch in batches:
+            tops = [float(np.abs(np.frombuffer(v, np.float64)).max()) for v in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array([max(tops, default=0.0)])], names=["top"])
+
+    scale = points.select("vec").mapInArrow(largest, "top double").agg(F.max("top")).first()[0] or 1.0
+
+    def shrink(batches):
+        for batch in batches:
+            out = [(np.frombuffer(v, np.float64) / scale).astype(np.float32).tobytes() for v in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["id", "vec"])
+
+    return scratch.save(points.select("id", "vec").mapInArrow(shrink, "id long, vec binary"), "singles")
+
+
 LISTS = "id long, near array<long>, far array<double>"
 
 
@@ -55,8 +78,7 @@ def list_batch(ids, near, far) -> pa.RecordBatch:
 
 def first_lists(points: DataFrame, n: int, degree: int, tables: int, seed: int = 5) -> DataFrame:
     """Neighbour lists inside the cells of random hyperplanes, ``tables`` times."""
-    bits = max(0, math.ceil(math.log2(max(n, 1) / (LEAF / 2))))
-    leaves = max(1, 1 << bits)
+    bits = max(0, math.floor(math.log2(max(n, 1) / LEAF)))
 
     def place(batches):
         for batch in batches:
@@ -64,8 +86,7 @@ def first_lists(points: DataFrame, n: int, degree: int, tables: int, seed: int =
             sizes = pa.compute.binary_length(vecs).to_numpy()
             for size in np.unique(sizes):
                 rows = np.flatnonzero(sizes == size)
-                x = decode(vecs.take(pa.array(rows)).to_pylist())
-                x = x / np.maximum(np.abs(x).max(), 1e-300)
+                x = singles(vecs.take(pa.array(rows)).to_pylist())
                 planes = np.random.default_rng([seed, int(size)]).normal(size=(tables * bits, x.shape[1]))
                 side = (x @ planes.T > 0).reshape(len(x), tables, bits)
                 cell = (side * (1 << np.arange(bits))).sum(axis=2) if bits else np.zeros((len(x), tables), np.int64)
@@ -74,21 +95,20 @@ def first_lists(points: DataFrame, n: int, degree: int, tables: int, seed: int =
                     yield pa.RecordBatch.from_arrays([batch.column(0).take(take), vecs.take(take), pa.array(np.full(len(rows), size, np.int64)), pa.array(np.full(len(rows), t, np.int64)), pa.array(cell[:, t].astype(np.int64))], names=["id", "vec", "dim", "tab", "cell"])
 
     placed = points.select("id", "vec").mapInArrow(place, "id long, vec binary, dim long, tab long, cell long")
-    crowds = placed.groupBy("dim", "tab", "cell").agg(F.ceil(F.count("*") / LEAF).cast("int").alias("parts"))
+    crowds = placed.groupBy("dim", "tab", "cell").agg(F.ceil(F.count("*") / (2 * LEAF)).cast("int").alias("parts"))
     slot = F.xxhash64("dim", "tab", "cell", F.pmod(F.xxhash64("id", "tab"), F.col("parts")))
     dealt = placed.join(crowds, ["dim", "tab", "cell"]).select(slot.alias("slot"), "id", "vec")
 
     def link(batches):
         for _, parts in by_key(batches, "slot"):
             table = pa.Table.from_batches(parts)
-            ids, x = table.column("id").to_numpy(), decode(table.column("vec").to_pylist())
-            d = rough(x, x)
-            np.fill_diagonal(d, np.inf)
+            ids, x = table.column("id").to_numpy(), singles(table.column("vec").to_pylist())
             k = min(degree, len(ids) - 1)
-            if k < 1:
-                continue
-            best = np.argpartition(d, k - 1, axis=1)[:, :k]
-            yield list_batch(ids, list(ids[best]), list(np.take_along_axis(d, best, axis=1)))
+            for lo in range(0, len(ids) if k > 0 else 0, STRIP):
+                d = rough(x[lo : lo + STRIP], x)
+                d[np.arange(len(d)), lo + np.arange(len(d))] = np.inf
+                best = np.argpartition(d, k - 1, axis=1)[:, :k]
+                yield list_batch(ids[lo : lo + STRIP], list(ids[best]), list(np.take_along_axis(d, best, axis=1).astype(np.float64)))
 
     return dealt.repartition("slot").sortWithinPartitions("slot").mapInArrow(link, LISTS)
 
@@ -139,8 +159,8 @@ def descend(graph: DataFrame, points: DataFrame, degree: int) -> DataFrame:
     def run(batches):
         for _, parts in by_key(batches, "hub"):
             table = pa.Table.from_batches(parts)
-            ids, x = table.column("id").to_numpy(), decode(table.column("vec").to_pylist())
-            d = rough(x, x)
+            ids, x = table.column("id").to_numpy(), singles(table.column("vec").to_pylist())
+            d = rough(x, x).astype(np.float64)
             np.fill_diagonal(d, np.inf)
             bound = np.where(table.column("have").to_numpy() < degree, np.inf, table.column("bound").to_numpy())
             better = d < bound[:, None]
@@ -154,9 +174,10 @@ def descend(graph: DataFrame, points: DataFrame, degree: int) -> DataFrame:
 
 
 def build_graph(points: DataFrame, scratch: Scratch, degree: int = DEGREE, tables: int = TABLES, rounds: int = ROUNDS) -> DataFrame:
-    """``(id, near, far)``: of each node its nearest nodes found and their squared distances.
+    """``(id, near, far)``: of each node its nearest nodes found and their scaled squared distances.
     A node without any other of its length has no row."""
     n = points.count()
+    points = ranking_vectors(points, scratch)
     graph = scratch.save(merged(first_lists(points, n, degree, tables), degree), "graph")
     for _ in range(rounds):
         fresh = scratch.save(merged(graph.unionByName(descend(graph, points, degree)), degree), "graph")
