@@ -309,13 +309,30 @@ register("fn_sampled_edges", f"select u, v from ({_PS}) where {sql.h48(chr(39) +
 
 # streams, against the same tables at rest
 _TYPE = f"{sql.h48('event_type')} + {graphs.RIGHT}"
-_CLOSED = "where win + interval {} <= (select max(ts) - interval 1 hour from events)"
-register("stream_tumbling", f"with g as (select date_trunc('day', ts) as win, user_id, event_type, count(*) as n, sum(cast(round(value * 100) as bigint))::bigint as cents from events group by all) select win::timestamptz as window_start, user_id, event_type, n, cents from g {_CLOSED.format('1 day')}")(
-    lambda s, d: windows.run_stream(windows.window_graph(windows.read_events(s, d), "1 day"), "tumbling")
+_SEEN = "(select max(ts) - interval 1 hour from events)"
+_STAMP = "%Y-%m-%d %H:%M:%S"
+
+
+def _window_sql(starts: str, length: str) -> str:
+    """Closed windows: those that end before the watermark."""
+    grouped = f"select win, user_id, event_type, count(*) as n, sum(cast(round(value * 100) as bigint))::bigint as cents from (select *, unnest({starts}) as win from events) group by all"
+    return f"select strftime(win, '{_STAMP}') as window_start, user_id, event_type, n, cents from ({grouped}) where win + interval {length} <= {_SEEN}"
+
+
+def stamped(df: DataFrame, *columns: str) -> DataFrame:
+    return df.withColumns({c: F.date_format(c, "yyyy-MM-dd HH:mm:ss") for c in columns})
+
+
+register("stream_tumbling", _window_sql("[date_trunc('day', ts)]", "1 day"))(lambda s, d: stamped(windows.run_stream(windows.window_graph(windows.read_events(s, d), "1 day"), "tumbling"), "window_start"))
+register("stream_sliding", _window_sql("[date_trunc('day', ts), date_trunc('day', ts) - interval 1 day]", "2 day"))(
+    lambda s, d: stamped(windows.run_stream(windows.window_graph(windows.read_events(s, d), "2 days", "1 day"), "sliding"), "window_start")
 )
-register("stream_sliding")(lambda s, d: windows.run_stream(windows.window_graph(windows.read_events(s, d), "2 days", "1 day"), "sliding"))
-register("stream_matching")(windows.stream_window_matching)
-register("stream_session")(windows.stream_sessions)
+register("stream_matching")(lambda s, d: stamped(windows.stream_window_matching(s, d), "window_start"))
+register("stream_session", f"""
+select user_id, strftime(min(ts), '{_STAMP}') as session_start, strftime(max(ts) + interval 30 minute, '{_STAMP}') as session_end, count(*) as n
+from (select *, sum(fresh) over (partition by user_id order by ts, event_id rows unbounded preceding) as s
+      from (select *, (coalesce(ts - lag(ts) over (partition by user_id order by ts, event_id), interval 1 day) > interval 30 minute)::int as fresh from events))
+group by user_id, s having max(ts) + interval 30 minute <= {_SEEN}""")(lambda s, d: stamped(windows.stream_sessions(s, d), "session_start", "session_end"))
 register("stream_dedup", "select event_id, user_id from events")(windows.stream_distinct)
 register("stream_static_join", "select event_id, user_id, count(*) over (partition by user_id) as degree from events")(windows.stream_static_join)
 register("stream_totals", "select event_type, count(*) as n from events group by event_type")(windows.stream_totals)
