@@ -6,7 +6,8 @@ size of the input:
 * a radius below ``blocks`` cuts the 64 bits into ``blocks`` pieces; two fingerprints within
   the radius agree on at least ``blocks - radius`` pieces, so tiles form only inside groups
   that share such a choice of pieces;
-* a larger radius compares tiles of the whole table.
+* a larger radius compares tiles of the whole table, or, where a Jaccard similarity is asked
+  for as well, of the sets of similar sizes.
 
 A group of more than ``tile`` rows is dealt over several tiles, and each pair of tiles is a
 task of its own. Inside a task rows are sorted by population count, and sub-tiles whose
@@ -27,7 +28,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from .components import components
 from .storage import Scratch
-from .textkernels import byte_chunks, utf8_view
+from .textkernels import tidy, utf8_view
 
 SEED = 42
 SUB_TILE = 256
@@ -94,7 +95,7 @@ def fingerprints(docs: DataFrame, shingle: int = 4, wide: bool = False, id_col:
             yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, cols)], schema=schema)
 
     ddl = "doc_id long, w0 long" + (", w1 long, n_shingles long" if wide else "")
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, ddl)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), ddl)
 
 
 def remix(x: np.ndarray) -> np.ndarray:
@@ -244,6 +245,10 @@ def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None
     columns = words + ["n_shingles"] * (ratio > 0)
     if blocks is not None:
         grouped = points.select("id", *columns, _block_keys(radius, blocks).alias("g")).select("id", *columns, "g.choice", "g.value")
+    elif ratio > 0:
+        # sets of similar sizes lie in the same or in neighbouring classes of the logarithm
+        size_class = F.floor(F.log(F.greatest("n_shingles", F.lit(1))) / F.lit(-math.log(ratio) * 1.0001))
+        grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.explode(F.array(size_class, size_class - 1)).alias("value"))
     else:
         grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
 
@@ -253,7 +258,7 @@ def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None
         return tile_forest(bits, table.column("id").to_numpy(), table.column("side").to_numpy(), lone, radius, sizes, ratio)
 
     dealt = deal_tiles(grouped, columns, tile)
-    return dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(over_tiles(compare), LINKS).distinct()
+    return dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(tidy(over_tiles(compare)), LINKS).distinct()
 
 
 def shingle_sets(docs: DataFrame, shingle: int) -> DataFrame:
@@ -268,7 +273,7 @@ def shingle_sets(docs: DataFrame, shingle: int) -> DataFrame:
                 out.append(np.unique(np.concatenate(pieces)).tobytes() if pieces else b"")
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["id", "shingles"])
 
-    return docs.select("id", "text").mapInArrow(run, "id long, shingles binary")
+    return docs.select("id", "text").mapInArrow(tidy(run), "id long, shingles binary")
 
 
 def verified_links(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, lone: bool, similarity: float) -> tuple[np.ndarray, np.ndarray]:
@@ -326,7 +331,7 @@ def similar_documents(docs: DataFrame, shingle: int = 5, similarity: float = 0.8
         return verified_links(table.column("id").to_numpy(), held, table.column("side").to_numpy(), lone, similarity)
 
     dealt = deal_tiles(grouped, ["shingles"], VERIFY_TILE)
-    links = dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(over_tiles(compare), LINKS)
+    links = dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(tidy(over_tiles(compare)), LINKS)
     named = components(links, scratch)
     final = groups.join(named, groups["id"] == named["node"], "left").select(*same, F.coalesce("component", "id").alias("component_id"))
     return marked.join(final, same).select("doc_id", "component_id")
