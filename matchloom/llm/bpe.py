@@ -20,12 +20,13 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, functions as F
 
-from .textkernels import byte_chunks, utf8_view
+from .textkernels import byte_chunks, tidy, utf8_view
 
 #: Fixed value: the split pattern of byte-level BPE vocabularies of this family.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
-CACHE_ENTRIES = 200_000
+CACHE_ENTRIES = 100_000
+PAIR_ENTRIES = 200_000
 LONGEST_CACHED = 64
 
 
@@ -63,7 +64,7 @@ class PairRules:
         key = left << 20 | right
         if (ok := self.known.get(key)) is None:
             ok = self._fits(left, right)
-            if len(self.known) > 1_000_000:
+            if len(self.known) > PAIR_ENTRIES:
                 self.known.clear()
             self.known[key] = ok
         return ok
@@ -138,6 +139,11 @@ class PrefixEncoder:
             n -= sizes[n]
         return out[::-1]
 
+    def forget(self) -> None:
+        """Empty the caches, which would stay with the worker."""
+        self.young, self.old = {}, {}
+        self.rules.known.clear()
+
     def entry(self, piece: str) -> tuple[int, str, bytes]:
         """Of one pre-token: how many ids, the ids joined, and the bytes they decode to."""
         ids = self.ids(piece.encode())
@@ -209,6 +215,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", t
                     for c in outputs:
                         rows[c].append(made[c]())
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), *(pa.array(rows[c], schema.field(c).type) for c in outputs)], schema=schema)
+        bpe.forget()
 
     ddl = ", ".join(["doc_id long", *(f"{c} {kinds[c][1]}" for c in outputs)])
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, ddl)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), ddl)

@@ -22,10 +22,10 @@ from .storage import Scratch
 from .vectors import decode, distinct_vectors, packed
 
 FIT_SAMPLE = 20_000
-CELL_ROWS = 4_000
+CELL_ROWS = 16_000
 MOST_CELLS = 4_096
-TILE = 4_096
-STRIP = 256
+TILE = 16_384
+STRIP = 128
 
 
 def unit(rows: np.ndarray) -> np.ndarray:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 from .subwords import WordBatch
-from .textkernels import byte_chunks, utf8_view
+from .textkernels import byte_chunks, tidy, utf8_view
 
 ORDERS = (3, 4)
 BITS = 16
@@ -290,4 +290,4 @@ def predict_documents(docs: DataFrame, model: ChainModel, keep: list[str] | None
                 cols = [batch.column(i).slice(lo, hi - lo) for i in range(len(keep))]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(labels, pa.string()), pa.array(scores)], names=[*keep, *names])
 
-    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{names[0]} string, {names[1]} double"]))
+    return chosen.mapInArrow(tidy(run), ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{names[0]} string, {names[1]} double"]))

@@ -120,17 +120,21 @@ class Mix:
         have = hits.groupBy("source_no").agg(F.sum("n").alias("have"))
         rest = self.quotas.join(have, "source_no", "left").select(F.lit(-(-total // shard)).cast("long").alias("shard"), "source_no", "blocks", F.coalesce("have", F.lit(0)).alias("at"), (F.col("quota") - F.coalesce("have", F.lit(0))).alias("n"))
         runs = kept.unionByName(rest).where("n > 0")
-        slots = runs.select("shard", "source_no", "blocks", F.explode(F.sequence(F.col("at"), F.col("at") + F.col("n") - 1)).alias("slot"))
-        turn = F.floor(F.col("slot") / F.col("blocks")).cast("long")
-        place = permuted(F.col("slot") % F.col("blocks"), F.col("blocks"), F.col("key"))
-        return slots.withColumn("turn", turn).withColumn("key", hash48(F.lit("turn"), F.col("source_no"), F.col("turn"))).select("shard", "source_no", "slot", "turn", place.alias("index"))
+        # runs are cut by turn, so that a turn's key is made once, and dealt out before they grow
+        first, last = F.floor(F.col("at") / F.col("blocks")).cast("long"), F.floor((F.col("at") + F.col("n") - 1) / F.col("blocks")).cast("long")
+        turns = runs.withColumn("turn", F.explode(F.sequence(first, last))).withColumn("key", hash48(F.lit("turn"), F.col("source_no"), F.col("turn")))
+        begin = F.greatest(F.col("at"), F.col("turn") * F.col("blocks"))
+        until = F.least(F.col("at") + F.col("n"), (F.col("turn") + 1) * F.col("blocks")) - 1
+        dealt = turns.withColumn("begin", begin).withColumn("until", until).repartition(max(1, min(8192, total >> 17)), "shard", "source_no", "turn")
+        slots = dealt.select("shard", "source_no", "blocks", "turn", "key", F.explode(F.sequence("begin", "until")).alias("slot"))
+        return slots.select("shard", "source_no", "slot", "turn", permuted(F.col("slot") % F.col("blocks"), F.col("blocks"), F.col("key")).alias("index"))
 
     def taken(self) -> DataFrame:
         """Words taken of each row that has words."""
         return self.pieces.join(self.turns, ["source_no", "index"]).groupBy(*self.placed.columns).agg(F.sum(F.col("words") * F.col("turns")).alias("taken"))
 
 
-def sized_documents(docs: DataFrame, *extra: str) -> DataFrame:
+def sized_documents(docs: DataFrame, *extra: Column) -> DataFrame:
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", size.alias("size"), *extra)
 
@@ -156,17 +160,19 @@ def mixed_documents(docs: DataFrame, scratch: Scratch | None = None, block: int
     the words are joined by single spaces. ``n_chars``, where there is one, follows the text.
     """
     scratch = scratch or Scratch(docs.sparkSession, "mixed")
-    rows = scratch.save(docs.withColumn("row", F.xxhash64(*docs.columns)), "rows")
-    mix = Mix(sized_documents(rows, "row"), scratch, block)
+    rows = scratch.save(docs.withColumn("_row", F.xxhash64(*docs.columns)), "rows")
+    mix = Mix(scratch.save(sized_documents(rows, F.col("_row").alias("row")), "sized"), scratch, block)
     taken = mix.pieces.join(mix.turns, ["source_no", "index"])
     each = taken.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("turns").cast("int"))))
-    spans = each.groupBy("row", "source_no", "bucket", "start", "copy").agg(F.sum("words").alias("got"), F.first("size").alias("size"), F.sort_array(F.collect_list(F.struct("word_from", "words"))).alias("spans"))
-    once = rows.dropDuplicates(["row"])
-    joined = spans.join(once, "row")
-    words = F.regexp_extract_all("text", F.lit(WORD), F.lit(0))
-    cut = F.array_join(F.flatten(F.transform("spans", lambda s: F.slice(F.col("_words"), (s["word_from"] + 1).cast("int"), s["words"].cast("int")))), " ")
-    text = F.when(F.col("got") == F.col("size"), F.col("text")).otherwise(cut)
-    out = joined.withColumn("_words", F.when(F.col("got") < F.col("size"), words)).withColumn("text", text)
+    spans = (
+        each.groupBy("row", "source_no", "bucket", "start", "copy", "size")
+        .agg(F.sum("words").alias("got"), F.sort_array(F.collect_list(F.struct("word_from", "words"))).alias("spans"))
+        .select(F.col("row").alias("_row"), (F.col("got") == F.col("size")).alias("_whole"), F.col("spans").alias("_spans"))
+    )
+    words = F.when(~F.col("_whole"), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)))
+    joined = spans.join(rows.dropDuplicates(["_row"]), "_row").withColumn("_words", words)
+    cut = F.array_join(F.flatten(F.transform("_spans", lambda s: F.slice(F.col("_words"), (s["word_from"] + 1).cast("int"), s["words"].cast("int")))), " ")
+    out = joined.withColumn("text", F.when(F.col("_whole"), F.col("text")).otherwise(cut))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"]))
     return out.select(*docs.columns)

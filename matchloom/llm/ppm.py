@@ -23,12 +23,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 from .storage import Scratch
-from .textkernels import LOWER, byte_chunks, utf8_view
+from .textkernels import LOWER, byte_chunks, give_back, tidy, utf8_view
 
 ORDER = 6
 #: Two bytes that no UTF-8 text holds stand for the start and the end of a text.
 START, END = 0xFE, 0xFF
-BATCH_BYTES = 24 << 20
+BATCH_BYTES = 16 << 20
 CHUNK_BYTES = 4 << 20
 WORD_GROUPS = 1 << 10
 END_WORD = np.uint64(0x9E3779B97F4A7C15)
@@ -334,7 +334,7 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
         yield from list_batches((int(k), columns(parts)) for k, parts in by_key(rows, "batch"))
 
     asked = dealt.select("batch", "text", "learned").repartition(int(batches), "batch").sortWithinPartitions("batch")
-    asked = scratch.save(asked.mapInArrow(list_all, "batch long, kind int, grp long, keys binary, counts binary"), "asked")
+    asked = scratch.save(asked.mapInArrow(tidy(list_all), "batch long, kind int, grp long, keys binary, counts binary"), "asked")
     after = scratch.save(asked.where(F.col("kind") == GRAM).select("grp", "keys", "counts").mapInArrow(short_counts, "h int, s int, n long").groupBy("h", "s").agg(F.sum("n").alias("n")), "short")
     pairs = np.zeros((256, 256), np.int64)
     for r in after.collect():  # at most 256 x 256 rows
@@ -345,13 +345,14 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
 
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
     answers = asked.select(slot, "batch", "keys", "counts").repartition("slot").sortWithinPartitions("slot")
-    answers = scratch.save(answers.mapInArrow(answer_all, "batch long, kind int, grp long, vals binary, tokens long, types long"), "answers")
+    answers = scratch.save(answers.mapInArrow(tidy(answer_all), "batch long, kind int, grp long, vals binary, tokens long, types long"), "answers")
     scratch.drop(asked, after)
     known = answers.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
 
     def join_batch(left: pa.Table, right: pa.Table) -> pa.Table:
         values = score_batch([c for c in left.column("text").chunks], list(zip(*(right.column(c).to_pylist() for c in ("kind", "grp", "vals")))), tokens, types) if len(left) else [np.zeros(0)] * 4
+        give_back()
         return pa.table({
             "doc_id": left.column("doc_id"), "learned": left.column("learned"), "n_tokens": pa.array(values[0], pa.int64()), "n_known": pa.array(values[1], pa.int64()),
             "train_tokens": pa.array(np.full(len(left), tokens), pa.int64()), "base_score": pa.array(values[2], pa.float64()), "score": pa.array(values[3], pa.float64()),

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .subwords import WordBatch
-from .textkernels import byte_chunks, utf8_view
+from .textkernels import byte_chunks, tidy, utf8_view
 
 ORDERS = (3, 4, 5)
 BITS = 18
@@ -222,4 +222,4 @@ def score_documents(docs: DataFrame, model: ToxicityModel, keep: list[str] | Non
                 cols = [batch.column(i).slice(lo, hi - lo) for i in range(len(keep))]
                 yield pa.RecordBatch.from_arrays([*cols, pa.array(scores)], names=[*keep, score_col])
 
-    return chosen.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{score_col} double"]))
+    return chosen.mapInArrow(tidy(run), ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{score_col} double"]))

@@ -18,9 +18,9 @@ import regex
 from pyspark.sql import DataFrame, functions as F
 
 from .bpe import SPLIT, printable_bytes
-from .textkernels import byte_chunks, utf8_view
+from .textkernels import byte_chunks, tidy, utf8_view
 
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 300_000
 
 
 class PieceModel:
@@ -93,5 +93,6 @@ def count_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", te
                 texts = [data[a:b].tobytes().decode() for a, b in zip(offsets[lo:hi].tolist(), offsets[lo + 1 : hi + 1].tolist())]
                 n, total = pieces.count_texts(texts)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(n, pa.int64()), pa.array(total, pa.int64())], names=["doc_id", "n_pretokens", "n_tokens"])
+        pieces.counts.clear()
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_pretokens long, n_tokens long")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), "doc_id long, n_pretokens long, n_tokens long")
