@@ -5,7 +5,6 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.types import ArrayType, LongType
 
@@ -53,10 +52,3 @@ def register_functions(spark: SparkSession) -> None:
                     yield r[0], r[1], r[2], phase
 
     spark.udtf.register("local_match", LocalMatch)
-
-
-def arrow_schema(table: pa.Table) -> str:
-    """DDL of an Arrow table, for mapInArrow."""
-    from pyspark.sql.pandas.types import from_arrow_schema
-
-    return from_arrow_schema(table.schema).simpleString()
