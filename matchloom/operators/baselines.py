@@ -91,9 +91,12 @@ def heavy_edge(edges: DataFrame, order: str = "id", seed: int = 42, engine: str
     """Vertices in turn, each free one with its heaviest edge to a free neighbour.
 
     ``order``: by id, or hashed (``random``). In rounds, a vertex may go when no vertex within
-    two steps comes before it: one that is farther cannot change its neighbours.
+    two steps comes before it: one that is farther cannot change its neighbours. ``engine``:
+    ``rounds``, ``scan`` (one task), or ``auto`` by the number of edges.
     """
     scratch, ordered = _start(edges, "heavyedge")
+    if engine == "auto":
+        engine = "scan" if ordered.count() <= SCAN_ROWS else "rounds"
     rank = F.struct(F.lit(0).cast("long") if order == "id" else portable_coin(seed, 0, "vertex"), F.col("vertex"))
     if engine == "scan":
         def scan(u, v):

@@ -106,7 +106,11 @@ register("hem_id", sql.heavy_edge(_SMALL))(edges_of(lambda s, d: baselines.heavy
 register("hem_random_portable", sql.heavy_edge(_SMALL, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "random", engine="scan")))
 register("hem_rounds", sql.heavy_edge(_SMALL, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "random", engine="rounds")))
 register("red_blue_portable", sql.red_blue(_SMALL))(lambda s, d: baselines.red_blue(small_graph(s, d)).matching.select(*RESULT))
-register("random_proposal")(lambda s, d: baselines.random_proposal(small_graph(s, d)).matching.select(*RESULT))
+register("hem_id_whole")(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "id", engine="auto")))
+register("hem_random_whole")(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "random", engine="auto")))
+register("hem_rounds_whole", sql.heavy_edge(_CN, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(graphs.customer_nation(s, d), "random", engine="rounds")))
+register("red_blue_whole", sql.red_blue(_PS))(lambda s, d: baselines.red_blue(graphs.part_supp(s, d)).matching.select(*RESULT))
+register("random_proposal")(lambda s, d: baselines.random_proposal(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("gpa")(edges_of(lambda s, d: paths.global_paths(graphs.copurchase(s, d))))
 register("gpa_repeated")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), rounds=3, maximal=True)))
 
@@ -114,22 +118,28 @@ register("gpa_repeated")(edges_of(lambda s, d: paths.global_paths(graphs.part_su
 @register("gpa_growth")
 def gpa_growth(spark: SparkSession, d: str) -> DataFrame:
     scratch = Scratch(spark, "growth")
-    ordered = ordered_edges(small_graph(spark, d), scratch)
-    return paths.grow_paths(ordered, scratch).select("u", "v", "comp")
+    ordered = ordered_edges(graphs.part_supp(spark, d), scratch)
+    grown = paths.grown_links_scan(ordered) if ordered.count() <= paths.SCAN_ROWS else paths.grow_paths(ordered, scratch)
+    return grown.select("u", "v", "comp")
+
+
+def _line_graph_sql(edges: str) -> str:
+    return f"with ranked as ({sql.ordered(edges)}), ends as (select u as x, u, v from ranked union all select v, u, v from ranked) select distinct least((a.u, a.v), (b.u, b.v))[1] as u1, least((a.u, a.v), (b.u, b.v))[2] as v1, greatest((a.u, a.v), (b.u, b.v))[1] as u2, greatest((a.u, a.v), (b.u, b.v))[2] as v2 from ends a join ends b on a.x = b.x and (a.u, a.v) < (b.u, b.v)"
 
 
-@register("line_graph", f"with ranked as ({sql.ordered(_SMALL)}), ends as (select u as x, u, v from ranked union all select v, u, v from ranked) select distinct least((a.u, a.v), (b.u, b.v))[1] as u1, least((a.u, a.v), (b.u, b.v))[2] as v1, greatest((a.u, a.v), (b.u, b.v))[1] as u2, greatest((a.u, a.v), (b.u, b.v))[2] as v2 from ends a join ends b on a.x = b.x and (a.u, a.v) < (b.u, b.v)")
-def line_graph(spark: SparkSession, d: str) -> DataFrame:
-    scratch = Scratch(spark, "linegraph")
-    ordered = ordered_edges(small_graph(spark, d), scratch)
+def named_line_graph(edges: DataFrame) -> DataFrame:
+    scratch = Scratch(edges.sparkSession, "linegraph")
+    ordered = ordered_edges(edges, scratch)
     named = ordered.select("eid", F.struct("u", "v").alias("e"))
     pairs = baselines.line_graph(ordered).join(named.select(F.col("eid").alias("e1"), F.col("e").alias("a")), "e1").join(named.select(F.col("eid").alias("e2"), F.col("e").alias("b")), "e2")
     low, high = F.least("a", "b"), F.greatest("a", "b")
     return pairs.select(low["u"].alias("u1"), low["v"].alias("v1"), high["u"].alias("u2"), high["v"].alias("v2"))
 
 
-register("line_graph_matching")(lambda s, d: baselines.line_graph_matching(small_graph(s, d)).matching.select(*RESULT))
-register("exact_small")(edges_of(lambda s, d: baselines.exact_matching(small_graph(s, d).where("u < 40 and v < 40"))))
+register("line_graph", _line_graph_sql(_SMALL))(lambda s, d: named_line_graph(small_graph(s, d)))
+register("line_graph_whole", _line_graph_sql(_CN))(lambda s, d: named_line_graph(graphs.customer_nation(s, d)))
+register("line_graph_matching")(lambda s, d: baselines.line_graph_matching(graphs.customer_nation(s, d)).matching.select(*RESULT))
+register("exact_small")(edges_of(lambda s, d: baselines.exact_matching(graphs.nation_region(s, d))))
 
 # measures
 _RANKED = f"with ranked as ({sql.ordered(_PS)}), {sql.DEGREES} "
