@@ -53,6 +53,7 @@ register("lm_star_nation", sql.matched(sql.GRAPHS["nation_region"]))(matching_qu
 register("lm_star_customer", sql.matched(sql.GRAPHS["customer_nation"]))(matching_query(graphs.customer_nation))
 register("lm_conversation_turn", sql.matched(sql.GRAPHS["conversation_turn"]))(matching_query(graphs.conversation_turn))
 register("lm_rising_path", sql.matched(sql.GRAPHS["rising_path_200"]))(matching_query(lambda s, d: graphs.rising_path(s, d, 200)))
+register("lm_rising_path_whole")(matching_query(graphs.rising_path, plan="kernel"))
 register("graph_windowed_succ", sql.DAYS)(graphs.windowed_succ)
 register("graph_rgg2d")(graphs.rgg2d)
 register("lm_rgg2d")(matching_query(graphs.rgg2d))

@@ -62,3 +62,9 @@ def test_heavy_edge_leaves_the_scan_above_its_bound(spark, monkeypatch):
     want = edges_of(baselines.heavy_edge(edges, "random", engine="scan"))
     monkeypatch.setattr(baselines, "SCAN_ROWS", 10)
     assert edges_of(baselines.heavy_edge(edges, "random", engine="auto")) == want
+
+
+def test_rising_path_is_matched_to_its_end(spark):
+    rows = registry.QUERIES["lm_rising_path_whole"](spark, SF).collect()
+    edges = graphs.rising_path(spark, SF).count()
+    assert {r["w"] for r in rows} == set(range(edges, 0, -2)) and {r["phase"] for r in rows} == set(range(1, (edges + 1) // 2 + 1))
