@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import count
 
 from pyspark.sql import DataFrame, functions as F
 
@@ -46,14 +47,15 @@ def contract(edges: DataFrame, matching: DataFrame) -> tuple[DataFrame, DataFram
     return names, moved.groupBy(F.least("nu", "nv").alias("u"), F.greatest("nu", "nv").alias("v")).agg(F.sum("w").alias("w"))
 
 
-def coarsen(edges: DataFrame, rating: str | Callable = "weight", min_vertices: int = 32, max_levels: int = 20, **options) -> list[dict]:
+def coarsen(edges: DataFrame, rating: str | Callable = "weight", min_vertices: int = 32, max_levels: int | None = 20, **options) -> list[dict]:
     """Levels of the hierarchy: each a dict of level, edges, coarse_map, vertex_weight, matching
-    and log, until few vertices are left or nothing is matched."""
+    and log, until few vertices are left or nothing is matched; ``max_levels`` (None: no bound)
+    ends it before."""
     scratch = Scratch(edges.sparkSession, "coarsen")
     live = scratch.save(edges.select("u", "v", "w"), "level")
     weights = scratch.save(arcs(live).select("vertex").distinct().withColumn("c", F.lit(1).cast("long")), "weights")
     levels = []
-    for level in range(1, max_levels + 1):
+    for level in count(1) if max_levels is None else range(1, max_levels + 1):
         if live.isEmpty() or weights.count() <= min_vertices:
             break
         rated = rate_edges(live, weights, rating)

@@ -211,7 +211,7 @@ def contract_once(spark: SparkSession, d: str) -> DataFrame:
 
 @register("coarsen_levels")
 def coarsen_levels(spark: SparkSession, d: str) -> DataFrame:
-    levels = coarsen.coarsen(graphs.copurchase(spark, d), rating="expansion2", max_levels=4)
+    levels = coarsen.coarsen(graphs.copurchase(spark, d), rating="expansion2", max_levels=None)
     rows = [(x["level"], x["edges"].count(), x["coarse"].count(), len(x["log"])) for x in levels]
     return spark.createDataFrame(rows, "level int, edges long, coarse_edges long, phases int")
 

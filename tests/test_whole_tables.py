@@ -68,3 +68,10 @@ def test_rising_path_is_matched_to_its_end(spark):
     rows = registry.QUERIES["lm_rising_path_whole"](spark, SF).collect()
     edges = graphs.rising_path(spark, SF).count()
     assert {r["w"] for r in rows} == set(range(edges, 0, -2)) and {r["phase"] for r in rows} == set(range(1, (edges + 1) // 2 + 1))
+
+
+def test_coarsening_goes_on_until_few_vertices_are_left(spark):
+    rows = registry.QUERIES["coarsen_levels"](spark, SF).orderBy("level").collect()
+    print(rows)
+    assert all(a["coarse_edges"] == b["edges"] for a, b in zip(rows, rows[1:]))
+    assert len(rows) > 4 and rows[-1]["coarse_edges"] <= 32 * 31 // 2
