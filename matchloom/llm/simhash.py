@@ -24,7 +24,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from .components import components
 from .storage import Scratch
@@ -35,6 +35,10 @@ SUB_TILE = 256
 SPAN = 2048
 PIECE = 1 << 16
 VERIFY_TILE = 1024
+#: Sets of up to so many shingles find their partners by shared shingles: few votes make coarse bits.
+SHORT = 64
+#: Standard deviations of the distance at the least similarity that larger sets' radius allows.
+SPREAD = 4
 
 
 def shingle_hashes(words: list[bytes], size: int, seed: int = SEED) -> Iterator[np.ndarray]:
@@ -276,6 +280,27 @@ def shingle_sets(docs: DataFrame, shingle: int) -> DataFrame:
     return docs.select("id", "text").mapInArrow(tidy(run), "id long, shingles binary")
 
 
+def short_links(sets: DataFrame, similarity: float) -> DataFrame:
+    """Links ``(a, b)`` that connect every two small sets ``(id, shingles)`` of the similarity asked
+    for, and others. Of n shingles at least the n - ceil(similarity n) + 1 first of any common order
+    hold one of the partner's first; rare ones come first here, so that common lines link little."""
+
+    def run(batches):
+        for batch in batches:
+            held = [np.frombuffer(b, np.int64) for b in batch.column(1).to_pylist()]
+            sizes = np.array([len(x) for x in held], np.int64)
+            ids = np.repeat(batch.column(0).to_numpy(), sizes)
+            flat = np.concatenate(held) if held else np.zeros(0, np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.repeat(sizes, sizes)), pa.array(flat)], names=["id", "n", "shingle"])
+
+    rows = sets.select("id", "shingles").mapInArrow(tidy(run), "id long, n long, shingle long")
+    shared = rows.groupBy("shingle").agg(F.count("*").alias("common"), F.min("id").alias("b")).where("common > 1")
+    rated = rows.join(shared, "shingle", "left").withColumn("common", F.coalesce("common", F.lit(1)))
+    place = F.row_number().over(W.partitionBy("id").orderBy("common", "shingle"))
+    first = F.col("n") - F.ceil(F.col("n") * F.lit(similarity) - F.lit(1e-9)) + 1
+    return rated.withColumn("place", place).where((F.col("place") <= first) & F.col("b").isNotNull() & (F.col("id") != F.col("b"))).select(F.col("id").alias("a"), "b").distinct()
+
+
 def verified_links(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, lone: bool, similarity: float) -> tuple[np.ndarray, np.ndarray]:
     """Exact Jaccard links of a pair of tiles, as a forest. Rows that already hang together are
     not compared again, so a tile of near copies costs about one comparison a row."""
@@ -309,19 +334,23 @@ def similar_documents(docs: DataFrame, shingle: int = 5, similarity: float = 0.8
     """``(doc_id, component_id)``: documents whose sets of ``shingle``-word shingles have a
     Jaccard similarity of ``similarity`` or more hang together; one row per distinct doc_id.
 
-    Candidates are the pairs of 128-bit fingerprints within a radius that lies 2.6 standard
-    deviations beyond the expected distance at that similarity; inside the parts that they
-    form, links are verified on the shingle sets. Texts without words hang together. Rows that
+    Candidates are the pairs of 128-bit fingerprints within a radius that lies SPREAD standard
+    deviations beyond the expected distance at that similarity, and those of up to SHORT shingles
+    that share one of their rarest (none of these is lost); inside the parts that they form,
+    links are verified on the shingle sets. Texts without words hang together. Rows that
     share a doc_id are one document, whose first text in order counts; null ids take no part.
     """
     scratch = scratch or Scratch(docs.sparkSession, "similar")
     angle = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    radius = math.ceil(128 * angle + 2.6 * math.sqrt(128 * angle * (1 - angle)))
+    radius = math.ceil(128 * angle + SPREAD * math.sqrt(128 * angle * (1 - angle)))
     rows = fingerprints(docs.where("doc_id is not null"), shingle, wide=True)
     marked = scratch.save(rows.groupBy("doc_id").agg(F.min(F.struct("w0", "w1", "n_shingles")).alias("f")).select("doc_id", "f.*"), "fingerprints")
     same = ["w0", "w1", "n_shingles"]
     groups = scratch.save(marked.groupBy(*same).agg(F.min("doc_id").alias("id")), "groups")
-    parts = scratch.save(components(forest(groups, radius, tile, None, similarity), scratch), "parts")
+    few = groups.where((F.col("n_shingles") > 0) & (F.col("n_shingles") <= math.floor(SHORT / similarity + 1e-9))).select("id")
+    short = shingle_sets(docs.select(F.col("doc_id").alias("id"), "text").join(few, "id", "left_semi"), shingle).groupBy("id").agg(F.min("shingles").alias("shingles"))
+    near = forest(groups, radius, tile, None, similarity).unionByName(short_links(scratch.save(short, "short"), similarity))
+    parts = scratch.save(components(near, scratch), "parts")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(parts.select(F.col("node").alias("id")), "id", "left_semi")
     sets = shingle_sets(texts, shingle).groupBy("id").agg(F.min("shingles").alias("shingles"))
     grouped = sets.join(parts.select(F.col("node").alias("id"), F.lit(0).alias("choice"), F.col("component").alias("value")), "id")

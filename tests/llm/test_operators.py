@@ -250,6 +250,17 @@ def odd_rows(dim):
     return [(9000, None), (9001, [0.0] * dim), (9002, [float("nan")] * dim), (9003, [None] + [1.0] * (dim - 1)), (9004, []), (9100, [float("inf")] * dim)]
 
 
+def test_similar_short_documents_are_all_found(spark):
+    rng = random.Random(9)
+    rows = []
+    for k in range(300):
+        words = [f"{rng.choice(WORDS)}{rng.randrange(10**6)}" for _ in range((8, 19, 28)[k % 3])]
+        # one more word: 4 of 5 shingles; four or six more: 15 of 19 (too few) and 24 of 30
+        rows += [(2 * k, " ".join(words), "s"), (2 * k + 1, " ".join(words + [f"x{i}" for i in range((1, 4, 6)[k % 3])]), "s")]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_documents(docs(spark, rows)).collect()}
+    assert got == {i: i - i % 2 if (i // 2) % 3 != 1 else i for i, *_ in rows}
+
+
 def test_neighbours_recall_and_ties(spark):
     rng = np.random.default_rng(3)
     x = np.concatenate([rng.normal(c, 1, size=(400, 12)) for c in (0, 3, 6)]).astype(np.float32)
