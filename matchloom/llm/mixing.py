@@ -1,20 +1,23 @@
 """Mixing sources to target weights, in DataFrame operations only.
 
 Words of each source are packed into blocks of ``block`` words. The output is a row of slots
-in shards of ``shard`` slots; each slot draws its source from the target distribution, so the
-counts of a shard are multinomial. A source's slots are numbered through all shards; what it
-drew beyond its quota falls away and what is missing fills a last shard, so totals meet the
-targets. Slot j of a source takes block P(j mod n) of its n blocks, P a pseudorandom
+in shards of ``shard`` slots. A pseudorandom permutation deals the slots to the sources by their
+quotas, so the counts of a shard are a multinomial draw given that the totals meet the targets;
+every shard is mixed, and nothing has to be cut or filled up. A source's slots are numbered
+through all shards; slot j of a source takes block P(j mod n) of its n blocks, P a pseudorandom
 permutation that changes with every turn j div n, and slots meet blocks by that index.
 
-A hot source is packed in buckets of about BUCKET_WORDS words, each packed by its own task; no
-step gathers a source. Hashes are md5 based, so that SQL engines can follow them.
+A hot source is packed in buckets of about BUCKET_WORDS words, each packed by its own task; rows of
+a doc_id that is repeated very often are dealt by row. Running sums over sources, buckets and
+shards go by ranges, so no step gathers a source, or all sources. Hashes are md5 based, so that
+SQL engines can follow them.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
+from ..operators.scan import prefix_sum
 from .storage import Scratch
 
 WORD = r"[^\x20\x09-\x0D]+"
@@ -24,12 +27,16 @@ BUCKET_WORDS = 1 << 20
 CELLS = 1024
 MOST_TURNS = 3
 SEED = 17
+#: Rows of one doc_id that a bucket takes at most, and rows of a table that is broadcast.
+SAME_ID_ROWS = 1 << 12
+BROADCAST_ROWS = 1 << 19
 #: Primes just above 2^20, one of which does not divide a given count below 2^40.
 MULTIPLIERS = (1048583, 1048589)
 
 
-def hash48(*parts: Column) -> Column:
+def hash48(*parts: Column | str) -> Column:
     """The first 48 bits of an md5 over the parts, as a long."""
+    parts = [F.col(p) if isinstance(p, str) else p for p in parts]
     text = F.concat_ws("|", F.lit(str(SEED)), *[F.coalesce(p.cast("string"), F.lit("-")) for p in parts])
     return F.conv(F.substring(F.md5(text), 1, 12), 16, 10).cast("long")
 
@@ -50,49 +57,56 @@ def permuted(x: Column, n: Column, key: Column) -> Column:
     return (y * second + F.floor(key / 4096).cast("long") % n) % n
 
 
-def source_targets(sizes: DataFrame) -> DataFrame:
+def small(table: DataFrame) -> DataFrame:
+    """The written table, marked for broadcast if its rows are few."""
+    return F.broadcast(table) if table.count() <= BROADCAST_ROWS else table
+
+
+def source_targets(sizes: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """``(source, source_no, weight, source_size, target)`` from rows ``(source, size)``.
 
     Weights go 1, 2, 3 and again, by code point, null last. All words are shared by weight, no
     source above MOST_TURNS times its own size; the level is that of the first source, in
     order of size by weight, that stays below its limit once all before it are at theirs.
     """
-    per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
-    place = F.row_number().over(W.orderBy(F.col("source").asc_nulls_last()))
-    named = per.withColumn("source_no", place - 1).withColumn("weight", (F.col("source_no") % 3 + 1).cast("double"))
-    tight = W.orderBy(F.col("source_size") / F.col("weight"), "source_no")
-    before, after, everything = tight.rowsBetween(W.unboundedPreceding, -1), tight.rowsBetween(0, W.unboundedFollowing), W.partitionBy()
+    scratch = scratch or Scratch(sizes.sparkSession, "targets")
+    per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.lit(1).cast("long").alias("one")).withColumn("last", F.col("source").isNull())
+    placed = prefix_sum(per, ["last", "source"], F.col("one"), scratch, "source_no")
+    named = scratch.save(placed.withColumn("weight", (F.col("source_no") % 3 + 1).cast("double")).withColumn("ratio", F.col("source_size") / F.col("weight")), "named")
     limit = F.lit(float(MOST_TURNS)) * F.col("source_size")
-    level = (F.sum("source_size").over(everything) - F.coalesce(F.sum(limit).over(before), F.lit(0.0))) / F.sum("weight").over(after)
-    filled = named.withColumn("level", level).withColumn("order", F.row_number().over(tight))
-    free = F.when(F.col("level") * F.col("weight") <= limit, F.struct("order", "level"))
-    top = F.min(free).over(everything)["level"]
-    target = F.least(limit, F.coalesce(top, F.lit(0.0)) * F.col("weight"))
-    return filled.select("source", F.col("source_no").cast("int"), "weight", "source_size", target.alias("target"))
+    everything = named.agg(F.sum("source_size"), F.sum("weight")).first()
+    words, weights = float(everything[0] or 0), float(everything[1] or 0)
+    tight = ["ratio", "source_no"]
+    limits = prefix_sum(named, tight, limit, scratch, "limits")
+    filled = prefix_sum(limits, tight, F.col("weight"), scratch, "weights")
+    level = (F.lit(words) - F.col("limits")) / (F.lit(weights) - F.col("weights"))
+    free = filled.withColumn("level", level).where(F.col("level") * F.col("weight") <= limit)
+    top = free.agg(F.min(F.struct(*tight, "level"))["level"]).first()[0] or 0.0
+    return named.select("source", F.col("source_no").cast("int"), "weight", "source_size", F.least(limit, F.lit(top) * F.col("weight")).alias("target"))
 
 
 class Mix:
     """A drawn mix. ``targets``: of each source; ``pieces``: parts of documents in blocks;
-    ``turns``: how often each block is taken; ``slots``: shard, source, slot, turn, block."""
+    ``turns``: how often each block is taken; ``slots``: shard, source, slot, turn, block.
+
+    ``sized`` is a written table ``(doc_id, source, size[, row])``."""
 
     def __init__(self, sized: DataFrame, scratch: Scratch, block: int = BLOCK_WORDS, shard: int = SHARD_SLOTS):
-        self.sized = sized
-        targets = source_targets(sized)
+        self.sized, self.scratch = sized, scratch
         buckets = F.greatest(F.lit(1), F.ceil(F.col("source_size") / F.lit(BUCKET_WORDS))).cast("long")
-        self.targets = scratch.save(targets.withColumn("buckets", buckets), "targets")
-        keyed = sized.join(F.broadcast(self.targets.select("source", "source_no", "buckets")), sized["source"].eqNullSafe(self.targets["source"])).drop(self.targets["source"])
-        worded = keyed.where("size > 0").withColumn("hash", hash48(F.col("doc_id"))).withColumn("bucket", F.col("hash") % F.col("buckets"))
-        packed = W.partitionBy("source_no", "bucket").orderBy("hash", "doc_id", "size", *[c for c in ("row",) if c in sized.columns])
+        self.targets = scratch.save(source_targets(sized, scratch).withColumn("buckets", buckets), "targets")
+        keyed = sized.join(small(self.targets).select("source", "source_no", "buckets"), sized["source"].eqNullSafe(self.targets["source"])).drop(self.targets["source"])
+        worded = self._spread(keyed.where("size > 0")).withColumn("hash", hash48("doc_id", "deal")).withColumn("bucket", F.col("hash") % F.col("buckets"))
+        packed = W.partitionBy("source_no", "bucket").orderBy("hash", "doc_id", "deal", "size", *[c for c in ("row",) if c in sized.columns])
         end = F.sum("size").over(packed.rowsBetween(W.unboundedPreceding, 0))
-        self.placed = scratch.save(worded.withColumn("start", end - F.col("size")).drop("hash", "buckets"), "placed")
+        self.placed = scratch.save(worded.withColumn("start", end - F.col("size")).drop("hash", "buckets", "deal"), "placed")
         filled = self.placed.groupBy("source_no", "bucket").agg(F.ceil(F.sum("size") / F.lit(block)).cast("long").alias("n"))
-        along = W.partitionBy("source_no").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)
-        bases = filled.select("source_no", "bucket", F.coalesce(F.sum("n").over(along), F.lit(0)).alias("base"))
-        counts = filled.groupBy("source_no").agg(F.sum("n").alias("blocks"))
+        filled = scratch.save(prefix_sum(filled, ["source_no", "bucket"], F.col("n"), scratch, "ahead"), "filled")
+        counts = filled.groupBy("source_no").agg(F.sum("n").alias("blocks"), F.min("ahead").alias("first"))
+        bases = filled.join(counts, "source_no").select("source_no", "bucket", (F.col("ahead") - F.col("first")).alias("base"))
         share = F.least(F.round(F.col("target") / F.col("source_size") * F.col("blocks")).cast("long"), MOST_TURNS * F.col("blocks"))
-        upto = W.orderBy("source_no").rowsBetween(W.unboundedPreceding, 0)
-        quotas = self.targets.join(counts, "source_no").select("source_no", "blocks", share.alias("quota")).withColumn("hi", F.sum("quota").over(upto)).withColumn("lo", F.col("hi") - F.col("quota"))
-        self.quotas = scratch.save(quotas, "quotas")
+        quotas = self.targets.join(counts, "source_no").select("source_no", "blocks", share.alias("quota"))
+        self.quotas = scratch.save(prefix_sum(quotas, ["source_no"], F.col("quota"), scratch, "lo").withColumn("hi", F.col("lo") + F.col("quota")), "quotas")
         self.slots = self._draw(sized.sparkSession, shard)
         first, last = F.floor(F.col("start") / block), F.floor((F.col("start") + F.col("size") - 1) / block)
         spread = self.placed.join(bases, ["source_no", "bucket"]).withColumn("first", first.cast("long")).withColumn("last", last.cast("long"))
@@ -106,20 +120,28 @@ class Mix:
         )
         self.turns = self.slots.groupBy("source_no", "index").agg(F.count("*").alias("turns"))
 
+    def _spread(self, keyed: DataFrame) -> DataFrame:
+        """Rows with a number ``deal`` that parts those of a doc_id with very many rows; 0 for others."""
+        counts = self.sized.groupBy("doc_id").count().where(F.col("count") > SAME_ID_ROWS)
+        hot = self.scratch.save(counts.select(F.col("doc_id").alias("hot"), F.ceil(F.col("count") / SAME_ID_ROWS).cast("long").alias("parts")), "hot")
+        none = F.lit(0).cast("long")
+        if hot.isEmpty():
+            return keyed.withColumn("deal", none)
+        part = F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.col("parts"))
+        numbered = keyed.join(small(hot), keyed["doc_id"].eqNullSafe(hot["hot"]), "left")
+        return numbered.withColumn("deal", F.coalesce(part, none)).drop("hot", "parts")
+
     def _draw(self, spark, shard: int) -> DataFrame:
         total = self.quotas.agg(F.sum("quota")).first()[0] or 0
         width = max(1, -(-total // CELLS))
         cells = self.quotas.where("quota > 0").withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
-        ticket = hash48(F.lit("draw"), F.col("id")) % F.lit(max(total, 1))
-        drawn = spark.range(total).select(F.floor(F.col("id") / shard).alias("shard"), ticket.alias("ticket"), F.floor(ticket / width).alias("cell"))
-        hits = drawn.join(cells, "cell").where("ticket >= lo and ticket < hi").groupBy("shard", "source_no").agg(F.count("*").alias("n"))
-        along = W.partitionBy("source_no").orderBy("shard")
-        upto = F.sum("n").over(along.rowsBetween(W.unboundedPreceding, 0))
-        runs = hits.withColumn("at", upto - F.col("n")).join(self.quotas.select("source_no", "quota", "blocks"), "source_no")
-        kept = runs.select("shard", "source_no", "blocks", "at", F.least(F.col("n"), F.col("quota") - F.col("at")).alias("n"))
-        have = hits.groupBy("source_no").agg(F.sum("n").alias("have"))
-        rest = self.quotas.join(have, "source_no", "left").select(F.lit(-(-total // shard)).cast("long").alias("shard"), "source_no", "blocks", F.coalesce("have", F.lit(0)).alias("at"), (F.col("quota") - F.coalesce("have", F.lit(0))).alias("n"))
-        runs = kept.unionByName(rest).where("n > 0")
+        ticket = permuted(F.col("id"), F.lit(max(total, 1)).cast("long"), hash48(F.lit("draw")))
+        drawn = spark.range(total).select(F.floor(F.col("id") / shard).alias("shard"), ticket.alias("ticket"))
+        drawn = drawn.withColumn("cell", F.floor(F.col("ticket") / width))
+        hits = drawn.join(cells, "cell").where("ticket >= lo and ticket < hi").groupBy("source_no", "shard").agg(F.count("*").alias("n"))
+        runs = prefix_sum(hits, ["source_no", "shard"], F.col("n"), self.scratch, "ahead").join(self.quotas.select("source_no", "lo", "blocks"), "source_no")
+        # source ranges of tickets follow one another, so what lies ahead of a source is its lo
+        runs = runs.withColumn("at", F.col("ahead") - F.col("lo"))
         # runs are cut by turn, so that a turn's key is made once, and dealt out before they grow
         first, last = F.floor(F.col("at") / F.col("blocks")).cast("long"), F.floor((F.col("at") + F.col("n") - 1) / F.col("blocks")).cast("long")
         turns = runs.withColumn("turn", F.explode(F.sequence(first, last))).withColumn("key", hash48(F.lit("turn"), F.col("source_no"), F.col("turn")))
@@ -149,9 +171,10 @@ def mix_report(docs: DataFrame, scratch: Scratch | None = None, block: int = BLO
     scratch = scratch or Scratch(docs.sparkSession, "mixing")
     sized = scratch.save(sized_documents(docs), "sized")
     mix = Mix(sized, scratch, block)
-    none = sized.where("size = 0").join(F.broadcast(mix.targets.select("source", "source_no")), sized["source"].eqNullSafe(mix.targets["source"])).select("doc_id", "size", "source_no", F.lit(0).cast("long").alias("taken"))
+    targets = small(mix.targets)
+    none = sized.where("size = 0").join(targets.select("source", "source_no"), sized["source"].eqNullSafe(mix.targets["source"])).select("doc_id", "size", "source_no", F.lit(0).cast("long").alias("taken"))
     rows = mix.placed.join(mix.taken().select("source_no", "bucket", "start", "taken"), ["source_no", "bucket", "start"], "left").select("doc_id", "size", "source_no", F.coalesce("taken", F.lit(0).cast("long")).alias("taken"))
-    return rows.unionByName(none).join(F.broadcast(mix.targets.select("source_no", "source_size", "target")), "source_no").select("doc_id", "size", "source_size", "target", "taken")
+    return rows.unionByName(none).join(targets.select("source_no", "source_size", "target"), "source_no").select("doc_id", "size", "source_size", "target", "taken")
 
 
 def mixed_documents(docs: DataFrame, scratch: Scratch | None = None, block: int = BLOCK_WORDS) -> DataFrame:
@@ -160,19 +183,81 @@ def mixed_documents(docs: DataFrame, scratch: Scratch | None = None, block: int
     the words are joined by single spaces. ``n_chars``, where there is one, follows the text.
     """
     scratch = scratch or Scratch(docs.sparkSession, "mixed")
-    rows = scratch.save(docs.withColumn("_row", F.xxhash64(*docs.columns)), "rows")
-    mix = Mix(scratch.save(sized_documents(rows, F.col("_row").alias("row")), "sized"), scratch, block)
+    # the documents travel as one struct, so that no column of theirs meets a helper's name
+    rows = scratch.save(docs.select(F.struct(*docs.columns).alias("doc"), F.monotonically_increasing_id().alias("row")), "rows")
+    mix = Mix(scratch.save(sized_documents(rows.select("doc.doc_id", "doc.text", "doc.source", "row"), F.col("row")), "sized"), scratch, block)
     taken = mix.pieces.join(mix.turns, ["source_no", "index"])
     each = taken.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("turns").cast("int"))))
     spans = (
-        each.groupBy("row", "source_no", "bucket", "start", "copy", "size")
+        each.groupBy("row", "copy", "size")
         .agg(F.sum("words").alias("got"), F.sort_array(F.collect_list(F.struct("word_from", "words"))).alias("spans"))
-        .select(F.col("row").alias("_row"), (F.col("got") == F.col("size")).alias("_whole"), F.col("spans").alias("_spans"))
+        .select("row", (F.col("got") == F.col("size")).alias("whole"), "spans")
     )
-    words = F.when(~F.col("_whole"), F.regexp_extract_all("text", F.lit(WORD), F.lit(0)))
-    joined = spans.join(rows.dropDuplicates(["_row"]), "_row").withColumn("_words", words)
-    cut = F.array_join(F.flatten(F.transform("_spans", lambda s: F.slice(F.col("_words"), (s["word_from"] + 1).cast("int"), s["words"].cast("int")))), " ")
-    out = joined.withColumn("text", F.when(F.col("_whole"), F.col("text")).otherwise(cut))
+    words = F.when(~F.col("whole"), F.regexp_extract_all("doc.text", F.lit(WORD), F.lit(0)))
+    joined = spans.join(rows, "row").withColumn("list", words)
+    cut = F.array_join(F.flatten(F.transform("spans", lambda s: F.slice(F.col("list"), (s["word_from"] + 1).cast("int"), s["words"].cast("int")))), " ")
+    out = joined.withColumn("words", F.when(F.col("whole"), F.col("doc.text")).otherwise(cut))
+    values = {c: F.col(f"doc.`{c}`") for c in docs.columns}
+    values["text"] = F.col("words")
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.length("text").cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*docs.columns)
+        values["n_chars"] = F.length("words").cast(dict(docs.dtypes)["n_chars"])
+    return out.select(*[v.alias(c) for c, v in values.items()])
+
+
+def _permuted_sql(x: str, n: str, key: str) -> str:
+    """``permuted`` over columns of a subquery, step by step."""
+    return f"""
+    select *, (y2 * (case when n % {MULTIPLIERS[1]} = 0 then {MULTIPLIERS[0]} else {MULTIPLIERS[1]} end) + (key // 4096) % n) % n as place from (
+      select *, case when y <= low then xor((xor(y, y >> half) * 668265 + key % 1000003) & low, ((xor(y, y >> half) * 668265 + key % 1000003) & low) >> half) else y end as y2 from (
+        select *, ({x} * (case when n % {MULTIPLIERS[0]} = 0 then {MULTIPLIERS[1]} else {MULTIPLIERS[0]} end) + key % n) % n as y,
+               (1::bigint << (length(bin(n)) - 1)::bigint) - 1 as low, greatest(length(bin(n)) // 2, 1)::bigint as half
+        from (select *, {n} as n, {key} as key from slots)))"""
+
+
+def _hash_sql(text: str) -> str:
+    return f"('0x' || substr(md5('{SEED}|' || {text}), 1, 12))::bigint"
+
+
+#: ``mix_report`` of documents in SQL, where no doc_id has more than SAME_ID_ROWS rows. How the slots
+#: of a source fall into shards does not change how often each is taken, so shards are left out.
+MIX_REPORT_SQL = rf"""
+with sized as (
+  select row_number() over () as r, doc_id, source, len(regexp_extract_all(coalesce(text, ''), '{WORD}'))::bigint as size from documents
+),
+per as (
+  select *, (source_no % 3 + 1)::double as weight, source_size / (source_no % 3 + 1)::double as ratio, {MOST_TURNS}.0::double * source_size as most
+  from (select source, sum(size)::bigint as source_size, row_number() over (order by source nulls last) - 1 as source_no from sized group by source)
+),
+levels as (
+  select *, (sum(source_size) over () - (sum(most) over along - most)) / (sum(weight) over () - (sum(weight) over along - weight)) as level
+  from per window along as (order by ratio, source_no rows unbounded preceding)
+),
+targets as (
+  select source, source_no, source_size, greatest(1, ceil(source_size / {BUCKET_WORDS}))::bigint as buckets,
+         least(most, coalesce((select arg_min(level, (ratio, source_no)) from levels where level * weight <= most), 0.0) * weight) as target
+  from per
+),
+worded as (
+  select s.r, s.doc_id, s.size, t.source_no, {_hash_sql("coalesce(s.doc_id::varchar, '-') || '|0'")} as hash, t.buckets
+  from sized s join targets t on s.source is not distinct from t.source where s.size > 0
+),
+placed as (
+  select *, (sum(size) over (partition by source_no, bucket order by hash, doc_id, size, r rows unbounded preceding) - size)::bigint as start
+  from (select *, hash % buckets as bucket from worded)
+),
+filled as (select source_no, bucket, ceil(sum(size) / {BLOCK_WORDS})::bigint as n from placed group by all),
+bases as (select *, (sum(n) over (partition by source_no order by bucket rows unbounded preceding) - n)::bigint as base from filled),
+counts as (select source_no, sum(n)::bigint as blocks from filled group by source_no),
+quotas as (select source_no, blocks, least(round(target / source_size * blocks)::bigint, {MOST_TURNS} * blocks) as quota from targets join counts using (source_no)),
+slots as (
+  select source_no, blocks, slot % blocks as x, {_hash_sql("'turn|' || source_no || '|' || (slot // blocks)")} as k
+  from (select source_no, blocks, unnest(range(quota)) as slot from quotas)
+),
+turns as (select source_no, place as index, count(*) as turns from ({_permuted_sql("x", "blocks", "k")}) group by all),
+pieces as (
+  select r, source_no, base + local as index, least(start + size, (local + 1) * {BLOCK_WORDS}) - greatest(start, local * {BLOCK_WORDS}) as words
+  from (select p.*, b.base, unnest(range(start // {BLOCK_WORDS}, (start + size - 1) // {BLOCK_WORDS} + 1)) as local from placed p join bases b using (source_no, bucket))
+),
+taken as (select r, sum(words * turns)::bigint as taken from pieces join turns using (source_no, index) group by r)
+select s.doc_id, s.size, t.source_size, t.target, coalesce(k.taken, 0)::bigint as taken
+from sized s join targets t on s.source is not distinct from t.source left join taken k using (r)"""

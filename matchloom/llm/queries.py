@@ -69,7 +69,7 @@ def op9_embedding_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_chat_quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quotations.reply_order(load(spark, sf_dir, "conversations"))
+    return quotations.chat_lines(load(spark, sf_dir, "conversations"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -84,4 +84,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_embedding_near_dup": op9_embedding_near_dup,
     "op10_chat_quotations": op10_chat_quotations,
 }
-ORACLE_SQL: dict[str, str] = {"op10_chat_quotations": quotations.REPLY_ORDER_SQL}
+ORACLE_SQL: dict[str, str] = {"op1_mixing": mixing.MIX_REPORT_SQL, "op10_chat_quotations": quotations.REPLY_ORDER_SQL}
