@@ -5,14 +5,15 @@ size of the input:
 
 * a radius below ``blocks`` cuts the 64 bits into ``blocks`` pieces; two fingerprints within
   the radius agree on at least ``blocks - radius`` pieces, so tiles form only inside groups
-  that share such a choice of pieces;
+  that share such a choice of pieces. More rows take more pieces, so that keys stay wide enough;
 * a larger radius compares tiles of the whole table, or, where a Jaccard similarity is asked
-  for as well, of the sets of similar sizes.
+  for as well, of the rows that share a band of min-hashes.
 
-A group of more than ``tile`` rows is dealt over several tiles, and each pair of tiles is a
-task of its own. Inside a task rows are sorted by population count, and sub-tiles whose
-counts differ by more than the radius are skipped before any exclusive-or. What leaves a
-task is a forest (each row with the least row that it reaches there), never all pairs.
+A group of more than ``tile`` rows is cut by population count, and each pair of tiles whose
+counts are within the radius is a task of its own; other pairs are never dealt. Inside a task rows
+are sorted by population count, and sub-tiles whose counts differ by more than the radius are
+skipped before any exclusive-or. What leaves a task is a forest (each row with the least row
+that it reaches there), never all pairs.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, Window as W, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from .components import components
 from .storage import Scratch
@@ -34,11 +35,17 @@ SEED = 42
 SUB_TILE = 256
 SPAN = 2048
 PIECE = 1 << 16
+#: Rows and bytes of shingle sets that one tile of the exact comparison holds.
 VERIFY_TILE = 1024
-#: Sets of up to so many shingles find their partners by shared shingles: few votes make coarse bits.
+VERIFY_BYTES = 32 << 20
+VERIFY_CHUNK = 2048
+#: Sets of up to so many shingles are compared whatever their bits: few votes make coarse bits.
 SHORT = 64
 #: Standard deviations of the distance at the least similarity that larger sets' radius allows.
-SPREAD = 4
+SPREAD = 5
+#: Min-hash bands and hashes of each: at similarity 0.8 all bands differ with a chance of 3e-6.
+BANDS, BAND_ROWS = 32, 5
+MOST_PIECES = 4
 
 
 def shingle_hashes(words: list[bytes], size: int, seed: int = SEED) -> Iterator[np.ndarray]:
@@ -75,15 +82,16 @@ def fingerprints(docs: DataFrame, shingle: int = 4, wide: bool = False, id_col:
     """``(doc_id, w0[, w1, n_shingles])``: fingerprint words as signed longs.
 
     Null or blank texts get zero; shorter texts than a shingle count as one shingle. ``wide``
-    adds a second word over hashes with another seed, and the number of distinct shingles.
+    adds a second word over hashes with another seed, the number of distinct shingles, and the
+    min-hash bands of their set (none for an empty set).
     """
     kinds = [("doc_id", pa.int64()), ("w0", pa.int64())] + ([("w1", pa.int64()), ("n_shingles", pa.int64())] if wide else [])
-    schema = pa.schema(kinds)
+    schema = pa.schema(kinds + [("bands", pa.list_(pa.int64()))] * wide)
 
     def run(batches):
         for batch in batches:
             data, offsets = utf8_view(batch.column(1))
-            rows = [[] for _ in kinds[1:]]
+            rows, bands = [[] for _ in kinds[1:]], []
             for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
                 words = word_list(data, a, b)
                 if wide:
@@ -93,12 +101,14 @@ def fingerprints(docs: DataFrame, shingle: int = 4, wide: bool = False, id_col:
                     rows[0].append(majority_bits(iter([once])))
                     rows[1].append(majority_bits(iter([remix(once)])))
                     rows[2].append(len(once))
+                    bands.append(min_hash_bands(once))
                 else:
                     rows[0].append(majority_bits(shingle_hashes(words, shingle)))
             cols = [np.array(r, np.uint64).view(np.int64) for r in rows]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, cols)], schema=schema)
+            lists = [pa.array(bands, pa.list_(pa.int64()))] if wide else []
+            yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, cols), *lists], schema=schema)
 
-    ddl = "doc_id long, w0 long" + (", w1 long, n_shingles long" if wide else "")
+    ddl = "doc_id long, w0 long" + (", w1 long, n_shingles long, bands array<long>" if wide else "")
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), ddl)
 
 
@@ -110,6 +120,24 @@ def remix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+def min_hash_bands(hashes: np.ndarray) -> np.ndarray:
+    """BANDS keys of a set, each over the least of BAND_ROWS hashes of its members."""
+    if not len(hashes):
+        return np.zeros(0, np.int64)
+    least = np.full(BANDS * BAND_ROWS, np.iinfo(np.uint64).max, np.uint64)
+    seeds = remix(np.arange(1, 2 * len(least) + 1, dtype=np.uint64))
+    flips, odds = seeds[: len(least)], seeds[len(least) :] | np.uint64(1)
+    for at in range(0, len(hashes), 2048):
+        mixed = hashes[None, at : at + 2048] ^ flips[:, None]
+        mixed *= odds[:, None]
+        mixed ^= mixed >> np.uint64(32)
+        np.minimum(least, mixed.min(axis=1), out=least)
+    keys = np.arange(BANDS, dtype=np.uint64)
+    for k in range(BAND_ROWS):
+        keys = remix(keys ^ least[k::BAND_ROWS])
+    return keys.view(np.int64)
+
+
 def settle(labels: np.ndarray, left: np.ndarray, right: np.ndarray) -> None:
     """Lower the labels of linked rows to the least of both, until nothing moves (in place)."""
     while True:
@@ -126,25 +154,28 @@ def bit_counts(words: np.ndarray) -> np.ndarray:
 
 
 def close_rows(a: np.ndarray, b: np.ndarray, radius: int, same: bool, sizes: tuple | None = None, ratio: float = 0.0) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs of rows within ``radius`` bits. Both inputs (n, words) are sorted by bit
-    count, or by ``sizes`` where those are given: then sets whose sizes differ by more than the
-    ratio allows are skipped as well."""
-    ones_a, ones_b = bit_counts(a), bit_counts(b)
-    key_a, key_b = sizes or (ones_a, ones_b)
+    """Index pairs of rows within ``radius`` bits. Both inputs (n, words) are sorted by bit count.
+    With ``sizes`` of the sets, those whose ratio is below ``ratio`` are left out, and sets of up
+    to SHORT members pass whatever their bits (sort them first; they count as zero bits)."""
+    ones_a, ones_b = (bit_counts(x) for x in (a, b))
+    few_a, few_b = (np.zeros(len(x), bool) for x in (a, b))
+    if sizes:
+        few_a, few_b = (x <= SHORT / ratio for x in sizes)
     for i in range(0, len(a), SUB_TILE):
         j = min(i + SUB_TILE, len(a))
-        least, most = (key_a[i] * ratio, key_a[j - 1] / ratio) if sizes else (key_a[i] - radius, key_a[j - 1] + radius)
-        lo = i if same else int(np.searchsorted(key_b, least, side="left"))
-        hi = int(np.searchsorted(key_b, most, side="right"))
-        low, high = ones_a[i:j].min() - radius, ones_a[i:j].max() + radius
-        for s in range(lo, hi, SPAN):
-            e = min(s + SPAN, hi)
-            if ones_b[s:e].max() < low or ones_b[s:e].min() > high:
+        for s in range(i if same else 0, len(b), SPAN):
+            e = min(s + SPAN, len(b))
+            few = few_a[i:j].any() and few_b[s:e].any()
+            if not few and (ones_b[s:e].max() < ones_a[i:j].min() - radius or ones_b[s:e].min() > ones_a[i:j].max() + radius):
                 continue
             apart = np.bitwise_count(a[i:j, 0][:, None] ^ b[s:e, 0][None, :])
             for w in range(1, a.shape[1]):
                 apart += np.bitwise_count(a[i:j, w][:, None] ^ b[s:e, w][None, :])
             hit = apart <= radius
+            if sizes:
+                x, y = sizes[0][i:j, None], sizes[1][None, s:e]
+                hit |= few_a[i:j, None] & few_b[None, s:e]
+                hit &= np.minimum(x, y) >= ratio * np.maximum(x, y) - 1e-9
             if hit.any():
                 x, y = np.nonzero(hit)
                 x, y = x + i, y + s
@@ -152,24 +183,48 @@ def close_rows(a: np.ndarray, b: np.ndarray, radius: int, same: bool, sizes: tup
                 yield x[keep], y[keep]
 
 
+def ordered_tile(words: np.ndarray, ids: np.ndarray, side: np.ndarray, sizes: np.ndarray | None, ratio: float) -> np.ndarray:
+    """Order of a pair of tiles: by side, short sets first, by bit count."""
+    ones = bit_counts(words)
+    if sizes is not None:
+        ones = np.where(sizes <= SHORT / ratio, -1, ones)
+    return np.lexsort((ids, ones, side))
+
+
+def tile_pairs(words: np.ndarray, side: np.ndarray, lone: bool, radius: int, sizes: np.ndarray | None, ratio: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Close pairs of rows of an ordered pair of tiles."""
+    if lone:
+        yield from close_rows(words, words, radius, True, None if sizes is None else (sizes, sizes), ratio)
+    else:
+        cut = int(np.searchsorted(side, 1))
+        for x, y in close_rows(words[:cut], words[cut:], radius, False, None if sizes is None else (sizes[:cut], sizes[cut:]), ratio):
+            yield x, y + cut
+
+
 def tile_forest(words: np.ndarray, ids: np.ndarray, side: np.ndarray, lone: bool, radius: int, sizes: np.ndarray | None = None, ratio: float = 0.0) -> tuple[np.ndarray, np.ndarray]:
     """Links found in one pair of tiles, as (row id, least id of its part). side: 0 or 1."""
-    order = np.lexsort((ids, bit_counts(words) if sizes is None else sizes, side))
+    order = ordered_tile(words, ids, side, sizes, ratio)
     words, ids, side = words[order], ids[order], side[order]
     sizes = None if sizes is None else sizes[order]
-    cut = int(np.searchsorted(side, 1))
     rank = np.argsort(np.argsort(ids, kind="stable"), kind="stable")
     labels, by_rank = np.arange(len(ids)), np.sort(ids, kind="stable")
-    if lone:
-        for x, y in close_rows(words, words, radius, True, None if sizes is None else (sizes, sizes), ratio):
-            settle(labels, rank[x], rank[y])
-    else:
-        for x, y in close_rows(words[:cut], words[cut:], radius, False, None if sizes is None else (sizes[:cut], sizes[cut:]), ratio):
-            settle(labels, rank[x], rank[y + cut])
+    for x, y in tile_pairs(words, side, lone, radius, sizes, ratio):
+        settle(labels, rank[x], rank[y])
     moved = np.flatnonzero(labels != np.arange(len(labels)))
     return by_rank[moved], by_rank[labels[moved]]
 
 
+def pieces_for(n: int, radius: int) -> int:
+    """Number of pieces for n rows: more of them cost more copies of each row, but their keys
+    are wider, so that groups by chance stay small."""
+
+    def cost(blocks: int) -> float:
+        bits = (64 // blocks) * (blocks - radius)
+        return math.comb(blocks, radius) * (1 + n / 2**bits / 512)
+
+    return min(range(radius + 1, radius + 1 + MOST_PIECES), key=cost)
+
+
 def _block_keys(radius: int, blocks: int) -> Column:
     """Every choice of ``blocks - radius`` of the 64-bit word's pieces, as (choice, value)."""
     sizes = [64 // blocks + (i < 64 % blocks) for i in range(blocks)]
@@ -184,22 +239,35 @@ def _block_keys(radius: int, blocks: int) -> Column:
     return F.explode(F.array(*keys))
 
 
-def deal_tiles(grouped: DataFrame, columns: list[str], tile: int) -> DataFrame:
+def deal_tiles(grouped: DataFrame, columns: list[str], tile: int, scratch: Scratch, radius: int | None = None, weight: Column | None = None, most_weight: int = 0) -> DataFrame:
     """Rows of groups (choice, value) to pairs of tiles (i, j): every two rows of a group meet
-    in one pair. ``side`` tells the tiles of a pair apart. Groups of one row are left out."""
-    sizes = grouped.groupBy("choice", "value").count().where("count > 1").withColumn("tiles", F.ceil(F.col("count") / F.lit(tile)).cast("int")).drop("count")
-    own = F.pmod(F.xxhash64("id"), F.col("tiles")).cast("int")
-    partners = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
-    return (
-        grouped.join(sizes, ["choice", "value"])
-        .withColumn("mine", own)
-        .withColumn("other", partners)
-        .select(
-            "choice", "value", "id", *columns,
-            F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
-            (F.col("mine") > F.col("other")).cast("int").alias("side"),
-        )
-    )
+    in one pair, or, with a radius, every two whose bit counts (column ``ones``) differ by no
+    more. ``side`` tells the tiles of a pair apart. Groups of one row are left out; a tile has
+    about ``tile`` rows, and ``most_weight`` of the weight, if one is given."""
+    tiles = F.ceil(F.count("*") / F.lit(tile))
+    if weight is not None:
+        tiles = F.greatest(tiles, F.ceil(F.sum(weight) / F.lit(most_weight)))
+    sizes = grouped.groupBy("choice", "value").agg(F.count("*").alias("n"), tiles.cast("int").alias("tiles")).where("n > 1").drop("n")
+    sizes = scratch.save(sizes, "sizes")
+    large = sizes.where("tiles > 1")
+    zero = F.lit(0).cast("long")
+    whole = grouped.join(sizes.where("tiles = 1"), ["choice", "value"]).select("choice", "value", "id", *columns, zero.alias("i"), zero.alias("j"), F.lit(0).alias("side"))
+    if large.isEmpty():
+        return whole
+    cut = grouped.join(large, ["choice", "value"])
+    shift = F.lit(1 << 32).cast("long")
+    if radius is None:
+        dealt = cut.withColumn("mine", F.pmod(F.xxhash64("id"), F.col("tiles"))).withColumn("other", F.explode(F.sequence(zero, F.col("tiles").cast("long") - 1)))
+    else:
+        bands = cut.groupBy("choice", "value", "ones").agg(F.ceil(F.count("*") / F.lit(tile)).cast("long").alias("parts"))
+        bands = scratch.save(bands.groupBy("choice", "value").agg(F.collect_list(F.struct("ones", "parts")).alias("bands")), "bands")
+        own = F.filter("bands", lambda x: x["ones"] == F.col("ones"))[0]["parts"]
+        near = F.filter("bands", lambda x: F.abs(x["ones"] - F.col("ones")) <= radius)
+        others = F.flatten(F.transform(near, lambda x: F.transform(F.sequence(zero, x["parts"] - 1), lambda part: x["ones"] * shift + part)))
+        dealt = cut.join(bands, ["choice", "value"]).withColumn("mine", F.col("ones") * shift + F.pmod(F.xxhash64("id"), own)).withColumn("other", F.explode(others))
+    return whole.unionByName(dealt.select(
+        "choice", "value", "id", *columns, F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), (F.col("mine") > F.col("other")).cast("int").alias("side"),
+    ))
 
 
 TILE_KEYS = ["choice", "value", "i", "j"]
@@ -240,28 +308,29 @@ def over_tiles(compare):
     return run
 
 
-def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None = 5, ratio: float = 0.0) -> DataFrame:
-    """Distinct fingerprints ``(id, w0[, w1, n_shingles])`` to links ``(a, b)`` that connect the
-    same parts as all pairs within ``radius`` bits do. ``blocks=None`` compares whole tiles;
-    ``ratio`` leaves out pairs whose shingle counts alone rule a Jaccard similarity out.
+def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None = 5, ratio: float = 0.0, scratch: Scratch | None = None) -> DataFrame:
+    """Distinct fingerprints ``(id, w0[, w1])`` to links ``(a, b)`` that connect the same parts as
+    all pairs within ``radius`` bits do. ``blocks=None`` compares whole tiles. With a ``ratio``
+    points also hold ``n_shingles`` and ``bands``: rows that share a band are compared, sets whose
+    sizes rule that Jaccard similarity out are not, and short sets link whatever their bits.
     """
+    scratch = scratch or Scratch(points.sparkSession, "forest")
     words = [c for c in ("w0", "w1") if c in points.columns]
     columns = words + ["n_shingles"] * (ratio > 0)
-    if blocks is not None:
-        grouped = points.select("id", *columns, _block_keys(radius, blocks).alias("g")).select("id", *columns, "g.choice", "g.value")
-    elif ratio > 0:
-        # sets of similar sizes lie in the same or in neighbouring classes of the logarithm
-        size_class = F.floor(F.log(F.greatest("n_shingles", F.lit(1))) / F.lit(-math.log(ratio) * 1.0001))
-        grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.explode(F.array(size_class, size_class - 1)).alias("value"))
+    ones = sum((F.bit_count(c) for c in words[1:]), F.bit_count("w0")).cast("long").alias("ones")
+    if ratio > 0:
+        grouped = points.select("id", *columns, F.posexplode("bands").alias("choice", "value"))
+    elif blocks is not None:
+        grouped = points.select("id", *columns, ones, _block_keys(radius, blocks).alias("g")).select("id", *columns, "ones", "g.choice", "g.value")
     else:
-        grouped = points.select("id", *columns, F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
+        grouped = points.select("id", *columns, ones, F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
 
     def compare(table: pa.Table, lone: bool):
         bits = np.stack([table.column(c).to_numpy().view(np.uint64) for c in words], axis=1)
         sizes = table.column("n_shingles").to_numpy() if ratio > 0 else None
         return tile_forest(bits, table.column("id").to_numpy(), table.column("side").to_numpy(), lone, radius, sizes, ratio)
 
-    dealt = deal_tiles(grouped, columns, tile)
+    dealt = deal_tiles(grouped, columns, tile, scratch, None if ratio > 0 else radius)
     return dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(tidy(over_tiles(compare)), LINKS).distinct()
 
 
@@ -280,86 +349,66 @@ def shingle_sets(docs: DataFrame, shingle: int) -> DataFrame:
     return docs.select("id", "text").mapInArrow(tidy(run), "id long, shingles binary")
 
 
-def short_links(sets: DataFrame, similarity: float) -> DataFrame:
-    """Links ``(a, b)`` that connect every two small sets ``(id, shingles)`` of the similarity asked
-    for, and others. Of n shingles at least the n - ceil(similarity n) + 1 first of any common order
-    hold one of the partner's first; rare ones come first here, so that common lines link little."""
-
-    def run(batches):
-        for batch in batches:
-            held = [np.frombuffer(b, np.int64) for b in batch.column(1).to_pylist()]
-            sizes = np.array([len(x) for x in held], np.int64)
-            ids = np.repeat(batch.column(0).to_numpy(), sizes)
-            flat = np.concatenate(held) if held else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.repeat(sizes, sizes)), pa.array(flat)], names=["id", "n", "shingle"])
-
-    rows = sets.select("id", "shingles").mapInArrow(tidy(run), "id long, n long, shingle long")
-    shared = rows.groupBy("shingle").agg(F.count("*").alias("common"), F.min("id").alias("b")).where("common > 1")
-    rated = rows.join(shared, "shingle", "left").withColumn("common", F.coalesce("common", F.lit(1)))
-    place = F.row_number().over(W.partitionBy("id").orderBy("common", "shingle"))
-    first = F.col("n") - F.ceil(F.col("n") * F.lit(similarity) - F.lit(1e-9)) + 1
-    return rated.withColumn("place", place).where((F.col("place") <= first) & F.col("b").isNotNull() & (F.col("id") != F.col("b"))).select(F.col("id").alias("a"), "b").distinct()
-
-
-def verified_links(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, lone: bool, similarity: float) -> tuple[np.ndarray, np.ndarray]:
-    """Exact Jaccard links of a pair of tiles, as a forest. Rows that already hang together are
-    not compared again, so a tile of near copies costs about one comparison a row."""
-    order = np.lexsort((ids, side))
-    parent = list(range(len(ids)))
-
-    def root(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
-
-    low, high = [], []
-    for k, x in enumerate(order.tolist()):
-        for y in order[:k].tolist():
-            ry, rx = root(y), root(x)
-            if rx == ry or not lone and side[x] == side[y]:
-                continue
-            a, b = sets[x], sets[y]
-            if min(len(a), len(b)) < similarity * max(len(a), len(b)):
-                continue
-            common = len(np.intersect1d(a, b, assume_unique=True))
-            if common >= similarity * (len(a) + len(b) - common):
-                parent[max(rx, ry)] = min(rx, ry)
-                low.append(ids[x])
-                high.append(ids[y])
-    return np.array(low, np.int64), np.array(high, np.int64)
+def verified_links(ids: np.ndarray, sets: list[np.ndarray], pairs: Iterator[tuple[np.ndarray, np.ndarray]], similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Exact Jaccard links among candidate pairs of rows, as a forest. Rows that already hang
+    together are not compared again, so a tile of near copies costs about one comparison a row."""
+    rank = np.argsort(np.argsort(ids, kind="stable"), kind="stable")
+    labels, by_rank = np.arange(len(ids)), np.sort(ids, kind="stable")
+    for x, y in pairs:
+        while True:
+            open_ = labels[rank[x]] != labels[rank[y]]
+            x, y = x[open_], y[open_]
+            if not len(x):
+                break
+            good = []
+            for k, (i, j) in enumerate(zip(x[:VERIFY_CHUNK].tolist(), y[:VERIFY_CHUNK].tolist())):
+                a, b = sets[i], sets[j]
+                common = len(np.intersect1d(a, b, assume_unique=True))
+                if common >= similarity * (len(a) + len(b) - common):
+                    good.append(k)
+            settle(labels, rank[x[good]], rank[y[good]])
+            x, y = x[VERIFY_CHUNK:], y[VERIFY_CHUNK:]
+    moved = np.flatnonzero(labels != np.arange(len(labels)))
+    return by_rank[moved], by_rank[labels[moved]]
 
 
-def similar_documents(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, scratch: Scratch | None = None, tile: int = 32768) -> DataFrame:
+def similar_documents(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, scratch: Scratch | None = None, tile: int = 2048) -> DataFrame:
     """``(doc_id, component_id)``: documents whose sets of ``shingle``-word shingles have a
     Jaccard similarity of ``similarity`` or more hang together; one row per distinct doc_id.
 
-    Candidates are the pairs of 128-bit fingerprints within a radius that lies SPREAD standard
-    deviations beyond the expected distance at that similarity, and those of up to SHORT shingles
-    that share one of their rarest (none of these is lost); inside the parts that they form,
-    links are verified on the shingle sets. Texts without words hang together. Rows that
-    share a doc_id are one document, whose first text in order counts; null ids take no part.
+    Candidates share one of BANDS min-hash bands and lie, if their sets have more than SHORT
+    members, within a radius of their 128-bit fingerprints that is SPREAD standard deviations
+    beyond the expected distance at that similarity. Candidates form work units, inside which
+    links are verified on the shingle sets before they count. A pair at similarity 0.8 is lost
+    with a chance of about 4e-6, one above it with less. Texts without words hang together. Rows
+    that share a doc_id are one document, whose first text in order of fingerprints counts; null
+    ids take no part.
     """
     scratch = scratch or Scratch(docs.sparkSession, "similar")
     angle = math.acos(2 * similarity / (1 + similarity)) / math.pi
     radius = math.ceil(128 * angle + SPREAD * math.sqrt(128 * angle * (1 - angle)))
-    rows = fingerprints(docs.where("doc_id is not null"), shingle, wide=True)
-    marked = scratch.save(rows.groupBy("doc_id").agg(F.min(F.struct("w0", "w1", "n_shingles")).alias("f")).select("doc_id", "f.*"), "fingerprints")
     same = ["w0", "w1", "n_shingles"]
-    groups = scratch.save(marked.groupBy(*same).agg(F.min("doc_id").alias("id")), "groups")
-    few = groups.where((F.col("n_shingles") > 0) & (F.col("n_shingles") <= math.floor(SHORT / similarity + 1e-9))).select("id")
-    short = shingle_sets(docs.select(F.col("doc_id").alias("id"), "text").join(few, "id", "left_semi"), shingle).groupBy("id").agg(F.min("shingles").alias("shingles"))
-    near = forest(groups, radius, tile, None, similarity).unionByName(short_links(scratch.save(short, "short"), similarity))
+    rows = fingerprints(docs.where("doc_id is not null"), shingle, wide=True)
+    marked = scratch.save(rows.groupBy("doc_id").agg(F.min(F.struct(*same, "bands")).alias("f")).select("doc_id", "f.*"), "fingerprints")
+    groups = scratch.save(marked.groupBy(*same).agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")), "groups")
+    near = scratch.save(forest(groups, radius, tile, None, similarity, scratch), "near")
     parts = scratch.save(components(near, scratch), "parts")
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(parts.select(F.col("node").alias("id")), "id", "left_semi")
-    sets = shingle_sets(texts, shingle).groupBy("id").agg(F.min("shingles").alias("shingles"))
-    grouped = sets.join(parts.select(F.col("node").alias("id"), F.lit(0).alias("choice"), F.col("component").alias("value")), "id")
+    members = (F.octet_length("shingles") / 8).cast("long").alias("n_shingles")
+    sets = shingle_sets(texts, shingle).select("id", members, "shingles").groupBy("id", "n_shingles").agg(F.min("shingles").alias("shingles"))
+    known = groups.select("id", *same).join(parts.select(F.col("node").alias("id"), F.lit(0).alias("choice"), F.col("component").alias("value")), "id")
+    grouped = scratch.save(sets.join(known, ["id", "n_shingles"]), "sets")
 
     def compare(table: pa.Table, lone: bool):
-        held = [np.frombuffer(b, np.uint64) for b in table.column("shingles").to_pylist()]
-        return verified_links(table.column("id").to_numpy(), held, table.column("side").to_numpy(), lone, similarity)
-
-    dealt = deal_tiles(grouped, ["shingles"], VERIFY_TILE)
+        ids, side = table.column("id").to_numpy(), table.column("side").to_numpy()
+        bits = np.stack([table.column(c).to_numpy().view(np.uint64) for c in ("w0", "w1")], axis=1)
+        sizes = table.column("n_shingles").to_numpy()
+        order = ordered_tile(bits, ids, side, sizes, similarity)
+        held = table.column("shingles").to_pylist()
+        held = [np.frombuffer(held[k], np.uint64) for k in order.tolist()]
+        return verified_links(ids[order], held, tile_pairs(bits[order], side[order], lone, radius, sizes[order], similarity), similarity)
+
+    dealt = deal_tiles(grouped, ["shingles", *same], VERIFY_TILE, scratch, weight=F.octet_length("shingles"), most_weight=VERIFY_BYTES)
     links = dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(tidy(over_tiles(compare)), LINKS)
     named = components(links, scratch)
     final = groups.join(named, groups["id"] == named["node"], "left").select(*same, F.coalesce("component", "id").alias("component_id"))
@@ -377,8 +426,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, radius: int = 4, scratch:
     """
     scratch = scratch or Scratch(docs.sparkSession, "simhash")
     marked = scratch.save(fingerprints(docs, shingle), "fingerprints")
-    groups = marked.groupBy("w0").agg(F.min("doc_id").alias("id"))
-    links = forest(groups.where("id is not null"), radius, tile, blocks=radius + 1 if radius <= 8 else None)
+    groups = scratch.save(marked.groupBy("w0").agg(F.min("doc_id").alias("id")), "groups")
+    links = forest(groups.where("id is not null"), radius, tile, pieces_for(groups.count(), radius) if radius <= 8 else None, scratch=scratch)
     named = components(links, scratch)
     parts = groups.join(named, groups["id"] == named["node"], "left").select("w0", F.coalesce("component", "id").alias("component_id"))
     return marked.join(parts, "w0").select("doc_id", F.lower(F.lpad(F.hex("w0"), 16, "0")).alias("fingerprint"), "component_id")
