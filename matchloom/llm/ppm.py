@@ -3,15 +3,19 @@
 The model is a trie of byte contexts up to ORDER bytes, with method-D escapes and symbol
 exclusion. Nothing of it is capped and no task ever holds it whole:
 
-1. documents are dealt into batches by a hash; each batch lists the distinct grams (history
-   of ORDER bytes, symbol) and words that its texts hold, with their training counts;
-2. grams meet by the last two bytes of their history, words by a hash. A group adds up the
-   counts of all batches, walks the contexts from longest to shortest, and answers each batch
-   with the probabilities of the grams it asked for (words: with their counts);
+1. documents are dealt into batches by row; each batch lists the distinct grams (history of
+   ORDER bytes, symbol) and words that its texts hold, with their training counts;
+2. a gram's key begins with the nearest byte of its history, so the grams of any context are
+   neighbours in key order. The keys are cut into ranges of about equal numbers, words into
+   ranges of their hashes; their number grows with the texts, so that no range depends on how
+   common a context is. A range adds up the counts of all batches, walks the contexts from
+   longest to shortest, and answers each batch with the probabilities of the grams it asked
+   for (words: with their counts);
 3. each batch meets its answers and sums them along its texts.
 
-Lists travel as one compressed blob for each batch and group, never as one row per gram.
-Contexts shorter than two bytes go to every group as a table of at most 256 x 256 counts.
+Contexts that lie across a border of two ranges are known to both: these are the prefixes of the
+keys at the border, one for each length, and a small grouped sum over all lists gives their
+counts. Lists travel as one compressed blob for each batch and range, never as one row per gram.
 """
 
 from __future__ import annotations
@@ -28,20 +32,26 @@ from .textkernels import LOWER, byte_chunks, give_back, tidy, utf8_view
 ORDER = 6
 #: Two bytes that no UTF-8 text holds stand for the start and the end of a text.
 START, END = 0xFE, 0xFF
-BATCH_BYTES = 16 << 20
+BATCH_BYTES = 8 << 20
 CHUNK_BYTES = 4 << 20
-WORD_GROUPS = 1 << 10
+#: Text for each range of keys, and the most ranges (their borders are held in memory).
+RANGE_BYTES = 2 << 20
+MOST_RANGES = 1 << 20
+#: Text and share of the grams that place the borders; they decide on balance, not on results.
+BORDER_BYTES = 64 << 20
+BORDER_SHARE = 32
 END_WORD = np.uint64(0x9E3779B97F4A7C15)
 GRAM, WORD = 0, 1
 
 
 def gram_keys(rows: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """The gram at each byte and at the end of each text; how many each text has."""
+    """The gram at each byte and at the end of each text, its history from the nearest byte to the
+    farthest, then the symbol; how many grams each text has."""
     pad = bytes([START]) * ORDER
     data = LOWER[np.frombuffer(b"".join([x for r in rows for x in (pad, r, bytes([END]))]), np.uint8)]
     sizes = np.array([len(r) + 1 for r in rows], dtype=np.int64)
     keys = np.zeros(max(len(data) - ORDER, 0), np.uint64)
-    for k in range(ORDER + 1):
+    for k in (*range(ORDER - 1, -1, -1), ORDER):
         keys <<= np.uint64(8)
         keys |= data[k : len(data) - ORDER + k]
     # positions that begin in a later text's padding belong to no text
@@ -86,13 +96,24 @@ def unpack_sorted(blob: bytes) -> np.ndarray:
     return np.cumsum(np.ascontiguousarray(planes.T).view(np.uint64).ravel(), dtype=np.uint64)
 
 
-def gram_group(keys: np.ndarray) -> np.ndarray:
-    """The last two bytes of the history."""
-    return ((keys >> np.uint64(8)) & np.uint64(0xFFFF)).astype(np.int64)
+def gram_range(keys: np.ndarray, borders: np.ndarray) -> np.ndarray:
+    """Number of the range of each key; range r begins at border r - 1."""
+    return np.searchsorted(borders, keys, side="right")
+
+
+def word_range(keys: np.ndarray, n: int) -> np.ndarray:
+    """The same for hashes of words, in n equal ranges."""
+    return (((keys >> np.uint64(32)) * np.uint64(n)) >> np.uint64(32)).astype(np.int64)
+
+
+def context(keys: np.ndarray, length: int) -> np.ndarray:
+    """The last ``length`` bytes of the history."""
+    return keys >> np.uint64(8 * (ORDER - length + 1)) if length else np.zeros_like(keys)
 
 
-def word_group(keys: np.ndarray) -> np.ndarray:
-    return (keys >> np.uint64(54)).astype(np.int64)
+def shorter(grams: np.ndarray) -> np.ndarray:
+    """The same symbols after one byte less of history."""
+    return ((grams >> np.uint64(16)) << np.uint64(8)) | (grams & np.uint64(0xFF))
 
 
 class Tally:
@@ -121,8 +142,8 @@ def text_rows(column: pa.Array) -> tuple[list[bytes], np.ndarray]:
     return [data[a:b].tobytes() for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())], offsets
 
 
-def list_batches(tables):
-    """Of each batch the blobs for every group: batch, kind, grp, keys, counts."""
+def list_batches(tables, borders: np.ndarray):
+    """Of each batch the blobs for every range: batch, kind, grp, keys, counts."""
     for batch_id, columns in tables:
         grams, words, total = Tally(), Tally(), 0
         for text, learn in columns:
@@ -132,11 +153,9 @@ def list_batches(tables):
                 for make, tally in ((gram_keys, grams), (word_keys, words)):
                     keys, sizes = make(rows[lo:hi])
                     tally.add(keys, np.repeat(flags[lo:hi], sizes))
-        for kind, tally, group in ((GRAM, grams, gram_group), (WORD, words, word_group)):
+        for kind, tally, ranged in ((GRAM, grams, lambda k: gram_range(k, borders)), (WORD, words, lambda k: word_range(k, len(borders) + 1))):
             keys, counts = tally.total()
-            groups = group(keys)
-            order = np.lexsort((keys, groups))
-            keys, counts, groups = keys[order], counts[order], groups[order]
+            groups = ranged(keys)
             at = np.flatnonzero(np.diff(groups, prepend=-1)).tolist()
             out = [(int(groups[a]), pack_sorted(keys[a:b]), pack(counts[a:b])) for a, b in zip(at, [*at[1:], len(keys)])]
             n = len(out)
@@ -189,30 +208,37 @@ class Context:
         return np.where(self.grams[at] == grams, self.counts[at], 0).astype(float)
 
 
-def mask(length: int) -> np.uint64:
-    return np.uint64((1 << 8 * length) - 1)
-
-
 def summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     names, of = np.unique(keys, return_inverse=True)
     return names, np.bincount(of, counts, len(names))
 
 
-def log_probabilities(keys: np.ndarray, counts: np.ndarray, pairs: np.ndarray) -> np.ndarray:
-    """log10 of the probability of each gram. keys: all grams asked for (sorted, distinct) that
-    share the last two bytes of their history, counts: in training; pairs[h, s]: training
-    counts of symbol s after byte h."""
-    levels = {k: Context(*summed(keys & mask(k + 1), counts)) for k in range(ORDER, 1, -1)}
-    after = pairs.astype(float)
-    h1, h0 = np.nonzero(after)
-    levels[1] = Context((h1.astype(np.uint64) << np.uint64(8)) | h0.astype(np.uint64), after[h1, h0])
-    alone = after.sum(axis=0)
-    levels[0] = Context(np.flatnonzero(alone).astype(np.uint64), alone[alone > 0])
+def levels_of(keys: np.ndarray, counts: np.ndarray, across: dict[int, tuple[np.ndarray, np.ndarray]]) -> list[Context]:
+    """The contexts of each length 0..ORDER; those ``across`` a border with their counts everywhere."""
+    out = []
+    for k in range(ORDER + 1):
+        grams, n = summed((context(keys, k) << np.uint64(8)) | (keys & np.uint64(0xFF)), counts)
+        if k in across:
+            whole, total = across[k]
+            inside = ~np.isin(grams >> np.uint64(8), np.unique(whole >> np.uint64(8)))
+            grams, n = np.concatenate([grams[inside], whole]), np.concatenate([n[inside], total])
+            order = np.argsort(grams, kind="stable")
+            grams, n = grams[order], n[order]
+        out.append(Context(grams, n))
+    return out
+
+
+def log_probabilities(keys: np.ndarray, counts: np.ndarray, across: dict[int, tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
+    """log10 of the probability of each gram. keys: all grams asked for of one range (sorted,
+    distinct), counts: in training; across: per length, the grams of the contexts that reach
+    beyond the range, with their counts in all training texts."""
+    levels = levels_of(keys, counts, across)
     out, open_ = np.zeros(len(keys)), np.ones(len(keys), bool)
     barred, barred_kinds = np.zeros(len(keys)), np.zeros(len(keys))
     for k in range(ORDER, -1, -1):
-        level, gram = levels[k], keys & mask(k + 1)
-        at = level.find(gram >> np.uint64(8))
+        level, names = levels[k], context(keys, k)
+        gram = (names << np.uint64(8)) | (keys & np.uint64(0xFF))
+        at = level.find(names)
         known = open_ & (at >= 0)
         n, total, kinds = level.count(gram), level.total[at], level.kinds[at]
         left = total - barred
@@ -223,7 +249,7 @@ def log_probabilities(keys: np.ndarray, counts: np.ndarray, pairs: np.ndarray) -
         out[miss] += np.log10(novel[miss] / left[miss])
         open_ &= ~hit
         if k:  # what this context has seen can't be what a shorter one predicts
-            lower = levels[k - 1].count(level.grams & mask(k))
+            lower = levels[k - 1].count(shorter(level.grams))
             barred = np.where(known, np.bincount(level.of, lower, len(level.total))[at], barred)
             barred_kinds = np.where(known, kinds, barred_kinds)
     rest = 256 - len(levels[0].grams)
@@ -231,26 +257,35 @@ def log_probabilities(keys: np.ndarray, counts: np.ndarray, pairs: np.ndarray) -
     return out
 
 
-def answer_groups(batches, pairs: np.ndarray):
-    """From blobs sorted by slot (kind and group) to answers: batch, kind, grp, values; with the
-    group's training tokens and distinct training words on one of its rows."""
+def answer_ranges(batches):
+    """From blobs sorted by slot (kind and range) to answers: batch, kind, grp, values; with the
+    range's training tokens and distinct training words on one of its rows. Rows with a negative
+    batch hold grams (of length -1 - batch) of contexts across a border."""
     for slot, parts in by_key(batches, "slot"):
         table = pa.Table.from_batches(parts)
+        asked = np.array(table.column("batch").to_pylist()) >= 0
+        across = {-1 - r["batch"]: (np.array(r["grams"], np.uint64), np.array(r["sums"], np.int64)) for r in table.filter(pa.array(~asked)).to_pylist()}
+        across = {k: (g[np.argsort(g)], n[np.argsort(g)]) for k, (g, n) in across.items()}
+        table = table.filter(pa.array(asked))
+        if not len(table):
+            continue
         kind = int(slot) >> 32
         lists = [unpack_sorted(b) for b in table.column("keys").to_pylist()]
         counts = [np.frombuffer(zlib.decompress(b), np.int64) for b in table.column("counts").to_pylist()]
         keys, of = np.unique(np.concatenate(lists), return_inverse=True)
         total = np.bincount(of, np.concatenate(counts), len(keys)).astype(np.int64)
         if kind == GRAM:
-            values, stats = log_probabilities(keys, total, pairs).astype(np.float32), (0, 0)
+            values, stats = log_probabilities(keys, total, across).astype(np.float32), (0, 0)
         else:
             values, stats = total, (int(total.sum()), int((total > 0).sum()))
         ends = np.cumsum([len(x) for x in lists])
-        for k, (batch_id, end, size) in enumerate(zip(table.column("batch").to_pylist(), ends.tolist(), map(len, lists))):
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([batch_id], pa.int64()), pa.array([kind], pa.int32()), pa.array([int(slot) & 0xFFFFFFFF], pa.int64()), pa.array([pack(values[of[end - size : end]])], pa.binary()), pa.array([stats[0] if k == 0 else 0], pa.int64()), pa.array([stats[1] if k == 0 else 0], pa.int64())],
-                names=["batch", "kind", "grp", "vals", "tokens", "types"],
-            )
+        names, n = table.column("batch").to_pylist(), len(table)
+        blobs = [pack(values[of[end - len(x) : end]]) for x, end in zip(lists, ends.tolist())]
+        first = np.arange(n) == 0
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(names, pa.int64()), pa.array([kind] * n, pa.int32()), pa.array([int(slot) & 0xFFFFFFFF] * n, pa.int64()), pa.array(blobs, pa.binary()), pa.array(first * stats[0], pa.int64()), pa.array(first * stats[1], pa.int64())],
+            names=["batch", "kind", "grp", "vals", "tokens", "types"],
+        )
 
 
 class Lookup:
@@ -287,11 +322,10 @@ def score_batch(texts: list[pa.Array], answers: list[tuple[int, int, bytes]], to
     rows = [r for t in texts for r in text_rows(t)[0]]
     offsets = np.concatenate([[0], np.cumsum([len(r) for r in rows])])
     result = [np.zeros(len(rows), np.int64), np.zeros(len(rows), np.int64), np.zeros(len(rows)), np.zeros(len(rows))]
-    for kind, make, group in ((GRAM, gram_keys, gram_group), (WORD, word_keys, word_group)):
+    for kind, make in ((GRAM, gram_keys), (WORD, word_keys)):
         chunks = list(byte_chunks(offsets, CHUNK_BYTES))
         made = [make(rows[lo:hi]) for lo, hi in chunks] if kind == WORD else None  # grams take too much room
         asked = distinct(np.concatenate([distinct((made[c] if made else make(rows[lo:hi]))[0]) for c, (lo, hi) in enumerate(chunks)]))
-        asked = asked[np.lexsort((asked, group(asked)))]
         blobs = sorted((g, v) for k, g, v in answers if k == kind)
         values = np.concatenate([np.frombuffer(zlib.decompress(v), np.float32 if kind == GRAM else np.int64) for _, v in blobs])
         if len(values) != len(asked):
@@ -310,7 +344,7 @@ def score_batch(texts: list[pa.Array], answers: list[tuple[int, int, bytes]], to
     return result
 
 
-def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = None, batch_bytes: int = BATCH_BYTES) -> DataFrame:
+def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = None, batch_bytes: int = BATCH_BYTES, range_bytes: int = RANGE_BYTES) -> DataFrame:
     """``(doc_id, learned, n_tokens, n_known, train_tokens, base_score, score)``, one row per
     input row, over whole texts; ``learn`` marks the rows whose texts train both models.
 
@@ -322,31 +356,28 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     scratch = scratch or Scratch(docs.sparkSession, "ppm")
     size = docs.agg(F.sum(F.octet_length("text") + 16), F.count("*")).first()
     batches = max(1, -(-(size[0] or 0) // batch_bytes))
-    dealt = docs.select(
+    # rows are dealt by their number, so copies of a row part; written, so that both reads agree
+    number = F.monotonically_increasing_id()
+    dealt = scratch.save(docs.select(
         F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce(learn, F.lit(False)).alias("learned"),
-        F.pmod(F.xxhash64("doc_id", F.substring("text", 1, 64)), F.lit(batches)).alias("batch"),
-    )
+        F.pmod(F.xxhash64(number), F.lit(batches)).alias("batch"),
+    ), "dealt")
+    borders = gram_borders(dealt, int(size[0] or 0), range_bytes)
 
     def list_all(rows):
         def columns(parts):
             return [(p.column(1), p.column(2)) for p in parts]
 
-        yield from list_batches((int(k), columns(parts)) for k, parts in by_key(rows, "batch"))
+        yield from list_batches(((int(k), columns(parts)) for k, parts in by_key(rows, "batch")), borders)
 
     asked = dealt.select("batch", "text", "learned").repartition(int(batches), "batch").sortWithinPartitions("batch")
     asked = scratch.save(asked.mapInArrow(tidy(list_all), "batch long, kind int, grp long, keys binary, counts binary"), "asked")
-    after = scratch.save(asked.where(F.col("kind") == GRAM).select("grp", "keys", "counts").mapInArrow(short_counts, "h int, s int, n long").groupBy("h", "s").agg(F.sum("n").alias("n")), "short")
-    pairs = np.zeros((256, 256), np.int64)
-    for r in after.collect():  # at most 256 x 256 rows
-        pairs[r["h"], r["s"]] = r["n"]
-
-    def answer_all(rows):
-        yield from answer_groups(rows, pairs)
-
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
-    answers = asked.select(slot, "batch", "keys", "counts").repartition("slot").sortWithinPartitions("slot")
-    answers = scratch.save(answers.mapInArrow(tidy(answer_all), "batch long, kind int, grp long, vals binary, tokens long, types long"), "answers")
-    scratch.drop(asked, after)
+    across = border_contexts(asked, borders, scratch).withColumn("batch", F.lit(-1).cast("long") - F.col("length"))
+    both = asked.select(slot, "batch", "keys", "counts").unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
+    answers = both.repartition("slot").sortWithinPartitions("slot")
+    answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary, tokens long, types long"), "answers")
+    scratch.drop(asked)
     known = answers.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
 
@@ -362,12 +393,65 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     return dealt.groupBy("batch").cogroup(answers.select("batch", "kind", "grp", "vals").groupBy("batch")).applyInArrow(join_batch, ddl)
 
 
-def short_counts(rows):
-    """Training counts of (last history byte, symbol) in each task's blobs."""
-    pairs = np.zeros(1 << 16, np.int64)
-    for batch in rows:
-        for keys, counts in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-            code = (unpack_sorted(keys) & np.uint64(0xFFFF)).astype(np.int64)
-            pairs += np.bincount(code, np.frombuffer(zlib.decompress(counts), np.int64), 1 << 16).astype(np.int64)
-    at = np.flatnonzero(pairs)
-    yield pa.RecordBatch.from_arrays([pa.array(at >> 8, pa.int32()), pa.array(at & 255, pa.int32()), pa.array(pairs[at])], names=["h", "s", "n"])
+def gram_borders(dealt: DataFrame, size: int, range_bytes: int) -> np.ndarray:
+    """Keys that cut the grams into ranges, from a share of the grams of a sample of the rows."""
+    ranges = min(MOST_RANGES, -(-size // range_bytes))
+    if ranges < 2:
+        return np.zeros(0, np.uint64)
+    sample = dealt.where(F.pmod(F.xxhash64("batch", "doc_id", F.octet_length("text")), F.lit(max(1, size // BORDER_BYTES))) == 0)
+
+    def some(batches):
+        for batch in batches:
+            rows, offsets = text_rows(batch.column(0))
+            for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
+                keys = distinct(gram_keys(rows[lo:hi])[0])
+                mixed = (keys * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
+                keys = keys[mixed % np.uint64(BORDER_SHARE) == 0]
+                yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], names=["key"])
+
+    shares = [F.lit(k / ranges) for k in range(1, ranges)]
+    found = sample.select("text").mapInArrow(tidy(some), "key long").agg(F.percentile_approx("key", F.array(*shares), F.lit(max(10_000, 4 * ranges)))).first()[0]
+    return np.unique(np.array(found or [], np.int64)).astype(np.uint64)
+
+
+def border_contexts(asked: DataFrame, borders: np.ndarray, scratch: Scratch) -> DataFrame:
+    """``(slot, length, grams, sums)``: of each range the grams of the contexts across its borders,
+    at most two of each length, with their training counts."""
+
+    def ends(r: int) -> np.ndarray:
+        return borders[max(r - 1, 0) : r + 1]
+
+    def count(rows):
+        held: dict[tuple[int, int], np.ndarray] = {}
+
+        def flush():
+            found = [(k, c, s, int(n[s])) for (k, c), n in held.items() for s in np.flatnonzero(n).tolist()]
+            held.clear()
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], names=["length", "name", "symbol", "n"])
+
+        for batch in rows:
+            for r, blob, counts in zip(*(batch.column(i).to_pylist() for i in range(3))):
+                keys, n = unpack_sorted(blob), np.frombuffer(zlib.decompress(counts), np.int64)
+                for k in range(ORDER + 1):
+                    width = 8 * (ORDER - k + 1)
+                    for c in np.unique(context(ends(r), k)).tolist():
+                        least = c << width
+                        a, b = np.searchsorted(keys, np.uint64(least)), np.searchsorted(keys, np.uint64(least + (1 << width) - 1), side="right")
+                        if b > a:
+                            sums = np.bincount((keys[a:b] & np.uint64(0xFF)).astype(np.int64), n[a:b], 256).astype(np.int64)
+                            held[k, c] = held[k, c] + sums if (k, c) in held else sums
+            if len(held) > 4096:
+                yield from flush()
+        yield from flush()
+
+    def wanted(rows):
+        for batch in rows:
+            out = [(r, k, c) for r in batch.column(0).to_pylist() for k in range(ORDER + 1) for c in np.unique(context(ends(r), k)).tolist()]
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (zip(*out) if out else ([], [], []))], names=["slot", "length", "name"])
+
+    parts = asked.where(F.col("kind") == GRAM).select("grp", "keys", "counts").mapInArrow(tidy(count), "length long, name long, symbol long, n long")
+    sums = scratch.save(parts.groupBy("length", "name", "symbol").agg(F.sum("n").alias("n")), "across")
+    ranges = asked.sparkSession.range(len(borders) + 1 if len(borders) else 0).mapInArrow(wanted, "slot long, length long, name long")
+    gram = F.shiftleft("name", 8).bitwiseOR(F.col("symbol"))
+    return ranges.join(sums, ["length", "name"]).groupBy("slot", "length").agg(F.collect_list(gram).alias("grams"), F.collect_list("n").alias("sums"))

@@ -72,6 +72,18 @@ def test_scores_match_plain_version(spark):
         assert r["score"] == pytest.approx(want[4], rel=1e-5)
 
 
+@pytest.mark.parametrize("range_bytes", [40, 300])
+def test_borders_of_key_ranges_change_nothing(spark, range_bytes):
+    rng = random.Random(7)
+    # one pair of bytes nearly everywhere, a row repeated often, and contexts that borders cut
+    texts = ["th" * rng.randint(0, 40) + "".join(rng.choice("the ") for _ in range(rng.randint(0, 50))) for _ in range(80)] + ["the same row"] * 400
+    learn = [i % 5 != 2 for i in range(len(texts))]
+    df = spark.createDataFrame([(i if i < 80 else 80, t, u) for i, (t, u) in enumerate(zip(texts, learn))], "doc_id long, text string, u boolean")
+    got = sorted((r["doc_id"], r["n_tokens"], r["score"]) for r in ppm.score_documents(df, F.col("u"), batch_bytes=900, range_bytes=range_bytes).collect())
+    want = sorted((min(i, 80), p[0], p[4]) for i, p in enumerate(plain(texts, learn)))
+    assert len(got) == len(want) and all(a[:2] == b[:2] and a[2] == pytest.approx(b[2], rel=1e-5) for a, b in zip(got, want))
+
+
 def test_empty_table_and_no_training(spark):
     df = spark.createDataFrame([], "doc_id long, text string")
     assert ppm.score_documents(df, F.lit(True)).count() == 0
