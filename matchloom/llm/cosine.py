@@ -2,15 +2,20 @@
 
 A vector is compared with its whole cell, and the cell also gets every vector of another cell
 that could lie within the threshold: if y is nearer to centre b than to a, then no x with
-|x - y| <= d (the chord of the threshold) has (x.a - x.b) above d |a - b|. So each vector's
-links are complete in its own cell and no pair is lost at the borders. Equal vectors are one
-row with a multiplicity; a cell of more than ``tile`` rows is split into tiles and every pair
-of tiles is a task of its own. Out of a task come counts and a forest, never all pairs.
+|x - y| <= d (the chord of the threshold) has (x.a - x.b) above d |a - b|. So each vector's links are complete in its own cell and no pair is lost at the borders.
+
+Cells follow the rows: those of more than CELL_ROWS vectors are cut again, each by k-means on a
+bounded sample of its own, until they are small or cutting does not pay. It pays where vectors
+cluster; without clusters a vector has to visit nearly every cell, the sample shows that, and
+cells stay larger. Equal vectors are one row with a multiplicity; a cell of more than ``tile``
+rows is split into tiles and every pair of tiles is a task of its own. Out of a task come counts
+and a forest, never all pairs.
 """
 
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -21,9 +26,14 @@ from .simhash import settle
 from .storage import Scratch
 from .vectors import decode, distinct_vectors, packed
 
-FIT_SAMPLE = 20_000
-CELL_ROWS = 16_000
-MOST_CELLS = 4_096
+#: Rows of the sample that the centres of one cell are fitted on, and most centres at a time.
+FIT_SAMPLE = 8_192
+MOST_CENTRES = 128
+CELL_ROWS = 256
+#: Comparisons that cost as much as dealing out one more copy of a row.
+ROW_COST = 400
+MOST_LEVELS = 12
+PART_ROWS = 8_192
 TILE = 16_384
 STRIP = 128
 
@@ -51,44 +61,87 @@ def spherical_centres(sample: np.ndarray, cells: int, seed: int = 11, rounds: in
     return centres
 
 
-def fit_cells(points: DataFrame, n: int) -> dict[int, np.ndarray]:
-    """Centres for each vector length that the bounded sample holds."""
-    share = min(1.0, FIT_SAMPLE / max(n, 1))
-    rows = points.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < F.lit(int(share * (1 << 30)))).select("id", "vec").collect()
-    by_length: dict[int, list] = {}
-    for r in sorted(rows, key=lambda r: r["id"]):
-        by_length.setdefault(len(r["vec"]), []).append(bytes(r["vec"]))
-    cells = min(MOST_CELLS, max(1, n // CELL_ROWS))
-    return {size: spherical_centres(unit(decode(v)), cells) for size, v in by_length.items()}
-
-
-def place_in_cells(points: DataFrame, centres: dict[int, np.ndarray], threshold: float) -> DataFrame:
-    """``(id, copies, vec, dim, cell, own)``: the home cell and those that it has to visit."""
+def visits(rows: np.ndarray, centres: np.ndarray, chord: float) -> tuple[np.ndarray, np.ndarray]:
+    """For unit rows the home centre of each, and which centres' cells it has to visit."""
+    near = rows @ centres.T
+    home = near.argmax(axis=1)
+    reach = chord * np.sqrt(np.maximum(2 - 2 * centres @ centres.T, 0)) + 1e-9
+    out = near[np.arange(len(rows)), home][:, None] - near <= reach[home]
+    out[np.arange(len(rows)), home] = True
+    return home, out
+
+
+def fit_centres(sample: np.ndarray, n: int, chord: float, at_least: int = 1, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST) -> np.ndarray | None:
+    """Centres for a cell of n rows, as many as make its comparison cheapest by the sample, or
+    None if it should stay whole. ``at_least`` 2 always cuts."""
+    tries, k = [], min(most, len(sample), max(2, -(-n // cell_rows)))
+    while k >= 2:
+        tries.append(k)
+        k = k // 4 if k > 4 else k // 2
+    best, cost = None, row_cost + n if at_least < 2 else math.inf
+    probe = sample[:: max(1, len(sample) // 512)]
+    for k in tries:
+        centres = spherical_centres(sample, k)
+        home, seen = visits(probe, centres, chord)
+        share = np.bincount((sample @ centres.T).argmax(axis=1), minlength=len(centres)) / len(sample)
+        # rows that each visited cell holds at home, and a copy of the row for each cell
+        price = float((seen * (share * n + row_cost)[None, :]).sum(axis=1).mean()) + row_cost
+        if price < cost:
+            best, cost = centres, price
+    return best
+
+
+def cut_cell(part: pa.Table, centres: np.ndarray, chord: float) -> pa.Table:
+    """Rows ``(id, copies, vec, cell, own)`` of one cell, cut by its centres: a row goes to its
+    home cell and to those that it has to visit, and a visitor is one in all of them."""
+    home, seen = visits(unit(decode(part.column("vec").to_pylist())), centres, chord)
+    row, sub = np.nonzero(seen)
+    out = part.select(["id", "copies", "vec"]).take(pa.array(row))
+    cell = part.column("cell")[0].as_py()
+    names = pa.array([f"{cell}.{c}" for c in range(len(centres))]).take(pa.array(sub))
+    own = part.column("own").to_numpy()[row] & (sub == home[row])
+    return out.append_column("cell", names).append_column("own", pa.array(own))
+
+
+PLACED = "id long, copies long, vec binary, cell string, own boolean"
+
+
+def place_in_cells(points: DataFrame, threshold: float, scratch: Scratch, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST) -> DataFrame:
+    """All points ``(id, copies, vec)`` in cells, level by level."""
     chord = math.sqrt(2 - 2 * threshold) + 1e-9
-    shared = points.sparkSession.sparkContext.broadcast(centres)
-
-    def run(batches):
-        centres = shared.value
-        for batch in batches:
-            ids, copies, vecs = (batch.column(i) for i in range(3))
-            sizes = pa.compute.binary_length(vecs).to_numpy()
-            for size in np.unique(sizes):
-                rows = np.flatnonzero(sizes == size)
-                at = centres.get(int(size))
-                if at is None or len(at) == 1:
-                    row, cell, own = rows, np.zeros(len(rows), np.int64), np.ones(len(rows), bool)
-                else:
-                    near = unit(decode(vecs.take(pa.array(rows)).to_pylist())) @ at.T
-                    home = near.argmax(axis=1)
-                    gap = np.sqrt(np.maximum(2 - 2 * at @ at.T, 0))[home]
-                    visit = near[np.arange(len(rows)), home][:, None] - near <= chord * gap + 1e-9
-                    visit[np.arange(len(rows)), home] = True
-                    k, cell = np.nonzero(visit)
-                    row, own = rows[k], cell == home[k]
-                take = pa.array(row)
-                yield pa.RecordBatch.from_arrays([ids.take(take), copies.take(take), vecs.take(take), pa.array(np.full(len(row), size, np.int64)), pa.array(cell.astype(np.int64)), pa.array(own)], names=["id", "copies", "vec", "dim", "cell", "own"])
-
-    return points.select("id", "copies", "vec").mapInArrow(run, "id long, copies long, vec binary, dim long, cell long, own boolean")
+    placed = scratch.save(points.select("id", "copies", "vec", F.octet_length("vec").cast("string").alias("cell"), F.lit(True).alias("own")), "placed")
+    done = []
+    for level in range(MOST_LEVELS):
+        sizes = placed.groupBy("cell").agg(F.sum(F.col("own").cast("long")).alias("n"), F.ceil(F.count("*") / PART_ROWS).cast("int").alias("parts"))
+        large = scratch.save(sizes.where(F.col("n") > cell_rows), "large")
+        # a bounded sample of each cell; the first level always cuts, later ones where it pays
+        drawn = F.pmod(F.xxhash64("id", F.lit(level)), F.col("n")) < FIT_SAMPLE
+        sample = placed.where("own").join(large, "cell").where(drawn).select("cell", "n", "parts", "vec")
+
+        least = 2 if level == 0 else 1
+
+        def fit(table: pa.Table) -> pa.Table:
+            centres = fit_centres(unit(decode(table.column("vec").to_pylist())), table.column("n")[0].as_py(), chord, least, cell_rows, most, row_cost)
+            one = table.select(["cell", "parts"]).slice(0, 0 if centres is None else 1)
+            return one.append_column("centres", pa.array([] if centres is None else [centres.tobytes()], pa.binary()))
+
+        fitted = scratch.save(sample.groupBy("cell").applyInArrow(fit, "cell string, parts int, centres binary"), "fitted")
+        if fitted.isEmpty():
+            return reduce(DataFrame.unionByName, [*done, placed])
+        done.append(scratch.save(placed.join(fitted, "cell", "left_anti"), "whole"))
+        dealt = placed.join(fitted.select("cell", "parts"), "cell").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
+        shapes = fitted.select("cell", "centres", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts").cast("long") - 1)).alias("part"))
+
+        def cut(rows: pa.Table, centres: pa.Table) -> pa.Table:
+            if not len(rows):
+                return rows.select(["id", "copies", "vec", "cell", "own"])
+            at = np.frombuffer(centres.column("centres")[0].as_py(), np.float64)
+            return cut_cell(rows, at.reshape(-1, len(rows.column("vec")[0].as_py()) // 8), chord)
+
+        finer = scratch.save(dealt.groupBy("cell", "part").cogroup(shapes.groupBy("cell", "part")).applyInArrow(cut, PLACED), "placed")
+        scratch.drop(placed)
+        placed = finer
+    return reduce(DataFrame.unionByName, [*done, placed])
 
 
 def exact_cosine(x: np.ndarray, y: np.ndarray) -> float:
@@ -120,13 +173,13 @@ def tile_links(left: pa.Table, right: pa.Table, threshold: float):
 
 def compare_cells(placed: DataFrame, threshold: float, tile: int = TILE) -> DataFrame:
     """``(kind, a, b)``: kind 0 a forest link of ids, kind 1 id a has b linked rows here."""
-    sizes = placed.groupBy("dim", "cell").agg(F.ceil(F.sum(F.col("own").cast("int")) / tile).cast("int").alias("rows"), F.ceil(F.count("*") / tile).cast("int").alias("cols")).where("rows > 0")
-    dealt = placed.join(sizes, ["dim", "cell"]).withColumn("i", F.pmod(F.xxhash64("id"), F.col("rows")).cast("int")).withColumn("j", F.pmod(F.xxhash64("id", F.lit(1)), F.col("cols")).cast("int"))
-    base = ["dim", "cell", "id", "copies", "vec"]
+    sizes = placed.groupBy("cell").agg(F.ceil(F.sum(F.col("own").cast("int")) / tile).cast("int").alias("rows"), F.ceil(F.count("*") / tile).cast("int").alias("cols")).where("rows > 0")
+    dealt = placed.join(sizes, "cell").withColumn("i", F.pmod(F.xxhash64("id"), F.col("rows")).cast("int")).withColumn("j", F.pmod(F.xxhash64("id", F.lit(1)), F.col("cols")).cast("int"))
+    base = ["cell", "id", "copies", "vec"]
     lefts = dealt.where("own").select(*base, "i", F.explode(F.sequence(F.lit(0), F.col("cols") - 1)).alias("j"))
     rights = dealt.select(*base, "j", F.explode(F.sequence(F.lit(0), F.col("rows") - 1)).alias("i"))
     rights = rights.toDF(*rights.columns)  # names of its own, for the cogroup
-    keys = ["dim", "cell", "i", "j"]
+    keys = ["cell", "i", "j"]
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if not len(left) or not len(right):
@@ -149,10 +202,8 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, scratch: Scratc
     scratch = scratch or Scratch(vectors.sparkSession, "cosine")
     rows = scratch.save(packed(vectors, id_col, vector_col), "packed")
     points = scratch.save(distinct_vectors(rows), "points")
-    centres = fit_cells(points, points.count())
-    placed = scratch.save(place_in_cells(points, centres, threshold), "placed")
+    placed = place_in_cells(points, threshold, scratch)
     found = scratch.save(compare_cells(placed, threshold, tile), "found")
-    scratch.drop(placed)
     named = components(found.where("kind = 0").select("a", "b"), scratch)
     linked = found.where("kind = 1").groupBy("a").agg(F.sum("b").alias("others"))
     groups = (
