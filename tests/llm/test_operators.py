@@ -6,6 +6,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -303,17 +304,42 @@ def test_cosine_links_against_brute_force(spark):
         assert (r["n_links"], r["component_id"], r["kept"]) == ((count[i], want[i], want[i] == i) if i in good else (0, i, True)), i
 
 
-def test_cells_lose_no_pair(spark):
+def test_cells_lose_no_pair():
     rng = np.random.default_rng(5)
     points = cosine.unit(rng.normal(size=(300, 5)))
-    centres = {40: cosine.spherical_centres(points, 12)}
-    df = spark.createDataFrame([(i, 1, bytearray(v.tobytes())) for i, v in enumerate(points)], "id long, copies long, vec binary")
-    placed = cosine.place_in_cells(df, centres, 0.95).collect()
+    centres = cosine.spherical_centres(points, 12)
+    table = pa.table({"id": pa.array(range(300)), "copies": pa.array([1] * 300), "vec": pa.array([v.tobytes() for v in points], pa.binary()), "cell": pa.array(["40"] * 300), "own": pa.array([True] * 300)})
+    placed = cosine.cut_cell(table, centres, np.sqrt(0.1)).to_pylist()
     home, visits = {r["id"]: r["cell"] for r in placed if r["own"]}, {(r["id"], r["cell"]) for r in placed}
     close = np.argwhere(points @ points.T >= 0.95)
     assert len(home) == 300 and all((int(a), home[int(b)]) in visits for a, b in close)
 
 
+def test_links_over_many_cells_and_levels(spark):
+    rng = np.random.default_rng(8)
+    heads = rng.normal(size=(40, 12))
+    # tight groups, loose groups and rows of no group; some of another length
+    x = np.concatenate([np.repeat(heads[:30], 60, axis=0) + rng.normal(size=(1800, 12)) * 0.12, np.repeat(heads[30:], 40, axis=0) + rng.normal(size=(400, 12)) * 0.4, rng.normal(size=(300, 12))])
+    rows = [(i, v.tolist()) for i, v in enumerate(x.astype(np.float32))] + [(5000 + i, v.tolist()) for i, v in enumerate(rng.normal(size=(90, 3)).astype(np.float32))]
+    scratch = Scratch(spark, "cells")
+    points = cosine.distinct_vectors(cosine.packed(vectors(spark, rows)))
+    assert cosine.place_in_cells(points, 0.95, scratch).where("own").select("cell").distinct().count() >= 5
+    placed = cosine.place_in_cells(points, 0.95, scratch, cell_rows=40, most=8, row_cost=20)
+    assert placed.where("own").count() == len(rows) and placed.select("cell").distinct().count() >= 12
+    assert placed.where(F.size(F.split("cell", "[.]")) >= 3).count() > 0 and placed.count() < 12 * len(rows)
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in cosine.near_duplicates(vectors(spark, rows), 0.95).collect()}
+    links, count = [], dict.fromkeys(got, 0)
+    for part in (rows[: len(x)], rows[len(x) :]):
+        ids, v = [i for i, _ in part], np.array([v for _, v in part], np.float64)
+        u = v / np.linalg.norm(v, axis=1, keepdims=True)
+        links += [(ids[a], ids[b]) for a, b in np.argwhere(u @ u.T >= 0.95) if a < b]
+    for a, b in links:
+        count[a] += 1
+        count[b] += 1
+    want = parts(got, links)
+    assert got == {i: (count[i], want[i]) for i in got}
+
+
 # op10
 def test_quotation_links(spark):
     rows = [
@@ -334,12 +360,32 @@ def test_quotation_links(spark):
     con = duckdb.connect()
     con.execute("create table conversations (conv_id bigint, turn bigint, role varchar, text varchar)")
     con.executemany("insert into conversations values (?, ?, ?, ?)", rows)
-    assert sorted(con.execute(quotations.REPLY_ORDER_SQL).fetchall(), key=str) == got
+    assert sorted((r[:-1] for r in con.execute(quotations.REPLY_ORDER_SQL).fetchall()), key=str) == got
     lines = [r["chat"] for r in quotations.chat_lines(df.where("conv_id = 1")).collect()]
     assert lines[0].startswith("<|user|>\nHello") and lines[1].endswith("I asked first\n")
     assert quotations.reply_order(df.where("false")).count() == 0
 
 
+def test_quoted_passages_come_before_lines(spark):
+    rows = [
+        (1, 0, "user", "Thanks\n\nThe first passage\nof two lines"), (1, 1, "assistant", "of two lines\n\nAnother passage that is long"),
+        # wrapped anew, and a common line that someone else wrote first
+        (1, 2, "user", "> Another passage\n> that is long\n>\n> Thanks\nmine"), (1, 3, "user", ">  of   two lines\nmine too"),
+        (1, 4, "assistant", "> The first passage\n> of two lines\n> and a line nobody wrote\nlast"), (2, 0, "user", "> later\nx"), (2, 1, "user", "later"),
+    ] + [(3, k, "user", ("> said by all\n" if k % 3 else "") + f"said by all\nline {k}") for k in range(60)]
+    df = spark.createDataFrame([(*r, "x") for r in rows], "conv_id long, turn long, role string, text string, cells string")
+    got = {(r["conv_id"], r["turn"]): r for r in quotations.chat_lines(df).collect()}
+    assert [got[1, t]["parent_turn"] for t in range(5)] == [None, None, 1, 1, 0] and got[2, 0]["parent_turn"] is None
+    assert all(got[3, k]["parent_turn"] == (0 if k % 3 else None) for k in range(60))
+    assert got[1, 2]["chat"] == "<|user|>\nmine\n" and got[1, 2]["n_quoted"] == 4
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute("create table conversations (conv_id bigint, turn bigint, role varchar, text varchar)")
+    con.executemany("insert into conversations values (?, ?, ?, ?)", rows)
+    assert sorted(con.execute(quotations.REPLY_ORDER_SQL).fetchall(), key=str) == sorted(map(tuple, got.values()), key=str)
+
+
 def test_native_operators_run_no_python(spark):
     plans = [mixing.mix_report(docs(spark, [(1, "a b", "s")])), quotations.reply_order(spark.createDataFrame([(1, 0, "user", "x")], "conv_id long, turn long, role string, text string"))]
     for df in plans:
