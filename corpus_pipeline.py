@@ -13,11 +13,20 @@ from matchloom.llm.storage import Scratch
 LEAST_LANGUAGE_SCORE = 0.4
 
 
+def free_name(docs: DataFrame, name: str) -> str:
+    """``name``, made longer until no column of the documents is called so."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier, trained on all labelled ones, scores below its threshold."""
     model = toxicity.train(docs, load(spark, sf_dir, "labels"))
-    scored = toxicity.score_documents(docs, model, keep=docs.columns, score_col="_toxicity")
-    return scored.where(F.col("_toxicity") < toxicity.THRESHOLD).select(*docs.columns)
+    score = free_name(docs, "toxicity_score")
+    scored = toxicity.score_documents(docs, model, keep=docs.columns, score_col=score)
+    return scored.where(F.col(score) < toxicity.THRESHOLD).select(*docs.columns)
 
 
 def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,22 +35,24 @@ def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     model = langid.train(docs, learn=F.lit(True))
     if not model.labels:
         return docs
-    read = langid.predict_documents(docs, model, keep=docs.columns, names=("_lang", "_lang_score"))
-    return read.where((F.col("_lang") != langid.UNKNOWN) & (F.col("_lang_score") >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
+    lang, score = free_name(docs, "read_lang"), free_name(docs, "read_score")
+    read = langid.predict_documents(docs, model, keep=docs.columns, names=(lang, score))
+    return read.where((F.col(lang) != langid.UNKNOWN) & (F.col(score) >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of similar documents (five-word shingles, Jaccard 0.8) that with the
-    smallest id; rows with a null id stay."""
+    smallest id; rows with a null id stay. Of rows that share an id the first in order of text
+    is judged, and kept if the document is."""
     scratch = Scratch(spark, "dedup")
+    counts = docs.agg(F.count("doc_id"), F.countDistinct("doc_id")).first()
+    if counts[0] != counts[1]:
+        row = F.struct(*docs.columns)
+        known = docs.where("doc_id is not null").groupBy("doc_id").agg(F.min_by(row, F.struct("text", row.cast("string"))).alias("doc"))
+        docs = scratch.save(known.select("doc.*").unionByName(docs.where("doc_id is null")), "once")
     parts = simhash.similar_documents(docs, shingle=5, similarity=0.8, scratch=scratch)
     gone = scratch.save(parts.where("doc_id <> component_id").select("doc_id"), "gone")
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    counts = docs.agg(F.count("doc_id"), F.countDistinct("doc_id")).first()
-    if counts[0] == counts[1]:
-        return kept
-    once = kept.where("doc_id is not null").dropDuplicates(["doc_id"])
-    return once.unionByName(kept.where("doc_id is null"))
+    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
