@@ -17,8 +17,13 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder named by the session; a folder of our own only where none is set."""
-    return spark.conf.get("spark.checkpoint.dir", None) or f"file://{_TEST_DIR}"
+    """The shared folder named by the session. Where none is set, a folder of our own in local mode,
+    as in tests, and an error on a cluster, whose machines share no such folder."""
+    if named := spark.conf.get("spark.checkpoint.dir", None):
+        return named
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
+    return f"file://{_TEST_DIR}"
 
 
 def _delete(spark: SparkSession, path: str) -> None:
