@@ -30,6 +30,8 @@ SEED = 17
 #: Rows of one doc_id that a bucket takes at most, and rows of a table that is broadcast.
 SAME_ID_ROWS = 1 << 12
 BROADCAST_ROWS = 1 << 19
+#: Rows whose running sum one task makes; more go by ranges.
+WINDOW_ROWS = 1 << 16
 #: Primes just above 2^20, one of which does not divide a given count below 2^40.
 MULTIPLIERS = (1048583, 1048589)
 
@@ -62,6 +64,17 @@ def small(table: DataFrame) -> DataFrame:
     return F.broadcast(table) if table.count() <= BROADCAST_ROWS else table
 
 
+def running(table: DataFrame, order: list[str], values: dict[str, Column], scratch: Scratch) -> DataFrame:
+    """Exclusive running sums of ``values`` in ``order``, which tells all rows apart."""
+    table = scratch.save(table, "summed")
+    if table.count() <= WINDOW_ROWS:
+        before = W.orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
+        return table.select("*", *[F.coalesce(F.sum(v).over(before), F.lit(0)).alias(out) for out, v in values.items()])
+    for out, v in values.items():
+        table = prefix_sum(table, order, v, scratch, out)
+    return table
+
+
 def source_targets(sizes: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """``(source, source_no, weight, source_size, target)`` from rows ``(source, size)``.
 
@@ -71,14 +84,13 @@ def source_targets(sizes: DataFrame, scratch: Scratch | None = None) -> DataFram
     """
     scratch = scratch or Scratch(sizes.sparkSession, "targets")
     per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.lit(1).cast("long").alias("one")).withColumn("last", F.col("source").isNull())
-    placed = prefix_sum(per, ["last", "source"], F.col("one"), scratch, "source_no")
+    placed = running(per, ["last", "source"], {"source_no": F.col("one")}, scratch)
     named = scratch.save(placed.withColumn("weight", (F.col("source_no") % 3 + 1).cast("double")).withColumn("ratio", F.col("source_size") / F.col("weight")), "named")
     limit = F.lit(float(MOST_TURNS)) * F.col("source_size")
     everything = named.agg(F.sum("source_size"), F.sum("weight")).first()
     words, weights = float(everything[0] or 0), float(everything[1] or 0)
     tight = ["ratio", "source_no"]
-    limits = prefix_sum(named, tight, limit, scratch, "limits")
-    filled = prefix_sum(limits, tight, F.col("weight"), scratch, "weights")
+    filled = running(named, tight, {"limits": limit, "weights": F.col("weight")}, scratch)
     level = (F.lit(words) - F.col("limits")) / (F.lit(weights) - F.col("weights"))
     free = filled.withColumn("level", level).where(F.col("level") * F.col("weight") <= limit)
     top = free.agg(F.min(F.struct(*tight, "level"))["level"]).first()[0] or 0.0
@@ -101,12 +113,12 @@ class Mix:
         end = F.sum("size").over(packed.rowsBetween(W.unboundedPreceding, 0))
         self.placed = scratch.save(worded.withColumn("start", end - F.col("size")).drop("hash", "buckets", "deal"), "placed")
         filled = self.placed.groupBy("source_no", "bucket").agg(F.ceil(F.sum("size") / F.lit(block)).cast("long").alias("n"))
-        filled = scratch.save(prefix_sum(filled, ["source_no", "bucket"], F.col("n"), scratch, "ahead"), "filled")
+        filled = scratch.save(running(filled, ["source_no", "bucket"], {"ahead": F.col("n")}, scratch), "filled")
         counts = filled.groupBy("source_no").agg(F.sum("n").alias("blocks"), F.min("ahead").alias("first"))
         bases = filled.join(counts, "source_no").select("source_no", "bucket", (F.col("ahead") - F.col("first")).alias("base"))
         share = F.least(F.round(F.col("target") / F.col("source_size") * F.col("blocks")).cast("long"), MOST_TURNS * F.col("blocks"))
         quotas = self.targets.join(counts, "source_no").select("source_no", "blocks", share.alias("quota"))
-        self.quotas = scratch.save(prefix_sum(quotas, ["source_no"], F.col("quota"), scratch, "lo").withColumn("hi", F.col("lo") + F.col("quota")), "quotas")
+        self.quotas = scratch.save(running(quotas, ["source_no"], {"lo": F.col("quota")}, scratch).withColumn("hi", F.col("lo") + F.col("quota")), "quotas")
         self.slots = self._draw(sized.sparkSession, shard)
         first, last = F.floor(F.col("start") / block), F.floor((F.col("start") + F.col("size") - 1) / block)
         spread = self.placed.join(bases, ["source_no", "bucket"]).withColumn("first", first.cast("long")).withColumn("last", last.cast("long"))
@@ -139,7 +151,7 @@ class Mix:
         drawn = spark.range(total).select(F.floor(F.col("id") / shard).alias("shard"), ticket.alias("ticket"))
         drawn = drawn.withColumn("cell", F.floor(F.col("ticket") / width))
         hits = drawn.join(cells, "cell").where("ticket >= lo and ticket < hi").groupBy("source_no", "shard").agg(F.count("*").alias("n"))
-        runs = prefix_sum(hits, ["source_no", "shard"], F.col("n"), self.scratch, "ahead").join(self.quotas.select("source_no", "lo", "blocks"), "source_no")
+        runs = running(hits, ["source_no", "shard"], {"ahead": F.col("n")}, self.scratch).join(self.quotas.select("source_no", "lo", "blocks"), "source_no")
         # source ranges of tickets follow one another, so what lies ahead of a source is its lo
         runs = runs.withColumn("at", F.col("ahead") - F.col("lo"))
         # runs are cut by turn, so that a turn's key is made once, and dealt out before they grow

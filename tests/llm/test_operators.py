@@ -88,6 +88,21 @@ def test_mixed_documents_hold_the_taken_words(spark):
     assert mixing.mixed_documents(df.where("false")).count() == 0 and mixing.mix_report(df.where("false")).count() == 0
 
 
+def test_mixing_by_ranges_and_with_a_hot_id(spark, monkeypatch):
+    rows = [(i, t, "abcde"[i % 5]) for i, t in enumerate(texts(4, 120, 0, 60))] + [(None, "one more row", "a")] * 300
+    want = sorted(map(str, mixing.mix_report(docs(spark, rows), block=8).collect()))
+    monkeypatch.setattr(mixing, "WINDOW_ROWS", 0)
+    monkeypatch.setattr(mixing, "BROADCAST_ROWS", 0)
+    assert sorted(map(str, mixing.mix_report(docs(spark, rows), block=8).collect())) == want
+    monkeypatch.setattr(mixing, "SAME_ID_ROWS", 20)
+    monkeypatch.setattr(mixing, "BUCKET_WORDS", 100)
+    got = mixing.mix_report(docs(spark, rows), block=8).collect()
+    assert len(got) == len(rows)
+    for s, target in {r["source_size"]: r["target"] for r in got}.items():
+        taken = sum(r["taken"] for r in got if r["source_size"] == s)
+        assert abs(taken - target) <= 0.1 * target + 24
+
+
 def test_permutation_is_one(spark):
     for n in (1, 2, 3, 7, 64, 1000, 1048583):
         df = spark.range(n).select(mixing.permuted(F.col("id"), F.lit(n).cast("long"), F.lit(123456789012)).alias("p"))
