@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from ..edges import arcs, degrees
+from ..operators.scan import prefix_sum
+from ..storage import Scratch
 
 
 def matching_weight(matching: DataFrame) -> DataFrame:
@@ -25,6 +27,12 @@ def weight_upper_bound(edges: DataFrame) -> DataFrame:
     return top.agg(F.coalesce(F.sum("w"), F.lit(0)).cast("long").alias("twice_bound"))
 
 
+def bound_ratio(edges: DataFrame, matching: DataFrame) -> DataFrame:
+    """Weight over the bound: the ratio to the optimum is at least that."""
+    both = matching_weight(matching).withColumn("k", F.lit(1)).join(weight_upper_bound(edges).withColumn("k", F.lit(1)), "k")
+    return both.select((2 * F.col("weight").cast("double") / F.col("twice_bound")).alias("ratio"))
+
+
 def double_use(matching: DataFrame) -> DataFrame:
     return arcs(matching).groupBy("vertex").count().where("count > 1")
 
@@ -53,18 +61,58 @@ def doubling_ratio(times: DataFrame) -> DataFrame:
     return times.select("p", "seconds", (F.lag("seconds").over(order) / F.col("seconds")).alias("ratio"), (first / F.col("seconds")).alias("speedup"), (first / F.col("seconds") / F.col("p") * F.first("p").over(order)).alias("efficiency"))
 
 
-def owner(vertex: str, parts: int, kind: str = "range", low: int = 0, high: int = 0) -> Column:
+def owners(edges: DataFrame, parts: int, kind: str = "range", scratch: Scratch | None = None) -> DataFrame:
+    """``(vertex, owner)``: ``range`` gives each owner as many vertices, consecutive by id, as the
+    others; ``hash`` deals them by md5."""
+    vertices = arcs(edges).select("vertex").distinct()
     if kind == "hash":
-        return F.pmod(F.conv(F.substring(F.md5(F.col(vertex).cast("string")), 1, 12), 16, 10).cast("long"), F.lit(parts))
-    width = max(1, -(-(high - low + 1) // parts))
-    return F.floor((F.col(vertex) - low) / width)
+        coin = F.conv(F.substring(F.md5(F.col("vertex").cast("string")), 1, 12), 16, 10).cast("long")
+        return vertices.select("vertex", F.pmod(coin, F.lit(parts)).cast("int").alias("owner"))
+    scratch = scratch or Scratch(edges.sparkSession, "owners")
+    vertices = scratch.save(vertices, "vertices")
+    n = max(vertices.count(), 1)
+    return prefix_sum(vertices, ["vertex"], F.lit(1).cast("long"), scratch, "place").select("vertex", F.floor(F.col("place") * parts / n).cast("int").alias("owner"))
+
+
+def owned_edges(edges: DataFrame, parts: int, kind: str = "range") -> DataFrame:
+    """The edges with the owners ``ou`` and ``ov`` of their ends."""
+    at = owners(edges, parts, kind)
+    for c in "uv":
+        edges = edges.join(at.select(F.col("vertex").alias(c), F.col("owner").alias(f"o{c}")), c)
+    return edges
 
 
 def cut_fraction(edges: DataFrame, parts: int, kind: str = "range") -> DataFrame:
     """Edges whose ends have different owners."""
-    low, high = edges.agg(F.min("u"), F.max("v")).first()
-    args = (parts, kind, low or 0, high or 0)
-    return edges.agg(F.sum((owner("u", *args) != owner("v", *args)).cast("long")).alias("cut"), F.count("*").alias("edges"))
+    return owned_edges(edges, parts, kind).agg(F.sum((F.col("ou") != F.col("ov")).cast("long")).alias("cut"), F.count("*").alias("edges"))
+
+
+def communication(removed: DataFrame, parts: int, kind: str = "range") -> DataFrame:
+    """``(phase, live, cut, messages)`` from edges with the phase that ``removed`` them: live edges of
+    a phase, those between owners, and a vote and a flag each way over each of them."""
+    per = owned_edges(removed, parts, kind).groupBy("removed").agg(F.count("*").alias("n"), F.sum((F.col("ou") != F.col("ov")).cast("long")).alias("c"))
+    later = W.orderBy(F.col("removed").desc()).rowsBetween(W.unboundedPreceding, 0)  # one row a phase
+    return per.select(F.col("removed").alias("phase"), F.sum("n").over(later).alias("live"), F.sum("c").over(later).alias("cut"), (4 * F.sum("c").over(later)).alias("messages"))
+
+
+def levels_above(size: Column, start: int, fan: int, most: int = 20) -> Column:
+    """Least k with start * fan^k >= size, in integers."""
+    return sum((F.when(size > start * fan**k, 1).otherwise(0) for k in range(most) if start * fan**k < 1 << 62), F.lit(0))
+
+
+def mapreduce_cost(log: DataFrame, memory: int) -> DataFrame:
+    """``(phase, rounds, traffic)`` where a machine holds ``memory`` rows: each aggregation of the
+    phase's cells is a tree of that fan, and each level of it moves all cells once."""
+    rounds = F.greatest(levels_above(2 * F.col("live_before"), 1, memory), F.lit(1)).cast("int")
+    return log.select("phase", rounds.alias("rounds"), (2 * F.col("live_before") * rounds).cast("long").alias("traffic"))
+
+
+def io_cost(log: DataFrame, memory: int, block: int) -> DataFrame:
+    """``(phase, passes, blocks)`` of an external-memory run: the cells of a phase are sorted by a
+    merge of fan memory/block, and every pass reads and writes all blocks."""
+    cells = 2 * F.col("live_before")
+    passes = (1 + levels_above(cells, memory, memory // block)).cast("int")
+    return log.select("phase", passes.alias("passes"), (2 * passes * F.ceil(cells / block)).cast("long").alias("blocks"))
 
 
 def balance_check(edges: DataFrame, parts: int) -> DataFrame:

@@ -80,6 +80,30 @@ def pointer_matching(edges: DataFrame) -> MatchResult:
     return _result(ordered, scanned(ordered, pointer_scan))
 
 
+def pointer_rounds(edges: DataFrame) -> MatchResult:
+    """``pointer_matching`` in rounds over all vertices: each points at its heaviest neighbour that
+    is left, mutual pointers match, and only vertices whose neighbour went point anew."""
+    scratch, ordered = _start(edges, "pointers")
+    aimed: DataFrame | None = None
+
+    def pick(live: DataFrame, k: int) -> DataFrame:
+        nonlocal aimed
+        cells = arcs(live, "eid")
+        if aimed is not None:
+            still = aimed.join(live.select("eid"), "eid", "left_semi").select("vertex", "eid")
+            again = cells.join(still.select("vertex"), "vertex", "left_anti")
+            fresh = still.unionByName(again.groupBy("vertex").agg(F.max("eid").alias("eid")))
+        else:
+            fresh = cells.groupBy("vertex").agg(F.max("eid").alias("eid"))
+        before, aimed = aimed, scratch.save(fresh, "aimed")
+        if before is not None:
+            scratch.drop(before)
+        votes = aimed.groupBy("eid").agg(F.count("*").alias("votes")).where("votes = 2")
+        return live.join(votes.select("eid"), "eid", "left_semi")
+
+    return _result(ordered, rounds(ordered, scratch, pick))
+
+
 def portable_coin(seed: int, k: int | Column, *parts: str) -> Column:
     """48 hashed bits of (seed, round, parts), the same in every SQL engine."""
     k = F.lit(k) if isinstance(k, int) else k

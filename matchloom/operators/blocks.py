@@ -35,18 +35,20 @@ def settle_block(vertex: np.ndarray, other: np.ndarray, eid: np.ndarray) -> tupl
         live &= ~(gone[at] | inner & gone[spot])
 
 
-def run(ordered: DataFrame, scratch: Scratch, max_phases: int, parts: int | None = None, owner: str = "hash") -> tuple[DataFrame, list[dict]]:
-    """``(eid, phase)``: phase counts exchanges here, which are fewer than phases of a vertex."""
+#: Cells for each owner, so that what one task holds does not grow with the graph.
+OWNER_CELLS = 1 << 20
+
+
+def run(ordered: DataFrame, scratch: Scratch, max_phases: int, parts: int | None = None, owner: str = "range") -> tuple[DataFrame, list[dict]]:
+    """``(eid, phase)``: phase counts exchanges here, which are fewer than phases of a vertex. The log
+    tells the rows that crossed owners as ``shuffle_rows``. Owners hold consecutive vertices
+    (``range``) or hashed ones."""
+    from ..functions.measures import owners
     from .localmax import _line
 
-    parts = parts or max(2, ordered.sparkSession.sparkContext.defaultParallelism)
-    cells = arcs(ordered, "eid")
-    if owner == "range":
-        low, high = ordered.agg(F.min("u"), F.max("v")).first()
-        width = max(1, -(-((high or 0) - (low or 0) + 1) // parts))
-        cells = cells.withColumn("owner", F.floor((F.col("vertex") - (low or 0)) / width).cast("int"))
-    else:
-        cells = cells.withColumn("owner", F.pmod(F.xxhash64("vertex"), F.lit(parts)).cast("int"))
+    parts = parts or max(2, ordered.sparkSession.sparkContext.defaultParallelism, -(-2 * ordered.count() // OWNER_CELLS))
+    at = scratch.save(owners(ordered, parts, owner, scratch), "owners")
+    cells = arcs(ordered, "eid").join(at, "vertex")
     cells = scratch.save(cells, "owned")
     count, phase, log, out = ordered.count(), 0, [], []
 
@@ -67,7 +69,8 @@ def run(ordered: DataFrame, scratch: Scratch, max_phases: int, parts: int | None
         n_won, n_left = won.count(), left.count() // 2
         if not n_won:
             raise RuntimeError("an exchange matched nothing")
-        log.append(_line(phase, count, n_won, n_left, time.time() - began))
+        crossed = left.select("eid", "owner").groupBy("eid").agg((F.min("owner") != F.max("owner")).alias("cut")).where("cut").count()
+        log.append({**_line(phase, count, n_won, n_left, time.time() - began), "shuffle_rows": crossed})
         out.append(won.select("eid", F.lit(phase).alias("phase")))
         scratch.drop(cells)
         cells, count = left, n_left

@@ -6,7 +6,10 @@ Plans for one phase (all give the same matching under the same order):
   votes for its best edge, an edge with two votes wins. The vote moves as many rows as there
   are vertices.
 * ``join`` - the table of best edges is joined back to both ends.
-* ``arcs`` - window maxima over resident arcs (operators.crew).
+* ``sort`` - the ``edges`` plan with sorts in place of hashing: the best edge is the first of its
+  vertex in sorted runs, which spill, and matched vertices leave by merge joins.
+* ``arcs`` - window maxima over resident arcs that move together (operators.crew);
+  ``primitives`` - the same from scatter, gather and prefix sums alone.
 * ``blocks`` - vertex owners work on their own edges first (operators.blocks).
 * ``sql`` - the ``join`` plan as one SQL statement.
 * ``kernel`` - everything in one task; also the finish of the others.
@@ -19,7 +22,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window as W, functions as F
 
 from ..catalog import make_importable
 from ..edges import arcs, ordered_edges, unit_weights
@@ -51,6 +54,13 @@ class MatchResult:
     def free_vertices(self) -> DataFrame:
         return self.mates().where("mate is null").select("vertex")
 
+    def removal_phases(self) -> DataFrame:
+        """Edges ``(u, v, eid)`` with the phase that removed them: the first in which an end was
+        matched. Null where the matching leaves an edge."""
+        at = arcs(self.matching, "phase").select("vertex", "phase")
+        ends = [at.select(F.col("vertex").alias(c), F.col("phase").alias(f"p{c}")) for c in "uv"]
+        return self.edges.join(ends[0], "u", "left").join(ends[1], "v", "left").select("u", "v", "eid", F.least("pu", "pv").alias("removed"))
+
     def is_valid(self) -> bool:
         return arcs(self.matching).groupBy("vertex").count().where("count > 1").isEmpty()
 
@@ -80,6 +90,17 @@ def candidates(live: DataFrame, by: list[str] = (), levels: int = 1) -> DataFram
     return ends.groupBy(*by, "vertex").agg(F.max_by("eid", "key").alias("eid"))
 
 
+def first_of_runs(live: DataFrame, by: list[str]) -> DataFrame:
+    """``candidates`` by sorting: the first cell of each vertex's sorted run."""
+    falling = W.partitionBy(*by, "vertex").orderBy(F.col("key").desc())
+    return arcs(live, "eid", "key", *by).withColumn("place", F.row_number().over(falling)).where("place = 1").select(*by, "vertex", "eid")
+
+
+def winners_by_sort(live: DataFrame, by: list[str], levels: int) -> DataFrame:
+    votes = first_of_runs(live, by).groupBy(*by, "eid").agg(F.count("*").alias("votes")).where("votes = 2")
+    return live.join(votes.select(*by, "eid").hint("merge"), [*by, "eid"], "left_semi")
+
+
 def winners_by_vote(live: DataFrame, by: list[str], levels: int) -> DataFrame:
     votes = candidates(live, by, levels).groupBy(*by, "eid").agg(F.count("*").alias("votes")).where("votes = 2")
     return live.join(votes.select(*by, "eid"), [*by, "eid"], "left_semi")
@@ -116,15 +137,15 @@ def renewed(seed: int, phase: int):
     return F.conv(F.substring(F.md5(text), 1, 12), 16, 10).cast("long")
 
 
-WINNERS = {"edges": winners_by_vote, "join": winners_by_join, "sql": winners_by_sql}
+WINNERS = {"sort": winners_by_sort, "edges": winners_by_vote, "join": winners_by_join, "sql": winners_by_sql}
 
 
-def drop_covered(live: DataFrame, won: DataFrame, by: list[str], small: bool) -> DataFrame:
+def drop_covered(live: DataFrame, won: DataFrame, by: list[str], small: bool, hint: str | None = None) -> DataFrame:
     """Live edges without those that touch a matched vertex. The matched vertices are broadcast
     only where their counted number is small."""
     covered = arcs(won, *by).select(*by, "vertex")
-    if small:
-        covered = F.broadcast(covered)
+    if small or hint:
+        covered = covered.hint(hint or "broadcast")
     for end in ("u", "v"):
         live = live.join(covered.withColumnRenamed("vertex", end), [*by, end], "left_anti")
     return live
@@ -153,7 +174,7 @@ def finish(live: DataFrame, by: list[str], after: int) -> DataFrame:
 
 def local_max(
     edges: DataFrame, *, weight: str | None = "w", ties: str = "portable", seed: int = 42, plan: str = "edges", levels: int = 1, by: tuple[str, ...] = (),
-    max_phases: int = 200, finish_rows: int = 1_000_000, stop_after: int | None = None, scratch: Scratch | None = None,
+    max_phases: int = 200, finish_rows: int = 1_000_000, stop_after: int | None = None, scratch: Scratch | None = None, owners: dict | None = None,
 ) -> MatchResult:
     """Maximal matching of a canonical edge table, with ``phase`` of each matched edge.
 
@@ -161,7 +182,8 @@ def local_max(
     fresh noise for each phase. ``weight=None``: unit weights. ``by``: columns that tell apart
     many graphs matched at once. Live edges of ``finish_rows`` or fewer go to one task (0: never);
     ``max_phases`` ends in an error unless edges fit the finish. ``stop_after`` leaves the
-    matching as it is after so many phases, not maximal then.
+    matching as it is after so many phases, not maximal then. ``owners``: options ``parts`` and
+    ``owner`` (range or hash) of the plan ``blocks``.
     """
     spark = edges.sparkSession
     make_importable(spark)
@@ -177,10 +199,13 @@ def local_max(
         ordered = scratch.save(placed.select(*by, "u", "v", "w", F.monotonically_increasing_id().alias("eid")), "edges")
     else:
         ordered = ordered_edges(edges, scratch, "portable" if ties == "renew" else ties, seed)
-    if plan in ("arcs", "blocks"):
+    if plan in ("arcs", "primitives", "blocks"):
         from . import blocks, crew
 
-        picked, log = (crew.run if plan == "arcs" else blocks.run)(ordered, scratch, max_phases)
+        if plan == "blocks":
+            picked, log = blocks.run(ordered, scratch, max_phases, **(owners or {}))
+        else:
+            picked, log = crew.run(ordered, scratch, max_phases, crew.phase_flags if plan == "arcs" else crew.primitive_flags)
         return MatchResult(ordered.join(picked, "eid").select("u", "v", "w", "eid", "phase"), ordered, log)
     live, parts, log, phase = ordered.select(*by, "u", "v", "eid"), [], [], 0
     count = live.count()
@@ -206,7 +231,7 @@ def local_max(
         matched = won.count()
         if not matched:
             raise RuntimeError("a phase matched nothing")
-        after = scratch.save(drop_covered(live, won, by, matched <= BROADCAST_ROWS), "live")
+        after = scratch.save(drop_covered(live, won, by, matched <= BROADCAST_ROWS, "merge" if plan == "sort" else None), "live")
         left = after.count()
         log.append(_line(phase, count, matched, left, time.time() - began))
         parts.append(won.select(*by, "eid", F.lit(phase).alias("phase")))

@@ -9,9 +9,10 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..catalog import make_importable
 from ..edges import arcs, ordered_edges
-from ..functions.kernels import global_paths_scan, one_task, path_optimum
+from ..functions.kernels import global_paths_scan, one_task
 from ..storage import Scratch
 from .localmax import BROADCAST_ROWS, MatchResult, drop_covered, finish
+from .pathscan import optimum_links, rank_links
 
 SCAN_ROWS = 5_000_000
 LINKS = "eid long, u long, v long, w long, comp long, place long, taken boolean"
@@ -56,11 +57,12 @@ def grow_paths(ordered: DataFrame, scratch: Scratch, most: int = 1000) -> DataFr
         votes = best.groupBy("eid").agg(F.count("*").alias("votes"))
         top = placed.join(votes, "eid").where((F.col("votes") == 2) | (F.col("cu") == F.col("cv")))
         judged = scratch.save(top.join(sizes.withColumnRenamed("comp", "cu"), "cu").withColumn("ok", (F.col("cu") != F.col("cv")) | (F.col("links") % 2 == 1)).select("u", "v", "eid", "cu", "cv", "ok"), "judged")
-        taken = judged.where("ok")
+        taken = scratch.save(judged.where("ok"), "taken")
         chosen.append(taken.select("eid", "u", "v"))
         named = taken.select(F.greatest("cu", "cv").alias("old"), F.least("cu", "cv").alias("new"))
         grown = arcs(taken).groupBy("vertex").agg(F.count("*").alias("more"))
         state2 = state.join(grown, "vertex", "left").join(named.where("old <> new").withColumnRenamed("old", "comp"), "comp", "left")
+        state_before, sizes_before, live_before = state, sizes, live
         state = scratch.save(state2.select("vertex", F.coalesce("new", "comp").alias("comp"), (F.col("degree") + F.coalesce("more", F.lit(0))).cast("int").alias("degree")), "state")
         moved = sizes.join(named.where("old <> new").withColumnRenamed("old", "comp"), "comp", "left").select(F.coalesce("new", "comp").alias("comp"), "links")
         added = taken.select(F.least("cu", "cv").alias("comp"), F.lit(1).cast("long").alias("links"))
@@ -70,6 +72,7 @@ def grow_paths(ordered: DataFrame, scratch: Scratch, most: int = 1000) -> DataFr
         for c in "uv":
             rest = rest.join(full.withColumnRenamed("vertex", c), c, "left_anti")
         live = scratch.save(rest.select("u", "v", "eid"), "live")
+        scratch.drop(placed, judged, state_before, sizes_before, *([live_before] if chosen[1:] else []))
         count = live.count()
     else:
         raise RuntimeError("growth did not end")
@@ -81,44 +84,6 @@ def grow_paths(ordered: DataFrame, scratch: Scratch, most: int = 1000) -> DataFr
     return links.join(state.select(F.col("vertex").alias("u"), "comp"), "u").select("eid", "u", "v", "comp")
 
 
-def rank_links(links: DataFrame) -> DataFrame:
-    """Adds ``place`` along its path and ``is_cycle`` to ``(eid, u, v, w, comp)``; each path is
-    walked by its own task from its end with the smaller id (a cycle from its least vertex)."""
-    kinds = dict(links.dtypes)
-
-    def walk(table: pa.Table) -> pa.Table:
-        u, v = table.column("u").to_pylist(), table.column("v").to_pylist()
-        near: dict[int, list[int]] = {}
-        for e, (x, y) in enumerate(zip(u, v)):
-            near.setdefault(x, []).append(e)
-            near.setdefault(y, []).append(e)
-        ends = sorted(x for x, es in near.items() if len(es) == 1)
-        x = ends[0] if ends else min(near)
-        place, e = [-1] * len(u), near[x][0]
-        for k in range(len(u)):
-            place[e] = k
-            x = v[e] if u[e] == x else u[e]
-            ahead = [f for f in near[x] if place[f] < 0]
-            if not ahead:
-                break
-            e = ahead[0]
-        return table.append_column("place", pa.array(place, pa.int64())).append_column("is_cycle", pa.array([not ends] * len(u)))
-
-    return links.groupBy("comp").applyInArrow(walk, ", ".join([*(f"{c} {kinds[c]}" for c in links.columns), "place long, is_cycle boolean"]))
-
-
-def optimum_links(ranked: DataFrame) -> DataFrame:
-    """The links that the heaviest matching of their path or cycle takes."""
-
-    def choose(table: pa.Table) -> pa.Table:
-        order = np.argsort(table.column("place").to_numpy())
-        table = table.take(pa.array(order))
-        w = table.column("w").to_pylist()
-        return table.take(pa.array(sorted(path_optimum(w, table.column("is_cycle")[0].as_py())), pa.int64())).select(["eid", "u", "v", "comp"])
-
-    return ranked.groupBy("comp").applyInArrow(choose, "eid long, u long, v long, comp long")
-
-
 def global_paths(edges: DataFrame, rounds: int = 1, engine: str = "auto", maximal: bool = False, ties: str = "portable", seed: int = 42) -> MatchResult:
     """``rounds`` passes over the vertices that are still free; ``maximal`` fills the rest with
     local max. ``engine``: ``rounds``, ``scan`` (one task), or ``auto`` by the number of edges."""
@@ -134,7 +99,8 @@ def global_paths(edges: DataFrame, rounds: int = 1, engine: str = "auto", maxima
             won = grown_links_scan(live).where("taken").select("eid", "u", "v")
         else:
             links = grow_paths(live, scratch).join(live.select("eid", "w"), "eid")
-            won = optimum_links(rank_links(scratch.save(links, "links"))).select("eid", "u", "v")
+            ranked = scratch.save(rank_links(scratch.save(links, "links"), scratch), "ranked")
+            won = optimum_links(ranked, scratch).select("eid", "u", "v")
         won = scratch.save(won, "won")
         out.append(won.select("eid", F.lit(k).alias("phase")))
         if k < rounds or maximal:

@@ -4,6 +4,9 @@ from __future__ import annotations
 
 RIGHT = 1_000_000_000
 STEPS = 1_000_000
+#: Windows of streams that have closed end before this moment.
+SEEN = "(select max(ts) - interval 1 hour from events)"
+STAMP = "%Y-%m-%d %H:%M:%S"
 
 
 def h48(text: str) -> str:
@@ -33,7 +36,7 @@ GRAPHS = {
     "event_succ": simple(f"select user_id as u, lead(user_id) over (order by ts, event_id) as v, {CENTS.format('value')} as w from events", where="true"),
     "rising_path": "select range as u, range + 1 as v, range + 1 as w from range((select count(*) - 1 from orders))",
     "rising_path_200": "select range as u, range + 1 as v, range + 1 as w from range(199)",
-    "random_alpha": f"""
+    "random_alpha_4": f"""
         select u, v, {h48("'w|' || u || '|' || v")} % {STEPS} + 1 as w from (
           select distinct least(a, b) as u, greatest(a, b) as v from (
             select a, {h48("'end|' || a || '|' || k")} % n as b
@@ -57,6 +60,17 @@ GRAPHS = {
         having coalesce(min(dot / turned) filter (turned > 0), 1e300) + coalesce(min(-dot / turned) filter (turned < 0), 1e300) >= 0
            and coalesce(bool_and(dot >= 0) filter (turned = 0), true)""",
 }
+GRAPHS["random_alpha"] = GRAPHS["random_alpha_4"]
+for _alpha in (16, 64):
+    GRAPHS[f"random_alpha_{_alpha}"] = GRAPHS["random_alpha_4"].replace("(select unnest([1, 2, 3, 4]) as k)", f"(select unnest(range(1, {_alpha + 1})) as k)")
+_WORDS = r"list_filter(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
+GRAPHS["doc_jaccard"] = f"""
+    with d as (select doc_id, {_WORDS} as words from documents where doc_id is not null and text is not null),
+    s as (select distinct doc_id, array_to_string(words[i : i + 4], ' ') as item from (select doc_id, words, unnest(range(1, greatest(len(words) - 4, 1) + 1)) as i from d where len(words) > 0)),
+    n as (select doc_id, count(*) as n from s group by doc_id),
+    c as (select a.doc_id as u, b.doc_id as v, count(*) as shared from s a join s b on a.item = b.item and a.doc_id < b.doc_id group by all)
+    select u, v, floor(shared * {STEPS} / (a.n + b.n - shared))::bigint as w
+    from c join n a on a.doc_id = u join n b on b.doc_id = v where shared >= 0.8 * (a.n + b.n - shared) - 1e-9"""
 DAYS = f"""
     select day, least(u, v) as u, greatest(u, v) as v, sum(w)::bigint as w from (
       select strftime(ts, '%Y-%m-%d') as day, user_id as u, lead(user_id) over (partition by date_trunc('day', ts) order by ts, event_id) as v, {CENTS.format("value")} as w from events)
@@ -174,3 +188,26 @@ select u, v, w from ranked where r in (select unnest(picked) from (select picked
 
 
 DEGREES = "degrees as (select x, count(*) as d from (select u as x from ranked union all select v from ranked) group by x)"
+
+OWNERS = "own as (select x, (row_number() over (order by x) - 1) * 8 // count(*) over () as o from (select u as x from ranked union select v from ranked))"
+LOG = "log as (select phase + 1 as phase, count(*) as live from steps where not hit group by phase)"
+KNN = f"""
+    with e as ({GRAPHS["rgg_events"]}),
+    ends as (select u as x, v as y, w from e union all select v, u, w from e)
+    select distinct least(x, y) as u, greatest(x, y) as v, w from (select *, row_number() over (partition by x order by w, y) as k from ends) where k <= 4"""
+
+#: Users and event types of closed days, as a graph for each day.
+TYPED_DAYS = f"""
+    select strftime(day, '{STAMP}') as day, user_id as u, {h48("event_type")} + {RIGHT} as v, cents as w
+    from (select date_trunc('day', ts) as day, user_id, event_type, sum(cast(round(value * 100) as bigint))::bigint as cents from events group by all)
+    where cents > 0 and day + interval 1 day <= {SEEN}"""
+
+
+def levels_above(size: str, start: int, fan: int) -> str:
+    return " + ".join(f"({size} > {start * fan ** k})::int" for k in range(4))
+
+
+#: A cell's twin is the other cell of its edge, next to it when cells lie by edge.
+TWINS = """
+    select pos, vertex, other, coalesce(lag(pos) over pair, lead(pos) over pair) as twin_pos
+    from cells window pair as (partition by r order by vertex)"""

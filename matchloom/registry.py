@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
@@ -35,7 +36,8 @@ BUILD: dict[str, Query] = {
     "part_supp": graphs.part_supp, "order_part": graphs.order_part, "cust_supp": graphs.cust_supp, "cust_part": graphs.cust_part, "copurchase": graphs.copurchase,
     "nation_region": graphs.nation_region, "customer_nation": graphs.customer_nation, "conversation_turn": graphs.conversation_turn, "page_host": graphs.page_host,
     "event_succ": graphs.event_succ, "rising_path": graphs.rising_path, "random_alpha": graphs.random_alpha, "gram": graphs.gram, "doc_near": graphs.doc_near,
-    "rgg_events": graphs.rgg_events, "delaunay2d": graphs.delaunay2d,
+    "rgg_events": graphs.rgg_events, "delaunay2d": graphs.delaunay2d, "doc_jaccard": graphs.doc_jaccard,
+    "random_alpha_16": lambda s, d: graphs.random_alpha(s, d, 16), "random_alpha_64": lambda s, d: graphs.random_alpha(s, d, 64),
 }
 RESULT = ("u", "v", "w", "phase")
 
@@ -47,7 +49,7 @@ def matching_query(build: Query, **options) -> Query:
 # graphs, and local max on each of them
 for _name, _build in BUILD.items():
     register(f"graph_{_name}", sql.GRAPHS[_name])(lambda spark, d, b=_build: b(spark, d).select("u", "v", "w"))
-for _name in ("part_supp", "copurchase", "cust_supp", "cust_part", "order_part", "event_succ", "rgg_events", "gram", "doc_near", "random_alpha", "page_host", "delaunay2d"):
+for _name in ("part_supp", "copurchase", "cust_supp", "cust_part", "order_part", "event_succ", "rgg_events", "gram", "doc_near", "doc_jaccard", "random_alpha", "random_alpha_16", "page_host", "delaunay2d"):
     register(f"lm_{_name}", sql.matched(sql.GRAPHS[_name]))(matching_query(BUILD[_name]))
 register("lm_star_nation", sql.matched(sql.GRAPHS["nation_region"]))(matching_query(graphs.nation_region))
 register("lm_star_customer", sql.matched(sql.GRAPHS["customer_nation"]))(matching_query(graphs.customer_nation))
@@ -63,9 +65,15 @@ register("lm_grouped_days", sql.matched_by_day(sql.DAYS + " having sum(w) >= 0")
 _PS = sql.GRAPHS["part_supp"]
 for _plan in ("edges", "join", "sql"):
     register(f"lm_plan_{_plan}", sql.matched(_PS))(matching_query(graphs.part_supp, plan=_plan, finish_rows=0))
+# the distributed loop to its end, over many phases, on each kind of graph
+for _name in ("copurchase", "rgg_events", "random_alpha_16", "random_alpha_64"):
+    register(f"lm_loop_{_name}", sql.matched(sql.GRAPHS[_name]))(matching_query(BUILD[_name], finish_rows=0))
+register("lm_plan_sort", sql.matched(_PS))(matching_query(graphs.part_supp, plan="sort", finish_rows=0))
+register("lm_plan_primitives", sql.matched(_PS))(matching_query(graphs.part_supp, plan="primitives"))
 register("lm_plan_levels", sql.matched(_PS))(matching_query(graphs.part_supp, finish_rows=0, levels=2))
 register("lm_plan_arcs", sql.matched(_PS))(matching_query(graphs.part_supp, plan="arcs"))
-register("lm_plan_blocks", sql.matched(_PS, "select u, v, w from matching"))(lambda s, d: local_max(graphs.part_supp(s, d), plan="blocks").matching.select("u", "v", "w"))
+for _name, _owners in (("lm_plan_blocks", {}), ("lm_plan_blocks_hash", {"owner": "hash"})):
+    register(_name, sql.matched(_PS, "select u, v, w from matching"))(lambda s, d, o=_owners: local_max(graphs.part_supp(s, d), plan="blocks", owners=o).matching.select("u", "v", "w"))
 register("lm_kernel", sql.matched(_PS))(matching_query(graphs.part_supp, plan="kernel"))
 
 
@@ -102,6 +110,7 @@ def edges_of(f) -> Query:
 register("greedy_scan", _GREEDY)(edges_of(lambda s, d: baselines.greedy(graphs.part_supp(s, d), engine="scan")))
 register("greedy_rounds", _GREEDY)(edges_of(lambda s, d: baselines.greedy(graphs.part_supp(s, d), engine="rounds", finish_rows=0)))
 register("pointer_matching", _GREEDY)(edges_of(lambda s, d: baselines.pointer_matching(graphs.part_supp(s, d))))
+register("pointer_rounds", _GREEDY)(edges_of(lambda s, d: baselines.pointer_rounds(graphs.part_supp(s, d))))
 _RANDOM = "('0x' || substr(md5('42|0|' || x), 1, 12))::bigint"
 register("hem_id", sql.heavy_edge(_SMALL))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "id", engine="scan")))
 register("hem_random_portable", sql.heavy_edge(_SMALL, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "random", engine="scan")))
@@ -113,9 +122,22 @@ register("hem_rounds_whole", sql.heavy_edge(_CN, _RANDOM))(edges_of(lambda s, d:
 register("red_blue_whole", sql.red_blue(_PS))(lambda s, d: baselines.red_blue(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("random_proposal")(lambda s, d: baselines.random_proposal(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("gpa")(edges_of(lambda s, d: paths.global_paths(graphs.copurchase(s, d))))
+register("gpa_rounds")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), engine="rounds")))
 register("gpa_repeated")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), rounds=3, maximal=True)))
 
 
+@register("path_optimum_long", "select sum(range + 1)::bigint as weight, count(*) as size from range((select count(*) - 1 from orders)) where (range - (select count(*) - 2 from orders)) % 2 = 0")
+def path_optimum_long(spark: SparkSession, d: str) -> DataFrame:
+    """The heaviest matching of the path of all orders, by list order and segments: every second
+    link from the heaviest on."""
+    from .operators import pathscan
+
+    scratch = Scratch(spark, "long")
+    links = scratch.save(graphs.rising_path(spark, d).select(F.col("u").alias("eid"), "u", "v", "w", F.lit(0).cast("long").alias("comp")), "links")
+    taken = pathscan.optimum_links(scratch.save(pathscan.rank_links(links, scratch), "ranked"), scratch)
+    return measures.matching_weight(taken.join(links.select("eid", "w"), "eid"))
+
+
 @register("gpa_growth")
 def gpa_growth(spark: SparkSession, d: str) -> DataFrame:
     scratch = Scratch(spark, "growth")
@@ -148,10 +170,27 @@ register("upper_bound", f"with e as ({_PS}) select sum(w)::bigint as twice_bound
 register("match_probability", _RANKED + "select u, v, a.d + b.d - 1 as around from ranked join degrees a on a.x = u join degrees b on b.x = v")(lambda s, d: measures.match_probability(graphs.part_supp(s, d)))
 register("mark_count", sql.matched(_PS, "select sum(a.d + b.d)::bigint as marks from matching join degrees a on a.x = u join degrees b on b.x = v where phase = 1", f", {sql.DEGREES}"))(lambda s, d: measures.mark_count(graphs.part_supp(s, d), local_max(graphs.part_supp(s, d)).matching.where("phase = 1")))
 register("balance_check", _RANKED + "select (select count(*) from ranked) as m, max(d) as max_degree, max(d) * 8 <= (select count(*) from ranked) as balanced from degrees")(lambda s, d: measures.balance_check(graphs.part_supp(s, d), 8))
-register("cut_fraction", f"with e as ({_PS}), s as (select min(u) as lo, (max(v) - min(u) + 1 + 7) // 8 as width from e) select sum((floor((u - lo) / width) <> floor((v - lo) / width))::int)::bigint as cut, count(*) as edges from e, s")(lambda s, d: measures.cut_fraction(graphs.part_supp(s, d), 8))
+register("cut_fraction", f"with ranked as ({sql.ordered(_PS)}), {sql.OWNERS} select sum((a.o <> b.o)::int)::bigint as cut, count(*) as edges from ranked join own a on a.x = u join own b on b.x = v")(lambda s, d: measures.cut_fraction(graphs.part_supp(s, d), 8))
 register("weight_diversity", f"select count(distinct w) as weights, count(*) as edges from ({sql.GRAPHS['copurchase']})")(lambda s, d: measures.weight_diversity(graphs.copurchase(s, d)))
 register("matching_weight", sql.matched(_PS, "select sum(w)::bigint as weight, count(*) as size from matching"))(lambda s, d: measures.matching_weight(local_max(graphs.part_supp(s, d)).matching))
 
+_PHASES = f", {sql.OWNERS}, {sql.LOG} "
+register("bound_ratio", sql.matched(_PS, "select 2 * sum(w)::double / (select sum(w) from (select max(w) as w from (select u as x, w from ranked union all select v, w from ranked) group by x)) as ratio from matching"))(
+    lambda s, d: measures.bound_ratio(graphs.part_supp(s, d), local_max(graphs.part_supp(s, d)).matching)
+)
+register("communication", sql.matched(_PS, "select s.phase + 1 as phase, count(*) as live, sum((a.o <> b.o)::int)::bigint as cut, 4 * sum((a.o <> b.o)::int)::bigint as messages from steps s join own a on a.x = s.u join own b on b.x = s.v where not s.hit group by s.phase", _PHASES))(
+    lambda s, d: measures.communication(local_max(graphs.part_supp(s, d)).removal_phases(), 8)
+)
+register("mapreduce_cost", sql.matched(sql.GRAPHS["copurchase"], f"select phase, greatest({sql.levels_above('2 * live', 1, 1000)}, 1) as rounds, 2 * live * greatest({sql.levels_above('2 * live', 1, 1000)}, 1) as traffic from log", _PHASES))(
+    lambda s, d: measures.mapreduce_cost(local_max(graphs.copurchase(s, d)).log_frame(), 1000)
+)
+register("io_cost", sql.matched(sql.GRAPHS["copurchase"], f"select phase, 1 + {sql.levels_above('2 * live', 10000, 100)} as passes, (2 * (1 + {sql.levels_above('2 * live', 10000, 100)}) * ((2 * live + 99) // 100))::bigint as blocks from log", _PHASES))(
+    lambda s, d: measures.io_cost(local_max(graphs.copurchase(s, d)).log_frame(), 10_000, 100)
+)
+register("phase_summary", sql.matched(sql.GRAPHS["copurchase"], "select count(*) as phases, sum(live)::double / max(live) as total_work, sum((4 * (live - after) >= live)::int)::bigint as good_phases from (select *, coalesce(lead(live) over (order by phase), 0) as after from log)", _PHASES))(
+    lambda s, d: measures.phase_summary(local_max(graphs.copurchase(s, d)).log_frame()).select(F.col("phases").cast("long").alias("phases"), "total_work", "good_phases")
+)
+
 
 @register("is_maximal", "select 0::bigint as double_use, 0::bigint as loose")
 def is_maximal(spark: SparkSession, d: str) -> DataFrame:
@@ -185,8 +224,6 @@ register("suite_summary")(lambda s, d: measures.suite_summary(quality_table(s, d
 @register("pareto")
 def pareto(spark: SparkSession, d: str) -> DataFrame:
     """Methods that no other beats in both weight and time on one graph."""
-    import time
-
     edges = Scratch(spark, "pareto").save(graphs.copurchase(spark, d), "edges")
     rows = []
     for name, f in METHODS.items():
@@ -195,9 +232,26 @@ def pareto(spark: SparkSession, d: str) -> DataFrame:
     return measures.pareto(spark.createDataFrame(rows, "method string, ratio double, seconds double")).select("method", "ratio")
 
 
-register("doubling_ratio", "select * from (values (1, 8.0::double, null::double, 1.0::double, 1.0::double), (2, 4.0, 2.0, 2.0, 1.0), (4, 2.5, 1.6, 3.2, 0.8)) t(p, seconds, ratio, speedup, efficiency)")(
-    lambda s, d: measures.doubling_ratio(s.createDataFrame([(1, 8.0), (2, 4.0), (4, 2.5)], "p int, seconds double"))
-)
+
+
+def timed_parts(spark: SparkSession, d: str, most: int = 8) -> list[tuple[int, float]]:
+    """Seconds of the distributed loop over 1, 2, 4 .. partitions, on the event graph with random
+    weights; a partition is a processor here."""
+    path = Scratch(spark, "sweep").save(graphs.rgg_events(spark, d, True), "edges")._scratch_path
+    rows, p = [], 1
+    while p <= most:
+        part = spark.newSession()
+        part.conf.set("spark.sql.shuffle.partitions", str(p))
+        part.conf.set("spark.sql.adaptive.enabled", "false")
+        edges = part.read.parquet(path).coalesce(p)
+        began = time.time()
+        local_max(edges, finish_rows=0, stop_after=2).matching.write.format("noop").mode("overwrite").save()
+        rows.append((p, time.time() - began))
+        p *= 2
+    return rows
+
+
+register("doubling_ratio")(lambda s, d: measures.doubling_ratio(s.createDataFrame(timed_parts(s, d), "p int, seconds double")))
 
 
 @register("contract_once", sql.matched(sql.GRAPHS["copurchase"], """
@@ -228,7 +282,7 @@ def _cells(spark: SparkSession, d: str) -> tuple[Scratch, DataFrame, DataFrame,
 
 
 register("adjacency", _CELLS + "select x as vertex, d as degree, (sum(d) over (order by x) - d)::bigint as offset from degrees")(lambda s, d: _cells(s, d)[2].select("vertex", "degree", F.col("offset").cast("long").alias("offset")))
-register("twin_positions", _CELLS + "select a.pos, a.vertex, a.other, b.pos as twin_pos from cells a join cells b on a.r = b.r and a.vertex = b.other")(lambda s, d: adjacency.twin_positions(_cells(s, d)[3]).select("pos", "vertex", "other", "twin_pos"))
+register("twin_positions", _CELLS + sql.TWINS)(lambda s, d: adjacency.twin_positions(_cells(s, d)[3]).select("pos", "vertex", "other", "twin_pos"))
 
 
 @register("vertex_reduce_max", f"with e as ({_PS}) select x as vertex, max(w) as reduced from (select u as x, w from e union all select v, w from e) group by x")
@@ -308,6 +362,25 @@ def win_ranked_edges(spark: SparkSession, d: str) -> DataFrame:
     return graphs.part_supp(spark, d).select("u", "v", "w", F.rank().over(falling).alias("place"), F.ntile(4).over(falling).alias("quarter")).where("place <= 3")
 
 
+register("win_analytic", f"select u, v, dense_rank() over g as place, percent_rank() over g as share, nth_value(v, 2) over (partition by u order by w desc, v rows between unbounded preceding and unbounded following) as second from ({_PS}) window g as (partition by u order by w desc, v)")(
+    lambda s, d: (lambda g, whole: graphs.part_supp(s, d).select("u", "v", F.dense_rank().over(g).alias("place"), F.percent_rank().over(g).alias("share"), F.nth_value("v", 2).over(whole).alias("second")))(
+        W.partitionBy("u").orderBy(F.col("w").desc(), "v"), W.partitionBy("u").orderBy(F.col("w").desc(), "v").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    )
+)
+register("agg_grouping_sets", sql.matched(_PS, "select phase, w % 5 as k, count(*) as n, grouping(phase, w % 5) as gid from matching group by grouping sets ((phase, w % 5), (phase), ())"))(
+    lambda s, d: _pair(s, d).withColumn("k", F.col("w") % 5).groupingSets([["phase", "k"], ["phase"], []], "phase", "k").agg(F.count("*").alias("n"), F.grouping_id("phase", "k").alias("gid"))
+)
+register("agg_approx_distinct", f"select count(distinct u) as vertices, true as near from ({_PS})")(
+    lambda s, d: graphs.part_supp(s, d).agg(F.countDistinct("u").alias("vertices"), F.approx_count_distinct("u", 0.02).alias("about")).select("vertices", (F.abs(F.col("about") - F.col("vertices")) <= 0.1 * F.col("vertices")).alias("near"))
+)
+for _hint in ("shuffle_hash", "merge"):
+    register(f"join_{_hint}", sql.matched(_PS, "select u, v from ranked where u not in (select u from matching)"))(
+        lambda s, d, h=_hint: (lambda r: r.edges.join(r.matching.select("u").hint(h), "u", "left_anti").select("u", "v"))(local_max(graphs.part_supp(s, d)))
+    )
+register("fn_props_map", "select event_id, list_sort(json_keys(props)) as names, props::json->>'k' as k from events")(
+    lambda s, d: load(s, d, "events").withColumn("m", F.from_json("props", "map<string,string>")).select("event_id", F.array_sort(F.map_keys("m")).alias("names"), F.element_at("m", F.lit("k")).alias("k"))
+)
+register("graph_knn_events", sql.KNN)(graphs.knn_events)
 register("set_intersect", sql.matched(_PS, "select u, v from matching where w % 2 = 0 intersect select u, v from matching where phase = 1"))(lambda s, d: (lambda m: m.where("w % 2 = 0").select("u", "v").intersect(m.where("phase = 1").select("u", "v")))(_pair(s, d)))
 register("set_except", sql.matched(_PS, "select u, v from ranked except select u, v from matching"))(lambda s, d: (lambda r: r.edges.select("u", "v").exceptAll(r.matching.select("u", "v")))(local_max(graphs.part_supp(s, d))))
 register("topk_heaviest", sql.matched(_PS, "select u, v, w from matching order by w desc, u, v limit 10"))(lambda s, d: _pair(s, d).orderBy(F.col("w").desc(), "u", "v").limit(10).select("u", "v", "w"))
@@ -320,8 +393,7 @@ register("fn_sampled_edges", f"select u, v from ({_PS}) where {sql.h48(chr(39) +
 
 # streams, against the same tables at rest
 _TYPE = f"{sql.h48('event_type')} + {graphs.RIGHT}"
-_SEEN = "(select max(ts) - interval 1 hour from events)"
-_STAMP = "%Y-%m-%d %H:%M:%S"
+_SEEN, _STAMP = sql.SEEN, sql.STAMP
 
 
 def _window_sql(starts: str, length: str) -> str:
@@ -338,7 +410,8 @@ register("stream_tumbling", _window_sql("[date_trunc('day', ts)]", "1 day"))(lam
 register("stream_sliding", _window_sql("[date_trunc('day', ts), date_trunc('day', ts) - interval 1 day]", "2 day"))(
     lambda s, d: stamped(windows.run_stream(windows.window_graph(windows.read_events(s, d), "2 days", "1 day"), "sliding"), "window_start")
 )
-register("stream_matching")(lambda s, d: stamped(windows.stream_window_matching(s, d), "window_start"))
+_MATCHED_DAYS = f"from ({sql.matched_by_day(sql.TYPED_DAYS)})"
+register("stream_matching", f"select day as window_start, u, v, w, phase {_MATCHED_DAYS}")(lambda s, d: stamped(windows.stream_window_matching(s, d), "window_start"))
 register("stream_session", f"""
 select user_id, strftime(min(ts), '{_STAMP}') as session_start, strftime(max(ts) + interval 30 minute, '{_STAMP}') as session_end, count(*) as n
 from (select *, sum(fresh) over (partition by user_id order by ts, event_id rows unbounded preceding) as s
@@ -347,3 +420,9 @@ group by user_id, s having max(ts) + interval 30 minute <= {_SEEN}""")(lambda s,
 register("stream_dedup", "select event_id, user_id from events")(windows.stream_distinct)
 register("stream_static_join", "select event_id, user_id, count(*) over (partition by user_id) as degree from events")(windows.stream_static_join)
 register("stream_totals", "select event_type, count(*) as n from events group by event_type")(windows.stream_totals)
+register("stream_updates", "select event_type, count(*) as n from events group by event_type")(windows.stream_updates)
+register("stream_mate_store", f"select day as window_start, u, v, w {_MATCHED_DAYS}")(windows.stream_mate_store)
+register("stream_interval_join", """
+    select a.user_id, a.event_id as first_id, b.event_id as then_id from events a join events b on a.user_id = b.user_id
+    where a.event_type = 'view' and b.event_type = 'purchase' and b.ts >= a.ts and b.ts <= a.ts + interval 10 minute""")(windows.stream_interval_join)
+register("stream_late", "select count(*) filter (epoch_us(ts) >= m) as kept, count(*) filter (epoch_us(ts) < m) as late from events, (select min(epoch_us(ts)) + (max(epoch_us(ts)) - min(epoch_us(ts))) // 3 as m from events)")(windows.stream_late)

@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window as W, functions
 
 from ..catalog import load
 from ..edges import canonical_edges
+from ..storage import Scratch
 
 RIGHT = 1_000_000_000
 STEPS = 1_000_000
@@ -115,15 +116,19 @@ def rising_path(spark: SparkSession, sf_dir: str, limit: int | None = None) -> D
     return spark.range((n if limit is None else min(n, limit)) - 1).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"), (F.col("id") + 1).alias("w"))
 
 
-def random_alpha(spark: SparkSession, sf_dir: str, alpha: int = 4) -> DataFrame:
-    """n vertices, alpha draws each, hashed weights. n is the largest power of two of parts."""
-    n = 1 << int(math.log2(load(spark, sf_dir, "part").count()))
+def random_graph(spark: SparkSession, n: int, alpha: int) -> DataFrame:
+    """n vertices, alpha hashed draws each, hashed weights."""
     draws = spark.range(n).select(F.col("id"), F.explode(F.sequence(F.lit(1), F.lit(alpha))).alias("k"))
     ends = draws.select(F.col("id").alias("a"), (portable_hash(F.lit("end"), F.col("id"), F.col("k")) % n).alias("b")).where("a <> b")
     pairs = ends.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct()
     return pairs.withColumn("w", portable_hash(F.lit("w"), F.col("u"), F.col("v")) % STEPS + 1)
 
 
+def random_alpha(spark: SparkSession, sf_dir: str, alpha: int = 4) -> DataFrame:
+    """A random graph whose n is the largest power of two of parts."""
+    return random_graph(spark, 1 << int(math.log2(load(spark, sf_dir, "part").count())), alpha)
+
+
 def points2d(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The first two components of the embeddings as integers."""
     at = lambda k: F.floor(F.col("embedding")[k].cast("double") * STEPS).cast("long")
@@ -219,3 +224,44 @@ def doc_near(spark: SparkSession, sf_dir: str, gap: int = 20) -> DataFrame:
     met = looking.join(docs.select(F.col("doc_id").alias("o"), "lang", "source", F.col("n").alias("bn"), "b"), ["lang", "source", "b"])
     near = met.where((F.col("a") != F.col("o")) & ((F.col("b") != F.col("home")) | (F.col("a") < F.col("o"))) & (F.abs(F.col("an") - F.col("bn")) <= gap))
     return near.select(F.least("a", "o").alias("u"), F.greatest("a", "o").alias("v"), (gap + 1 - F.abs(F.col("an") - F.col("bn"))).alias("w")).distinct()
+
+
+def knn(edges: DataFrame, k: int) -> DataFrame:
+    """Of a graph of distances, the edges that are among the ``k`` shortest of one of their ends."""
+    from ..edges import arcs
+
+    nearest = W.partitionBy("vertex").orderBy("w", "other")
+    near = arcs(edges, "w").withColumn("place", F.row_number().over(nearest)).where(F.col("place") <= k)
+    return near.select(F.least("vertex", "other").alias("u"), F.greatest("vertex", "other").alias("v"), "w").distinct()
+
+
+def knn_events(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
+    """The nearest neighbours of event points, as far as they lie within the radius of the
+    random geometric graph."""
+    return knn(rgg_events(spark, sf_dir), k)
+
+
+def doc_jaccard(spark: SparkSession, sf_dir: str, size: int = 5, least: float = 0.8) -> DataFrame:
+    """Documents whose sets of word shingles have a Jaccard similarity of ``least`` or more, weight:
+    the similarity in millionths. Exact: of a set of n shingles in any common order, the first
+    n - ceil(least n) + 1 hold one of those of each such partner; rare shingles come first here,
+    so that passages of many documents do not bring these together."""
+    words = F.filter(F.split(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[\\x20\\x09-\\x0D]+"), lambda x: x != "")
+    scratch = Scratch(spark, "shingles")
+    # both are written: an array under a lambda would be made anew for each of its places
+    docs = scratch.save(load(spark, sf_dir, "documents").where("doc_id is not null and text is not null").select("doc_id", words.alias("words")), "words").where(F.size("words") > 0)
+    starts = F.sequence(F.lit(1), F.greatest(F.size("words") - size + 1, F.lit(1)))
+    shingles = F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice("words", i, size), " "))))
+    sets = scratch.save(docs.select("doc_id", shingles.alias("items")), "sets")
+    rows = sets.select("doc_id", F.size("items").alias("n"), F.explode("items").alias("item"))
+    common = rows.groupBy("item").agg(F.count("*").alias("common")).where("common > 1")
+    place = F.row_number().over(W.partitionBy("doc_id").orderBy(F.coalesce("common", F.lit(1)), "item"))
+    first = F.col("n") - F.ceil(F.col("n") * F.lit(least) - F.lit(1e-9)) + 1
+    keys = rows.join(common, "item", "left").withColumn("place", place).where((F.col("place") <= first) & F.col("common").isNotNull()).select("doc_id", "n", "item")
+    near = (F.col("n") >= F.lit(least) * F.col("m") - F.lit(1e-9)) & (F.col("m") >= F.lit(least) * F.col("n") - F.lit(1e-9))
+    pairs = keys.select(F.col("doc_id").alias("u"), "n", "item").join(keys.select(F.col("doc_id").alias("v"), F.col("n").alias("m"), "item"), "item").where(near & (F.col("u") < F.col("v"))).select("u", "v").distinct()
+    for c, name in (("u", "a"), ("v", "b")):
+        pairs = pairs.join(sets.select(F.col("doc_id").alias(c), F.col("items").alias(name)), c)
+    shared = F.size(F.array_intersect("a", "b"))
+    both = pairs.select("u", "v", shared.alias("shared"), (F.size("a") + F.size("b") - shared).alias("all"))
+    return both.where(F.col("shared") >= F.lit(least) * F.col("all") - F.lit(1e-9)).select("u", "v", F.floor(F.col("shared") * F.lit(STEPS) / F.col("all")).alias("w"))
