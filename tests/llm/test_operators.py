@@ -164,6 +164,39 @@ def test_similar_documents_against_jaccard(spark):
     assert got == want
 
 
+def test_pairs_at_the_border_are_candidates():
+    """Sets of similarity 0.8 share a band, and lie within the radius."""
+    rng, far = np.random.default_rng(1), []
+    for d in (2, 8, 30):
+        for _ in range(300):
+            x = rng.integers(0, 2**64, size=10 * d, dtype=np.uint64)
+            a, b = x[: 9 * d], np.concatenate([x[: 8 * d], x[9 * d :]])
+            assert (simhash.min_hash_bands(a) == simhash.min_hash_bands(b)).any()
+            if d > 8:
+                words = [[simhash.majority_bits(iter([v])) for v in (s, simhash.remix(s))] for s in (a, b)]
+                far.append(sum((p ^ q).bit_count() for p, q in zip(*words)))
+    assert max(far) <= 40 and 17 < np.mean(far) < 21
+
+
+def test_large_groups_are_cut_by_population_count(spark):
+    rng = random.Random(12)
+    values = sorted({rng.getrandbits(64) for _ in range(120)} | {(1 << k) - 1 for k in range(64)})
+    df = spark.createDataFrame([(i, v - (1 << 64) if v >> 63 else v) for i, v in enumerate(values)], "id long, w0 long")
+    grouped = df.select("id", "w0", F.bit_count("w0").cast("long").alias("ones"), F.lit(0).alias("choice"), F.lit(0).cast("long").alias("value"))
+    dealt = simhash.deal_tiles(grouped, ["w0", "ones"], 10, Scratch(spark, "t"), radius=3).collect()
+    tiles, ones = {}, {i: v.bit_count() for i, v in enumerate(values)}
+    for r in dealt:
+        tiles.setdefault((r["i"], r["j"]), []).append(r)
+    met = set()
+    for (i, j), rows in tiles.items():
+        sides = [[r["id"] for r in rows if r["side"] == k] for k in (0, 1)]
+        # a tile holds one population count, and no pair of tiles lies farther apart than the radius
+        assert all(len({ones[x] for x in side}) <= 1 for side in sides) and max(map(len, sides)) <= 30
+        met |= {tuple(sorted(p)) for p in (itertools.combinations(sides[0], 2) if i == j else itertools.product(*sides))}
+    near = {(a, b) for a, b in itertools.combinations(ones, 2) if abs(ones[a] - ones[b]) <= 3}
+    assert met == near
+
+
 # op3
 def test_bpe_matches_the_library(spark):
     from tokenizers import Tokenizer
@@ -302,6 +335,53 @@ def test_neighbours_recall_and_ties(spark):
     assert neighbours.nearest(vectors(spark, [(8, None)])).count() == 0
 
 
+def recall_of(spark, x, ids, every):
+    rows = [(int(i), v.tolist()) for i, v in zip(ids, x)]
+    got = {}
+    for r in neighbours.nearest(vectors(spark, rows), every=every, k=10).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    asked = [k for k, i in enumerate(ids) if i % every == 0]
+    assert all(len(got[ids[k]]) == 10 for k in asked)
+    x, hits = x.astype(np.float64), []
+    for k in asked:
+        d = ((x - x[k]) ** 2).sum(axis=1)
+        d[k] = np.inf
+        hits.append(len(got[ids[k]] & {int(ids[j]) for j in np.lexsort((ids, d))[:10]}))
+    return np.mean(hits) / 10
+
+
+def test_outliers_and_far_clusters_get_all_their_neighbours(spark):
+    rng = np.random.default_rng(1)
+    axis = np.eye(16)[0]
+    cone = axis + rng.normal(size=(2400, 16)) * 0.02
+    # two lone vectors on the other side, and six that are far from all and near one another
+    x = np.concatenate([cone, [-axis, -1.1 * axis], 50 + rng.normal(size=(6, 16)) * 0.01]).astype(np.float32)
+    ids = np.array([*range(1000, 3400), 100, 200, 300, *range(301, 306)])
+    assert recall_of(spark, x, ids, 100) >= 0.95
+
+
+def test_neighbour_graph_recall_on_many_vectors(spark):
+    rng = np.random.default_rng(2)
+    clustered = np.repeat(rng.normal(size=(40, 32)), 150, axis=0) + rng.normal(size=(6000, 32)) * 0.3
+    x = np.concatenate([clustered, rng.normal(size=(6000, 32))]).astype(np.float32)
+    assert recall_of(spark, x, np.arange(len(x)), 20) >= 0.9
+
+
+def test_distances_beyond_single_precision(spark):
+    # one vector is far beyond all others, and all others share a large offset
+    rng = np.random.default_rng(3)
+    x = np.concatenate([1e6 + rng.normal(size=(750, 6)), [[1e30] * 6]])
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = {}
+    for r in neighbours.nearest(df, every=100, k=5).collect():
+        got.setdefault(r["query_id"], []).append(r["vec_id"])
+    for q, found in got.items():
+        d = np.sqrt(((x - x[q]) ** 2).sum(axis=1))
+        d[q] = np.inf
+        assert found == np.argsort(d, kind="stable")[:5].tolist()
+
+
 def test_cosine_links_against_brute_force(spark):
     rng = np.random.default_rng(4)
     base = rng.normal(size=(40, 8))
