@@ -18,10 +18,10 @@ def canonical_edges(df: DataFrame, combine: str = "sum", nonpositive: str = "dro
     """Rows ``(u, v, w)`` in any form to a simple graph.
 
     Null ends and null or NaN weights are dropped, loops are dropped or an error, repeated and
-    reversed pairs are combined by sum, max or first, or an error. Weights of zero or less are
+    reversed pairs are combined by sum, max or min, or an error. Weights of zero or less are
     dropped, kept, or replaced by their absolute values before combining.
     """
-    if combine not in ("sum", "max", "first", "error") or nonpositive not in ("drop", "keep", "abs") or loops not in ("drop", "error"):
+    if combine not in ("sum", "max", "min", "error") or nonpositive not in ("drop", "keep", "abs") or loops not in ("drop", "error"):
         raise ValueError("unknown option")
     w = F.abs("w") if nonpositive == "abs" else F.col("w")
     usable = F.col("u").isNotNull() & F.col("v").isNotNull() & F.col("w").isNotNull()
@@ -32,7 +32,7 @@ def canonical_edges(df: DataFrame, combine: str = "sum", nonpositive: str = "dro
     if loops == "error":
         rows = rows.where(F.when(F.col("u") == F.col("v"), F.raise_error(F.lit("loop"))).otherwise(F.lit(True)))
     rows = rows.where("u <> v")
-    reduce = {"sum": F.sum("w"), "max": F.max("w"), "first": F.min("w"), "error": F.max("w")}[combine]
+    reduce = {"sum": F.sum("w"), "max": F.max("w"), "min": F.min("w"), "error": F.max("w")}[combine]
     simple = rows.groupBy("u", "v").agg(reduce.alias("w"), F.count("*").alias("n"))
     if combine == "error":
         simple = simple.where(F.when(F.col("n") > 1, F.raise_error(F.lit("parallel edges"))).otherwise(F.lit(True)))

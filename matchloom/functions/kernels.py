@@ -153,6 +153,45 @@ def exact_weight(u: np.ndarray, v: np.ndarray, w: np.ndarray) -> tuple[float, li
     return float(value), list(chosen)
 
 
+def assignment(u: np.ndarray, v: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Positions of the heaviest matching of a bipartite graph whose sides are the values of u and
+    of v, by shortest augmenting paths over reduced costs, a row of the smaller side at a time."""
+    rows, a = np.unique(u, return_inverse=True)
+    cols, b = np.unique(v, return_inverse=True)
+    if len(rows) > len(cols):
+        rows, cols, a, b = cols, rows, b, a
+    if set(rows.tolist()) & set(cols.tolist()):
+        raise ValueError("the sides overlap")
+    n, m = len(rows), len(cols) + len(rows)  # a column of no gain for each row: it may stay free
+    cost = np.zeros((n, m))
+    edge = np.full((n, len(cols)), -1)
+    cost[a, b], edge[a, b] = -w.astype(float), np.arange(len(w))
+    left, right, owner = np.zeros(n), np.zeros(m), np.full(m, -1)
+    for r in range(n):
+        short, came, done = np.full(m, np.inf), np.full(m, -1), np.zeros(m, bool)
+        row, at, far = r, -1, 0.0
+        while row >= 0:
+            step = far + cost[row] - left[row] - right
+            better = ~done & (step < short)
+            short[better], came[better] = step[better], at
+            at = int(np.where(done, np.inf, short).argmin())
+            far, row = short[at], owner[at]
+            done[at] = True
+        # prices move by what the search went beyond each column
+        inside = done.copy()
+        inside[at] = False
+        left[r] += far
+        left[owner[inside]] += far - short[inside]
+        right[inside] -= far - short[inside]
+        while at >= 0:
+            before = came[at]
+            owner[at] = owner[before] if before >= 0 else r
+            at = before
+    pairs = [(owner[c], c) for c in range(len(cols)) if owner[c] >= 0]
+    taken = np.array([edge[p] for p in pairs if edge[p] >= 0], np.int64)
+    return taken[w[taken] > 0]
+
+
 def path_optimum(w: list[float], cycle: bool) -> list[int]:
     """Positions of the heaviest set of links of a path (or even cycle) of which no two touch."""
 

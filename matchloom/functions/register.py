@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.types import ArrayType, LongType
 
@@ -29,9 +30,9 @@ def register_functions(spark: SparkSession) -> None:
     table function ``local_match(TABLE(edges) PARTITION BY grp)`` for many small graphs."""
     make_importable(spark)
 
-    @F.udf(ArrayType(LongType()))
-    def optimum(w, cycle):
-        return sorted(path_optimum(w, bool(cycle))) if w else []
+    @F.pandas_udf(ArrayType(LongType()))
+    def optimum(w: pd.Series, cycle: pd.Series) -> pd.Series:
+        return pd.Series([sorted(path_optimum(list(x), bool(c))) if x is not None and len(x) else [] for x, c in zip(w, cycle)])
 
     spark.udf.register("path_optimum", optimum)
 

@@ -71,12 +71,17 @@ def greedy(edges: DataFrame, engine: str = "rounds", **options) -> MatchResult:
     if engine == "rounds":
         return local_max(edges, **options)
     _, ordered = _start(edges, "greedy")
+    if engine == "auto" and ordered.count() > SCAN_ROWS:
+        return local_max(edges, **options)
     return _result(ordered, scanned(ordered, greedy_scan))
 
 
-def pointer_matching(edges: DataFrame) -> MatchResult:
-    """Sorted lists with pointers that move past matched neighbours, in one task."""
+def pointer_matching(edges: DataFrame, engine: str = "auto") -> MatchResult:
+    """Sorted lists with pointers that move past matched neighbours: ``scan`` in one task, ``rounds``
+    over all vertices, or ``auto`` by the number of edges."""
     _, ordered = _start(edges, "pointer")
+    if engine == "rounds" or engine == "auto" and ordered.count() > SCAN_ROWS:
+        return pointer_rounds(edges)
     return _result(ordered, scanned(ordered, pointer_scan))
 
 
@@ -234,3 +239,27 @@ def exact_matching(edges: DataFrame) -> MatchResult:
         return pa.table({"eid": eid, "phase": np.ones(len(eid), np.int32)})
 
     return _result(ordered, parts.groupBy("label").applyInArrow(solve, PICKED))
+
+
+#: Cells of the weight table that one task holds for the assignment method.
+ASSIGNMENT_CELLS = 50_000_000
+
+
+def exact_bipartite(edges: DataFrame) -> MatchResult:
+    """Heaviest matching of a bipartite graph by assignment; each component is solved by its own
+    task, as a table of its two sides. A component whose table is too large is an error."""
+    from ..functions.kernels import assignment
+    from .paths import least_labels
+
+    scratch, ordered = _start(edges, "assign")
+    labels = least_labels(ordered, scratch)
+    parts = ordered.join(labels.select(F.col("vertex").alias("u"), "label"), "u")
+    largest = parts.groupBy("label").agg((F.countDistinct("u") * F.countDistinct("v")).alias("cells")).agg(F.max("cells")).first()[0] or 0
+    if largest > ASSIGNMENT_CELLS:
+        raise ValueError(f"a component has a table of {largest} cells")
+
+    def solve(table: pa.Table) -> pa.Table:
+        taken = assignment(*(table.column(c).to_numpy() for c in ("u", "v", "w")))
+        return pa.table({"eid": table.column("eid").to_numpy()[taken], "phase": np.ones(len(taken), np.int32)})
+
+    return _result(ordered, parts.groupBy("label").applyInArrow(solve, PICKED))

@@ -91,15 +91,18 @@ GRAPHS["rgg_events"] = f"""
     where (a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) < a.r * a.r"""
 
 
-def ordered(edges: str) -> str:
+FALLING = "w desc, md5('42|' || u || '|' || v), u, v"
+
+
+def ordered(edges: str, order: str = FALLING) -> str:
     """Edges with r, their place in falling order."""
-    return f"select u, v, w, row_number() over (order by w desc, md5('42|' || u || '|' || v), u, v) as r from ({edges})"
+    return f"select u, v, w, row_number() over (order by {order}) as r from ({edges})"
 
 
-def matched(edges: str, out: str = "select u, v, w, phase from matching", more: str = "") -> str:
+def matched(edges: str, out: str = "select u, v, w, phase from matching", more: str = "", order: str = FALLING) -> str:
     """A statement over ``ranked`` and ``matching`` of a graph."""
     return f"""
-with recursive ranked as materialized ({ordered(edges)}),
+with recursive ranked as materialized ({ordered(edges, order)}),
 steps(phase, u, v, r, hit) as (
   select 0, u, v, r, false from ranked
   union all
@@ -169,6 +172,28 @@ steps(phase, u, v, r, hit) as (
 select s.u, s.v, k.w, s.phase from steps s join ranked k on k.r = s.r where s.hit"""
 
 
+def random_proposal(edges: str) -> str:
+    coin = lambda seed, k, x: f"('0x' || substr(md5({seed} || '|' || {k} || '|' || {x} || '|' || u || '|' || v), 1, 12))::bigint"
+    return f"""
+with recursive ranked as materialized ({ordered(edges)}),
+steps(phase, u, v, r, hit) as (
+  select 0, u, v, r, false from ranked
+  union all
+  (with live as (select phase, u, v, r from steps where not hit and phase < 400),
+   cells as (select phase, u as x, v as y, u, v, r from live union all select phase, v, u, u, v, r from live),
+   draw as (select x, y, u, v, r, phase from cells qualify row_number() over (partition by x order by {coin("'42'", "(phase + 1)", "x")}, u, v) = 1),
+   kept as (select r from draw qualify row_number() over (partition by y order by {coin("'-42'", "(phase + 1)", "y")}, u, v) = 1),
+   last as (select x, r from cells where r in (select r from kept) qualify row_number() over (partition by x order by {coin("'42'", "(-phase - 1)", "x")}, u, v) = 1),
+   won as (select r from last group by r having count(*) = 2),
+   taken as (select l.* from live l where r in (select r from won)),
+   used as (select u as x from taken union all select v from taken)
+   select l.phase + 1, l.u, l.v, l.r, t.r is not null
+   from live l left join taken t on t.r = l.r
+   where t.r is not null or not exists (select 1 from used where x = l.u) and not exists (select 1 from used where x = l.v))
+)
+select s.u, s.v, k.w, s.phase from steps s join ranked k on k.r = s.r where s.hit"""
+
+
 def heavy_edge(edges: str, rank: str = "x") -> str:
     """Vertices one after the other: place k of the order decides in step k."""
     return f"""

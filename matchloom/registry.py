@@ -87,6 +87,7 @@ def lm_phase_log(spark: SparkSession, d: str) -> DataFrame:
 
 
 register("mm_unit_portable", sql.unit_renewed(_PS))(lambda s, d: maximal_matching(graphs.part_supp(s, d)).matching.select("u", "v", "phase"))
+register("mm_unit_fixed", sql.matched(f"select u, v, 1 as w from ({_PS})"))(matching_query(graphs.part_supp, weight=None))
 register("mm_unit_static")(lambda s, d: maximal_matching(graphs.copurchase(s, d), renew=False).matching.select(*RESULT))
 
 # baselines
@@ -107,7 +108,7 @@ def edges_of(f) -> Query:
     return lambda spark, d: f(spark, d).matching.select("u", "v", "w")
 
 
-register("greedy_scan", _GREEDY)(edges_of(lambda s, d: baselines.greedy(graphs.part_supp(s, d), engine="scan")))
+register("greedy_scan", _GREEDY)(edges_of(lambda s, d: baselines.greedy(graphs.part_supp(s, d), engine="auto")))
 register("greedy_rounds", _GREEDY)(edges_of(lambda s, d: baselines.greedy(graphs.part_supp(s, d), engine="rounds", finish_rows=0)))
 register("pointer_matching", _GREEDY)(edges_of(lambda s, d: baselines.pointer_matching(graphs.part_supp(s, d))))
 register("pointer_rounds", _GREEDY)(edges_of(lambda s, d: baselines.pointer_rounds(graphs.part_supp(s, d))))
@@ -116,11 +117,11 @@ register("hem_id", sql.heavy_edge(_SMALL))(edges_of(lambda s, d: baselines.heavy
 register("hem_random_portable", sql.heavy_edge(_SMALL, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "random", engine="scan")))
 register("hem_rounds", sql.heavy_edge(_SMALL, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(small_graph(s, d), "random", engine="rounds")))
 register("red_blue_portable", sql.red_blue(_SMALL))(lambda s, d: baselines.red_blue(small_graph(s, d)).matching.select(*RESULT))
-register("hem_id_whole")(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "id", engine="auto")))
-register("hem_random_whole")(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "random", engine="auto")))
+register("hem_id_whole", sql.heavy_edge(_PS))(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "id", engine="auto")))
+register("hem_random_whole", sql.heavy_edge(_PS, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "random", engine="auto")))
 register("hem_rounds_whole", sql.heavy_edge(_CN, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(graphs.customer_nation(s, d), "random", engine="rounds")))
 register("red_blue_whole", sql.red_blue(_PS))(lambda s, d: baselines.red_blue(graphs.part_supp(s, d)).matching.select(*RESULT))
-register("random_proposal")(lambda s, d: baselines.random_proposal(graphs.part_supp(s, d)).matching.select(*RESULT))
+register("random_proposal", sql.random_proposal(_PS))(lambda s, d: baselines.random_proposal(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("gpa")(edges_of(lambda s, d: paths.global_paths(graphs.copurchase(s, d))))
 register("gpa_rounds")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), engine="rounds")))
 register("gpa_repeated")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), rounds=3, maximal=True)))
@@ -161,7 +162,10 @@ def named_line_graph(edges: DataFrame) -> DataFrame:
 
 register("line_graph", _line_graph_sql(_SMALL))(lambda s, d: named_line_graph(small_graph(s, d)))
 register("line_graph_whole", _line_graph_sql(_CN))(lambda s, d: named_line_graph(graphs.customer_nation(s, d)))
-register("line_graph_matching")(lambda s, d: baselines.line_graph_matching(graphs.customer_nation(s, d)).matching.select(*RESULT))
+_PRIORITY = "('0x' || substr(md5('42|0|' || u || '|' || v), 1, 12))::bigint desc, u desc, v desc"
+register("line_graph_matching", sql.matched(_CN, order=_PRIORITY))(lambda s, d: baselines.line_graph_matching(graphs.customer_nation(s, d)).matching.select(*RESULT))
+register("exact_weight", "select count(distinct n_regionkey) as weight, count(distinct n_regionkey) as size from nation")(lambda s, d: measures.matching_weight(baselines.exact_matching(graphs.nation_region(s, d)).matching))
+register("exact_bipartite")(edges_of(lambda s, d: baselines.exact_bipartite(graphs.part_supp(s, d))))
 register("exact_small")(edges_of(lambda s, d: baselines.exact_matching(graphs.nation_region(s, d))))
 
 # measures
@@ -170,6 +174,10 @@ register("upper_bound", f"with e as ({_PS}) select sum(w)::bigint as twice_bound
 register("match_probability", _RANKED + "select u, v, a.d + b.d - 1 as around from ranked join degrees a on a.x = u join degrees b on b.x = v")(lambda s, d: measures.match_probability(graphs.part_supp(s, d)))
 register("mark_count", sql.matched(_PS, "select sum(a.d + b.d)::bigint as marks from matching join degrees a on a.x = u join degrees b on b.x = v where phase = 1", f", {sql.DEGREES}"))(lambda s, d: measures.mark_count(graphs.part_supp(s, d), local_max(graphs.part_supp(s, d)).matching.where("phase = 1")))
 register("balance_check", _RANKED + "select (select count(*) from ranked) as m, max(d) as max_degree, max(d) * 8 <= (select count(*) from ranked) as balanced from degrees")(lambda s, d: measures.balance_check(graphs.part_supp(s, d), 8))
+for _name in ("rgg_events", "random_alpha_16"):
+    register(f"cut_{_name}", f"with ranked as ({sql.ordered(sql.GRAPHS[_name])}), {sql.OWNERS} select sum((a.o <> b.o)::int)::bigint as cut, count(*) as edges from ranked join own a on a.x = u join own b on b.x = v")(lambda s, d, b=BUILD[_name]: measures.cut_fraction(b(s, d), 8))
+register("quality_vs_optimum")(lambda s, d: (lambda e: measures.quality_vs(local_max(e).matching, baselines.exact_bipartite(e).matching))(graphs.part_supp(s, d)))
+register("quality_vs_paths")(lambda s, d: (lambda e: measures.quality_vs(local_max(e).matching, paths.global_paths(e).matching))(graphs.part_supp(s, d)))
 register("cut_fraction", f"with ranked as ({sql.ordered(_PS)}), {sql.OWNERS} select sum((a.o <> b.o)::int)::bigint as cut, count(*) as edges from ranked join own a on a.x = u join own b on b.x = v")(lambda s, d: measures.cut_fraction(graphs.part_supp(s, d), 8))
 register("weight_diversity", f"select count(distinct w) as weights, count(*) as edges from ({sql.GRAPHS['copurchase']})")(lambda s, d: measures.weight_diversity(graphs.copurchase(s, d)))
 register("matching_weight", sql.matched(_PS, "select sum(w)::bigint as weight, count(*) as size from matching"))(lambda s, d: measures.matching_weight(local_max(graphs.part_supp(s, d)).matching))
@@ -201,7 +209,7 @@ def is_maximal(spark: SparkSession, d: str) -> DataFrame:
 
 
 METHODS: dict[str, Callable] = {
-    "local_max": lambda e: local_max(e), "greedy": lambda e: baselines.greedy(e, engine="scan"), "heavy_edge": lambda e: baselines.heavy_edge(e, "random", engine="scan"),
+    "local_max": lambda e: local_max(e), "greedy": lambda e: baselines.greedy(e, engine="auto"), "heavy_edge": lambda e: baselines.heavy_edge(e, "random", engine="auto"),
     "red_blue": lambda e: baselines.red_blue(e), "global_paths": lambda e: paths.global_paths(e),
 }
 SUITE = ("part_supp", "copurchase", "order_part", "event_succ")

@@ -264,4 +264,4 @@ def doc_jaccard(spark: SparkSession, sf_dir: str, size: int = 5, least: float =
         pairs = pairs.join(sets.select(F.col("doc_id").alias(c), F.col("items").alias(name)), c)
     shared = F.size(F.array_intersect("a", "b"))
     both = pairs.select("u", "v", shared.alias("shared"), (F.size("a") + F.size("b") - shared).alias("all"))
-    return both.where(F.col("shared") >= F.lit(least) * F.col("all") - F.lit(1e-9)).select("u", "v", F.floor(F.col("shared") * F.lit(STEPS) / F.col("all")).alias("w"))
+    return both.where(F.col("shared") >= F.lit(least) * F.col("all") - F.lit(1e-9)).select("u", "v", F.floor(F.col("shared").cast("long") * F.lit(STEPS) / F.col("all")).alias("w"))

@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 
 from matchloom.edges import ordered_edges
-from matchloom.functions.kernels import exact_weight, path_optimum
+from matchloom.functions.kernels import assignment, exact_weight, path_optimum
 from matchloom.operators import baselines, coarsen, paths
 from matchloom.operators.localmax import local_max
 from matchloom.storage import Scratch
@@ -46,6 +46,18 @@ def test_exact_and_half_guarantee():
         assert 2 * sum(e[2] for e, t in zip(order, taken) if t) >= best
 
 
+def test_assignment_is_exact():
+    rng = random.Random(6)
+    for _ in range(150):
+        a, b = rng.randint(1, 6), rng.randint(1, 6)
+        rows = [(x, 100 + y, rng.randint(1, 9)) for x in range(a) for y in range(b) if rng.random() < 0.6]
+        if rows:
+            u, v, w = (np.array([e[k] for e in rows]) for k in range(3))
+            taken = assignment(u, v, w)
+            assert len(set(u[taken])) == len(set(v[taken])) == len(taken)
+            assert w[taken].sum() == exact_weight(u, v, w.astype(float))[0]
+
+
 def test_scans_and_rounds_agree(spark):
     edges = frame(spark, random_graph(4, n=30, m=90)).cache()
     assert edges_of(baselines.greedy(edges, engine="scan")) == edges_of(local_max(edges)) == edges_of(baselines.pointer_matching(edges))

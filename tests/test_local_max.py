@@ -92,7 +92,7 @@ def test_canonical_options(spark):
     df = frame(spark, rows, "double")
     got = lambda **o: {(r["u"], r["v"]): r["w"] for r in canonical_edges(df, **o).collect()}
     assert got() == {(1, 2): 7.0}
-    assert got(combine="max") == {(1, 2): 4.0} and got(combine="first") == {(1, 2): 3.0}
+    assert got(combine="max") == {(1, 2): 4.0} and got(combine="min") == {(1, 2): 3.0}
     assert got(nonpositive="abs")[(5, 6)] == 2.0 and got(nonpositive="keep")[(5, 6)] == -2.0
     with pytest.raises(Exception):
         canonical_edges(df, loops="error").collect()
