@@ -163,6 +163,32 @@ def red_blue(edges: DataFrame, p_blue: float = 0.5, seed: int = 42) -> MatchResu
     return _result(ordered, rounds(ordered, scratch, pick))
 
 
+def red_blue_blocks(edges: DataFrame, parts: int | None = None, p_blue: float = 0.5, seed: int = 42) -> MatchResult:
+    """``red_blue`` by owners of consecutive vertices: an owner finds the proposals of its blue vertices
+    by itself, keeps the best for each red one, and only those go to the owners of the red ones."""
+    from ..functions.measures import owners
+
+    scratch, ordered = _start(edges, "redblocks")
+    parts = parts or max(2, edges.sparkSession.sparkContext.defaultParallelism, -(-2 * ordered.count() // (1 << 20)))
+    at = scratch.save(owners(ordered, parts, "range", scratch), "owners")
+    limit = int(p_blue * (1 << 48))
+
+    def propose(table: pa.Table) -> pa.Table:
+        vertex, other, eid = (table.column(c).to_numpy() for c in ("vertex", "other", "eid"))
+        order = np.lexsort((-eid, vertex))
+        first = order[np.concatenate([[True], vertex[order][1:] != vertex[order][:-1]])]
+        order = first[np.lexsort((-eid[first], other[first]))]
+        best = order[np.concatenate([[True], other[order][1:] != other[order][:-1]])]
+        return pa.table({"red": other[best], "eid": eid[best]})
+
+    def pick(live: DataFrame, k: int) -> DataFrame:
+        cells = arcs(live, "eid").where((portable_coin(seed, k, "vertex") < limit) & (portable_coin(seed, k, "other") >= limit))
+        asked = cells.join(at, "vertex").groupBy("owner").applyInArrow(propose, "red long, eid long")
+        return live.join(asked.groupBy("red").agg(F.max("eid").alias("eid")).select("eid"), "eid", "left_semi")
+
+    return _result(ordered, rounds(ordered, scratch, pick))
+
+
 def random_proposal(edges: DataFrame, seed: int = 42) -> MatchResult:
     """Each vertex picks a random edge, each picked vertex keeps one of its pickers, and of the
     links that are left each vertex picks one; links picked by both ends match."""

@@ -121,6 +121,7 @@ register("hem_id_whole", sql.heavy_edge(_PS))(edges_of(lambda s, d: baselines.he
 register("hem_random_whole", sql.heavy_edge(_PS, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(graphs.part_supp(s, d), "random", engine="auto")))
 register("hem_rounds_whole", sql.heavy_edge(_CN, _RANDOM))(edges_of(lambda s, d: baselines.heavy_edge(graphs.customer_nation(s, d), "random", engine="rounds")))
 register("red_blue_whole", sql.red_blue(_PS))(lambda s, d: baselines.red_blue(graphs.part_supp(s, d)).matching.select(*RESULT))
+register("red_blue_blocks", sql.red_blue(_PS))(lambda s, d: baselines.red_blue_blocks(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("random_proposal", sql.random_proposal(_PS))(lambda s, d: baselines.random_proposal(graphs.part_supp(s, d)).matching.select(*RESULT))
 register("gpa")(edges_of(lambda s, d: paths.global_paths(graphs.copurchase(s, d))))
 register("gpa_rounds")(edges_of(lambda s, d: paths.global_paths(graphs.part_supp(s, d), engine="rounds")))
