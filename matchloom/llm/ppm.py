@@ -8,22 +8,21 @@ exclusion. Nothing of it is capped and no task ever holds it whole:
 2. a gram's key begins with the nearest byte of its history, so the grams of any context are
    neighbours in key order. The keys are cut into ranges of about equal numbers, words into
    ranges of their hashes; their number grows with the texts, so that no range depends on how
-   common a context is. A range adds up the counts of all batches, walks the contexts from
-   longest to shortest, and answers each batch with the probabilities of the grams it asked
-   for (words: with their counts);
-3. each batch meets its answers and sums them along its texts.
+   common a context is. A range adds up the counts of all batches;
+3. then it walks the contexts from longest to shortest, and answers each batch with the
+   probabilities of the grams it asked for (words: with their counts);
+4. each batch meets its answers and sums them along its texts.
 
 Contexts that lie across a border of two ranges are known to both: these are the prefixes of the
-keys at the border, one for each length, and a small grouped sum over all lists gives their
+keys at the border, one for each length, and a small grouped sum over all ranges gives their
 counts. Lists travel as one compressed blob for each batch and range, never as one row per gram.
 """
 
 from __future__ import annotations
 
-import zlib
-
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import Column, DataFrame, functions as F
 
 from .storage import Scratch
@@ -32,7 +31,7 @@ from .textkernels import LOWER, byte_chunks, give_back, tidy, utf8_view
 ORDER = 6
 #: Two bytes that no UTF-8 text holds stand for the start and the end of a text.
 START, END = 0xFE, 0xFF
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 12 << 20
 CHUNK_BYTES = 4 << 20
 #: Text for each range of keys, and the most ranges (their borders are held in memory).
 RANGE_BYTES = 2 << 20
@@ -82,17 +81,21 @@ def distinct(keys: np.ndarray) -> np.ndarray:
 
 
 def pack(values: np.ndarray) -> bytes:
-    return zlib.compress(values.tobytes(), 1)
+    return zstandard.compress(values.tobytes(), 3)
+
+
+def unpack(blob: bytes, kind: type) -> np.ndarray:
+    return np.frombuffer(zstandard.decompress(blob), kind)
 
 
 def pack_sorted(keys: np.ndarray) -> bytes:
     """Ascending keys as differences, byte planes apart (most high planes are zero)."""
     steps = np.diff(keys, prepend=np.uint64(0))
-    return zlib.compress(np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8).T).tobytes(), 1)
+    return pack(np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8).T))
 
 
 def unpack_sorted(blob: bytes) -> np.ndarray:
-    planes = np.frombuffer(zlib.decompress(blob), np.uint8).reshape(8, -1)
+    planes = unpack(blob, np.uint8).reshape(8, -1)
     return np.cumsum(np.ascontiguousarray(planes.T).view(np.uint64).ravel(), dtype=np.uint64)
 
 
@@ -257,35 +260,61 @@ def log_probabilities(keys: np.ndarray, counts: np.ndarray, across: dict[int, tu
     return out
 
 
+def border_ends(borders: np.ndarray, r: int) -> np.ndarray:
+    """The keys at both ends of a range."""
+    return borders[max(r - 1, 0) : r + 1]
+
+
+TOTALS = "slot long, keys binary, counts binary, tokens long, types long, lengths array<int>, names array<long>, symbols array<int>, sums array<long>"
+
+
+def merge_ranges(batches, borders: np.ndarray):
+    """From blobs sorted by slot (kind and range) to one row for each slot: its keys with their
+    counts over all batches, training tokens and distinct training words, and, of the contexts
+    across its borders, the training counts of their symbols inside."""
+    for slot, parts in by_key(batches, "slot"):
+        table = pa.Table.from_batches(parts)
+        lists = [unpack_sorted(b) for b in table.column("keys").to_pylist()]
+        counts = np.concatenate([unpack(b, np.int64) for b in table.column("counts").to_pylist()])
+        keys, of = np.unique(np.concatenate(lists), return_inverse=True)
+        total = np.bincount(of, counts, len(keys)).astype(np.int64)
+        words = int(slot) >> 32 == WORD
+        found = [] if words else list(inside_contexts(keys, total, border_ends(borders, int(slot) & 0xFFFFFFFF)))
+        lengths, names, symbols, sums = (list(x) for x in (zip(*found) if found else ([], [], [], [])))
+        row = {"slot": int(slot), "keys": pack_sorted(keys), "counts": pack(total), "tokens": int(total.sum()) * words, "types": int((total > 0).sum()) * words, "lengths": lengths, "names": names, "symbols": symbols, "sums": sums}
+        kinds = [pa.int64(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64())]
+        yield pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row.values(), kinds)], names=list(row))
+
+
+def inside_contexts(keys: np.ndarray, counts: np.ndarray, ends: np.ndarray):
+    """Length, context, symbol and training count inside a range, for contexts across its ends."""
+    for k in range(ORDER + 1):
+        width = 8 * (ORDER - k + 1)
+        for name in np.unique(context(ends, k)).tolist():
+            least = name << width
+            a, b = np.searchsorted(keys, np.uint64(least)), np.searchsorted(keys, np.uint64(least + (1 << width) - 1), side="right")
+            sums = np.bincount((keys[a:b] & np.uint64(0xFF)).astype(np.int64), counts[a:b], 256).astype(np.int64)
+            for s in np.flatnonzero(sums).tolist():
+                yield k, name, s, int(sums[s])
+
+
 def answer_ranges(batches):
-    """From blobs sorted by slot (kind and range) to answers: batch, kind, grp, values; with the
-    range's training tokens and distinct training words on one of its rows. Rows with a negative
-    batch hold grams (of length -1 - batch) of contexts across a border."""
+    """From rows sorted by slot to answers: batch, kind, grp, values. Of a slot there is the row with
+    its totals (batch -1), rows with the grams of contexts across its borders (batch -2 - length),
+    and the blobs of the batches."""
     for slot, parts in by_key(batches, "slot"):
         table = pa.Table.from_batches(parts)
-        asked = np.array(table.column("batch").to_pylist()) >= 0
-        across = {-1 - r["batch"]: (np.array(r["grams"], np.uint64), np.array(r["sums"], np.int64)) for r in table.filter(pa.array(~asked)).to_pylist()}
+        batch = table.column("batch").to_numpy()
+        across = {-2 - r["batch"]: (np.array(r["grams"], np.uint64), np.array(r["sums"], np.int64)) for r in table.filter(pa.array(batch < -1)).to_pylist()}
         across = {k: (g[np.argsort(g)], n[np.argsort(g)]) for k, (g, n) in across.items()}
-        table = table.filter(pa.array(asked))
-        if not len(table):
-            continue
+        whole = table.filter(pa.array(batch == -1))
+        keys, total = unpack_sorted(whole.column("keys")[0].as_py()), unpack(whole.column("counts")[0].as_py(), np.int64)
         kind = int(slot) >> 32
-        lists = [unpack_sorted(b) for b in table.column("keys").to_pylist()]
-        counts = [np.frombuffer(zlib.decompress(b), np.int64) for b in table.column("counts").to_pylist()]
-        keys, of = np.unique(np.concatenate(lists), return_inverse=True)
-        total = np.bincount(of, np.concatenate(counts), len(keys)).astype(np.int64)
-        if kind == GRAM:
-            values, stats = log_probabilities(keys, total, across).astype(np.float32), (0, 0)
-        else:
-            values, stats = total, (int(total.sum()), int((total > 0).sum()))
-        ends = np.cumsum([len(x) for x in lists])
-        names, n = table.column("batch").to_pylist(), len(table)
-        blobs = [pack(values[of[end - len(x) : end]]) for x, end in zip(lists, ends.tolist())]
-        first = np.arange(n) == 0
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(names, pa.int64()), pa.array([kind] * n, pa.int32()), pa.array([int(slot) & 0xFFFFFFFF] * n, pa.int64()), pa.array(blobs, pa.binary()), pa.array(first * stats[0], pa.int64()), pa.array(first * stats[1], pa.int64())],
-            names=["batch", "kind", "grp", "vals", "tokens", "types"],
-        )
+        values = log_probabilities(keys, total, across).astype(np.float32) if kind == GRAM else total
+        asked = table.filter(pa.array(batch >= 0))
+        blobs = [pack(values[np.searchsorted(keys, unpack_sorted(b))]) for b in asked.column("keys").to_pylist()]
+        n = len(blobs)
+        yield pa.RecordBatch.from_arrays([asked.column("batch").combine_chunks(), pa.array([kind] * n, pa.int32()), pa.array([int(slot) & 0xFFFFFFFF] * n, pa.int64()), pa.array(blobs, pa.binary())], names=["batch", "kind", "grp", "vals"])
 
 
 class Lookup:
@@ -327,7 +356,7 @@ def score_batch(texts: list[pa.Array], answers: list[tuple[int, int, bytes]], to
         made = [make(rows[lo:hi]) for lo, hi in chunks] if kind == WORD else None  # grams take too much room
         asked = distinct(np.concatenate([distinct((made[c] if made else make(rows[lo:hi]))[0]) for c, (lo, hi) in enumerate(chunks)]))
         blobs = sorted((g, v) for k, g, v in answers if k == kind)
-        values = np.concatenate([np.frombuffer(zlib.decompress(v), np.float32 if kind == GRAM else np.int64) for _, v in blobs])
+        values = np.concatenate([unpack(v, np.float32 if kind == GRAM else np.int64) for _, v in blobs])
         if len(values) != len(asked):
             raise RuntimeError("a batch and its answers differ")
         lookup = Lookup(asked)
@@ -373,13 +402,21 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     asked = dealt.select("batch", "text", "learned").repartition(int(batches), "batch").sortWithinPartitions("batch")
     asked = scratch.save(asked.mapInArrow(tidy(list_all), "batch long, kind int, grp long, keys binary, counts binary"), "asked")
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
-    across = border_contexts(asked, borders, scratch).withColumn("batch", F.lit(-1).cast("long") - F.col("length"))
-    both = asked.select(slot, "batch", "keys", "counts").unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
-    answers = both.repartition("slot").sortWithinPartitions("slot")
-    answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary, tokens long, types long"), "answers")
-    scratch.drop(asked)
-    known = answers.agg(F.sum("tokens"), F.sum("types")).first()
+    def merge_all(rows):
+        yield from merge_ranges(rows, borders)
+
+    # as many tasks as ranges, so that no task grows with the input
+    tasks = 2 * (len(borders) + 1)
+    lists = asked.select(slot, "batch", "keys", "counts")
+    totals = scratch.save(lists.select("slot", "keys", "counts").repartition(tasks, "slot").sortWithinPartitions("slot").mapInArrow(tidy(merge_all), TOTALS), "totals")
+    known = totals.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
+    across = border_contexts(totals, borders, scratch).withColumn("batch", F.lit(-2).cast("long") - F.col("length"))
+    both = lists.unionByName(totals.select("slot", F.lit(-1).cast("long").alias("batch"), "keys", "counts"))
+    both = both.unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
+    answers = both.repartition(tasks, "slot").sortWithinPartitions("slot")
+    answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary"), "answers")
+    scratch.drop(asked, totals)
 
     def join_batch(left: pa.Table, right: pa.Table) -> pa.Table:
         values = score_batch([c for c in left.column("text").chunks], list(zip(*(right.column(c).to_pylist() for c in ("kind", "grp", "vals")))), tokens, types) if len(left) else [np.zeros(0)] * 4
@@ -390,7 +427,8 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
         })
 
     ddl = "doc_id long, learned boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return dealt.groupBy("batch").cogroup(answers.select("batch", "kind", "grp", "vals").groupBy("batch")).applyInArrow(join_batch, ddl)
+    left, right = (t.repartition(int(batches), "batch").groupBy("batch") for t in (dealt, answers))
+    return left.cogroup(right).applyInArrow(join_batch, ddl)
 
 
 def gram_borders(dealt: DataFrame, size: int, range_bytes: int) -> np.ndarray:
@@ -414,44 +452,17 @@ def gram_borders(dealt: DataFrame, size: int, range_bytes: int) -> np.ndarray:
     return np.unique(np.array(found or [], np.int64)).astype(np.uint64)
 
 
-def border_contexts(asked: DataFrame, borders: np.ndarray, scratch: Scratch) -> DataFrame:
+def border_contexts(totals: DataFrame, borders: np.ndarray, scratch: Scratch) -> DataFrame:
     """``(slot, length, grams, sums)``: of each range the grams of the contexts across its borders,
-    at most two of each length, with their training counts."""
-
-    def ends(r: int) -> np.ndarray:
-        return borders[max(r - 1, 0) : r + 1]
-
-    def count(rows):
-        held: dict[tuple[int, int], np.ndarray] = {}
-
-        def flush():
-            found = [(k, c, s, int(n[s])) for (k, c), n in held.items() for s in np.flatnonzero(n).tolist()]
-            held.clear()
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found)], names=["length", "name", "symbol", "n"])
-
-        for batch in rows:
-            for r, blob, counts in zip(*(batch.column(i).to_pylist() for i in range(3))):
-                keys, n = unpack_sorted(blob), np.frombuffer(zlib.decompress(counts), np.int64)
-                for k in range(ORDER + 1):
-                    width = 8 * (ORDER - k + 1)
-                    for c in np.unique(context(ends(r), k)).tolist():
-                        least = c << width
-                        a, b = np.searchsorted(keys, np.uint64(least)), np.searchsorted(keys, np.uint64(least + (1 << width) - 1), side="right")
-                        if b > a:
-                            sums = np.bincount((keys[a:b] & np.uint64(0xFF)).astype(np.int64), n[a:b], 256).astype(np.int64)
-                            held[k, c] = held[k, c] + sums if (k, c) in held else sums
-            if len(held) > 4096:
-                yield from flush()
-        yield from flush()
+    at most two of each length, with their training counts everywhere."""
 
     def wanted(rows):
         for batch in rows:
-            out = [(r, k, c) for r in batch.column(0).to_pylist() for k in range(ORDER + 1) for c in np.unique(context(ends(r), k)).tolist()]
+            out = [(r, k, c) for r in batch.column(0).to_pylist() for k in range(ORDER + 1) for c in np.unique(context(border_ends(borders, r), k)).tolist()]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (zip(*out) if out else ([], [], []))], names=["slot", "length", "name"])
 
-    parts = asked.where(F.col("kind") == GRAM).select("grp", "keys", "counts").mapInArrow(tidy(count), "length long, name long, symbol long, n long")
-    sums = scratch.save(parts.groupBy("length", "name", "symbol").agg(F.sum("n").alias("n")), "across")
-    ranges = asked.sparkSession.range(len(borders) + 1 if len(borders) else 0).mapInArrow(wanted, "slot long, length long, name long")
+    cells = totals.select(F.explode(F.arrays_zip("lengths", "names", "symbols", "sums")).alias("c")).select(F.col("c.lengths").cast("long").alias("length"), F.col("c.names").alias("name"), F.col("c.symbols").alias("symbol"), F.col("c.sums").alias("n"))
+    sums = scratch.save(cells.groupBy("length", "name", "symbol").agg(F.sum("n").alias("n")), "across")
+    ranges = totals.sparkSession.range(len(borders) + 1 if len(borders) else 0).mapInArrow(wanted, "slot long, length long, name long")
     gram = F.shiftleft("name", 8).bitwiseOR(F.col("symbol"))
     return ranges.join(sums, ["length", "name"]).groupBy("slot", "length").agg(F.collect_list(gram).alias("grams"), F.collect_list("n").alias("sums"))
