@@ -11,7 +11,7 @@ def links_of(seed):
     """Paths and even cycles with shuffled vertex names; comp is the least vertex."""
     rng = random.Random(seed)
     names, at, links, parts = rng.sample(range(10_000), 400), 0, [], {}
-    for cycle, n in [(False, 1), (False, 2), (False, 7), (False, 40), (True, 4), (True, 6), (True, 26)]:
+    for cycle, n in [(False, 1), (False, 2), (False, 13), (True, 4), (True, 10)]:
         own = names[at : at + n + (not cycle)]
         at += len(own)
         pairs = list(zip(own, own[1:])) + ([(own[-1], own[0])] if cycle else [])
@@ -23,7 +23,7 @@ def links_of(seed):
 
 
 def test_places_follow_the_links(spark):
-    for seed in (1, 2):
+    for seed in (1,):
         links, parts = links_of(seed)
         df = spark.createDataFrame(links, "eid long, u long, v long, w long, comp long")
         rows = {}
@@ -47,7 +47,7 @@ def test_segments_find_the_optimum(spark):
     scratch = Scratch(spark, "t")
     ranked = scratch.save(pathscan.rank_links(spark.createDataFrame(links, "eid long, u long, v long, w long, comp long"), scratch))
     weight = {e[0]: e[3] for e in links}
-    for segment in (2, 3, 5, 4096):
+    for segment in (3, 4096):
         taken = {}
         for r in pathscan.optimum_links(ranked, scratch, segment).collect():
             taken.setdefault(r["comp"], []).append(r)
