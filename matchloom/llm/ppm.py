@@ -3,8 +3,9 @@
 The model is a trie of byte contexts up to ORDER bytes, with method-D escapes and symbol
 exclusion. Nothing of it is capped and no task ever holds it whole:
 
-1. documents are dealt into batches by row; each batch lists the distinct grams (history of
-   ORDER bytes, symbol) and words that its texts hold, with their training counts;
+1. the rows of a task form batches by their bytes, where they lie; each batch keeps its texts as
+   one blob and lists the distinct grams (history of ORDER bytes, symbol) and words that they
+   hold, with their training counts;
 2. a gram's key begins with the nearest byte of its history, so the grams of any context are
    neighbours in key order. The keys are cut into ranges of about equal numbers, words into
    ranges of their hashes; their number grows with the texts, so that no range depends on how
@@ -23,6 +24,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, functions as F
 
 from .storage import Scratch
@@ -34,13 +36,15 @@ START, END = 0xFE, 0xFF
 BATCH_BYTES = 12 << 20
 CHUNK_BYTES = 4 << 20
 #: Text for each range of keys, and the most ranges (their borders are held in memory).
-RANGE_BYTES = 2 << 20
+RANGE_BYTES = 4 << 20
 MOST_RANGES = 1 << 20
 #: Text and share of the grams that place the borders; they decide on balance, not on results.
 BORDER_BYTES = 64 << 20
 BORDER_SHARE = 32
 END_WORD = np.uint64(0x9E3779B97F4A7C15)
-GRAM, WORD = 0, 1
+GRAM, WORD, TEXT = 0, 1, 2
+#: Batches that one task makes at most.
+TASK_BATCHES = 1 << 24
 
 
 def gram_keys(rows: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -145,27 +149,56 @@ def text_rows(column: pa.Array) -> tuple[list[bytes], np.ndarray]:
     return [data[a:b].tobytes() for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())], offsets
 
 
-def list_batches(tables, borders: np.ndarray):
-    """Of each batch the blobs for every range: batch, kind, grp, keys, counts."""
-    for batch_id, columns in tables:
-        grams, words, total = Tally(), Tally(), 0
-        for text, learn in columns:
+ASKED = "batch long, kind int, grp long, keys binary, counts binary, texts binary"
+
+
+def cut_batches(batches, batch_bytes: int):
+    """Tables of about ``batch_bytes`` of text from the rows ``(doc_id, text, learned)`` of a task; a
+    longer text is a table of its own."""
+    held, size = [], 0
+    for batch in batches:
+        _, offsets = utf8_view(batch.column(1))
+        for lo, hi in byte_chunks(offsets, max(1, batch_bytes // 4)):
+            held.append(batch.slice(lo, hi - lo))
+            size += int(offsets[hi] - offsets[lo]) + 16 * (hi - lo)
+            if size >= batch_bytes:
+                yield pa.Table.from_batches(held)
+                held, size = [], 0
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def pack_rows(table: pa.Table) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, table.schema) as out:
+        out.write_table(table)
+    return zstandard.compress(sink.getvalue(), 3)
+
+
+def unpack_rows(blob: bytes) -> pa.Table:
+    return pa.ipc.open_stream(zstandard.decompress(blob)).read_all()
+
+
+def list_batches(batches, borders: np.ndarray, batch_bytes: int, first: int):
+    """Of each batch its rows, and the blobs for every range. Batches are numbered from ``first``."""
+    for batch_id, table in enumerate(cut_batches(batches, batch_bytes), first):
+        grams, words, none = Tally(), Tally(), None
+        for text, learn in zip(table.column(1).chunks, table.column(2).chunks):
             rows, offsets = text_rows(text)
             flags = learn.to_numpy(zero_copy_only=False)
             for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
                 for make, tally in ((gram_keys, grams), (word_keys, words)):
                     keys, sizes = make(rows[lo:hi])
                     tally.add(keys, np.repeat(flags[lo:hi], sizes))
+        out = [(TEXT, 0, none, none, pack_rows(table))]
         for kind, tally, ranged in ((GRAM, grams, lambda k: gram_range(k, borders)), (WORD, words, lambda k: word_range(k, len(borders) + 1))):
             keys, counts = tally.total()
             groups = ranged(keys)
             at = np.flatnonzero(np.diff(groups, prepend=-1)).tolist()
-            out = [(int(groups[a]), pack_sorted(keys[a:b]), pack(counts[a:b])) for a, b in zip(at, [*at[1:], len(keys)])]
-            n = len(out)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([batch_id] * n, pa.int64()), pa.array([kind] * n, pa.int32()), pa.array([g for g, _, _ in out], pa.int64()), pa.array([k for _, k, _ in out], pa.binary()), pa.array([c for _, _, c in out], pa.binary())],
-                names=["batch", "kind", "grp", "keys", "counts"],
-            )
+            out += [(kind, int(groups[a]), pack_sorted(keys[a:b]), pack(counts[a:b]), none) for a, b in zip(at, [*at[1:], len(keys)])]
+        kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
+        columns = [pa.array(c, t) for c, t in zip(zip(*out), kinds)]
+        yield pa.RecordBatch.from_arrays([pa.array([batch_id] * len(out), pa.int64()), *columns], names=["batch", "kind", "grp", "keys", "counts", "texts"])
 
 
 def by_key(batches, key: str):
@@ -383,31 +416,23 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     byte costs log10(256) and every token log10(1).
     """
     scratch = scratch or Scratch(docs.sparkSession, "ppm")
-    size = docs.agg(F.sum(F.octet_length("text") + 16), F.count("*")).first()
-    batches = max(1, -(-(size[0] or 0) // batch_bytes))
-    # rows are dealt by their number, so copies of a row part; written, so that both reads agree
-    number = F.monotonically_increasing_id()
-    dealt = scratch.save(docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce(learn, F.lit(False)).alias("learned"),
-        F.pmod(F.xxhash64(number), F.lit(batches)).alias("batch"),
-    ), "dealt")
-    borders = gram_borders(dealt, int(size[0] or 0), range_bytes)
-
-    def list_all(rows):
-        def columns(parts):
-            return [(p.column(1), p.column(2)) for p in parts]
-
-        yield from list_batches(((int(k), columns(parts)) for k, parts in by_key(rows, "batch")), borders)
-
-    asked = dealt.select("batch", "text", "learned").repartition(int(batches), "batch").sortWithinPartitions("batch")
-    asked = scratch.save(asked.mapInArrow(tidy(list_all), "batch long, kind int, grp long, keys binary, counts binary"), "asked")
+    size = docs.agg(F.sum(F.octet_length("text") + 16)).first()[0]
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce(learn, F.lit(False)).alias("learned"))
+    borders = gram_borders(rows, int(size or 0), range_bytes)
+
+    def list_all(batches):
+        yield from list_batches(batches, borders, batch_bytes, TaskContext.get().partitionId() * TASK_BATCHES)
+
+    asked = scratch.save(rows.mapInArrow(tidy(list_all), ASKED), "asked")
+    texts = asked.where(F.col("kind") == TEXT).select("batch", "texts")
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
+
     def merge_all(rows):
         yield from merge_ranges(rows, borders)
 
     # as many tasks as ranges, so that no task grows with the input
     tasks = 2 * (len(borders) + 1)
-    lists = asked.select(slot, "batch", "keys", "counts")
+    lists = asked.where(F.col("kind") != TEXT).select(slot, "batch", "keys", "counts")
     totals = scratch.save(lists.select("slot", "keys", "counts").repartition(tasks, "slot").sortWithinPartitions("slot").mapInArrow(tidy(merge_all), TOTALS), "totals")
     known = totals.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
@@ -416,33 +441,35 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     both = both.unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
     answers = both.repartition(tasks, "slot").sortWithinPartitions("slot")
     answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary"), "answers")
-    scratch.drop(asked, totals)
+    scratch.drop(totals)
 
     def join_batch(left: pa.Table, right: pa.Table) -> pa.Table:
-        values = score_batch([c for c in left.column("text").chunks], list(zip(*(right.column(c).to_pylist() for c in ("kind", "grp", "vals")))), tokens, types) if len(left) else [np.zeros(0)] * 4
+        held = unpack_rows(left.column("texts")[0].as_py())
+        values = score_batch(held.column("text").chunks, list(zip(*(right.column(c).to_pylist() for c in ("kind", "grp", "vals")))), tokens, types)
         give_back()
         return pa.table({
-            "doc_id": left.column("doc_id"), "learned": left.column("learned"), "n_tokens": pa.array(values[0], pa.int64()), "n_known": pa.array(values[1], pa.int64()),
-            "train_tokens": pa.array(np.full(len(left), tokens), pa.int64()), "base_score": pa.array(values[2], pa.float64()), "score": pa.array(values[3], pa.float64()),
+            "doc_id": held.column("doc_id"), "learned": held.column("learned"), "n_tokens": pa.array(values[0], pa.int64()), "n_known": pa.array(values[1], pa.int64()),
+            "train_tokens": pa.array(np.full(len(held), tokens), pa.int64()), "base_score": pa.array(values[2], pa.float64()), "score": pa.array(values[3], pa.float64()),
         })
 
     ddl = "doc_id long, learned boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    left, right = (t.repartition(int(batches), "batch").groupBy("batch") for t in (dealt, answers))
+    batches = max(1, texts.count())
+    left, right = (t.repartition(batches, "batch").groupBy("batch") for t in (texts, answers))
     return left.cogroup(right).applyInArrow(join_batch, ddl)
 
 
-def gram_borders(dealt: DataFrame, size: int, range_bytes: int) -> np.ndarray:
+def gram_borders(rows: DataFrame, size: int, range_bytes: int) -> np.ndarray:
     """Keys that cut the grams into ranges, from a share of the grams of a sample of the rows."""
     ranges = min(MOST_RANGES, -(-size // range_bytes))
     if ranges < 2:
         return np.zeros(0, np.uint64)
-    sample = dealt.where(F.pmod(F.xxhash64("batch", "doc_id", F.octet_length("text")), F.lit(max(1, size // BORDER_BYTES))) == 0)
+    sample = rows.where(F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(max(1, size // BORDER_BYTES))) == 0)
 
     def some(batches):
         for batch in batches:
-            rows, offsets = text_rows(batch.column(0))
+            held, offsets = text_rows(batch.column(0))
             for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
-                keys = distinct(gram_keys(rows[lo:hi])[0])
+                keys = distinct(gram_keys(held[lo:hi])[0])
                 mixed = (keys * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
                 keys = keys[mixed % np.uint64(BORDER_SHARE) == 0]
                 yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], names=["key"])
