@@ -33,8 +33,8 @@ from .textkernels import LOWER, byte_chunks, give_back, tidy, utf8_view
 ORDER = 6
 #: Two bytes that no UTF-8 text holds stand for the start and the end of a text.
 START, END = 0xFE, 0xFF
-BATCH_BYTES = 12 << 20
-CHUNK_BYTES = 4 << 20
+BATCH_BYTES = 10 << 20
+CHUNK_BYTES = 2 << 20
 #: Text for each range of keys, and the most ranges (their borders are held in memory).
 RANGE_BYTES = 4 << 20
 MOST_RANGES = 1 << 20
@@ -423,8 +423,13 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     def list_all(batches):
         yield from list_batches(batches, borders, batch_bytes, TaskContext.get().partitionId() * TASK_BATCHES)
 
-    asked = scratch.save(rows.mapInArrow(tidy(list_all), ASKED), "asked")
-    texts = asked.where(F.col("kind") == TEXT).select("batch", "texts")
+    # texts and lists lie apart, so that the lists can go as soon as they are answered
+    made = rows.mapInArrow(tidy(list_all), ASKED)
+    path = f"{scratch.root}/asked"
+    made.withColumn("part", (F.col("kind") == TEXT).cast("int")).write.partitionBy("part").parquet(path)
+    whole = docs.sparkSession.read.schema(f"{ASKED}, part int").parquet(path)
+    asked, texts = whole.where("part = 0"), whole.where("part = 1").select("batch", "texts")
+    asked._scratch_path = f"{path}/part=0"
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
 
     def merge_all(rows):
@@ -432,7 +437,7 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
 
     # as many tasks as ranges, so that no task grows with the input
     tasks = 2 * (len(borders) + 1)
-    lists = asked.where(F.col("kind") != TEXT).select(slot, "batch", "keys", "counts")
+    lists = asked.select(slot, "batch", "keys", "counts")
     totals = scratch.save(lists.select("slot", "keys", "counts").repartition(tasks, "slot").sortWithinPartitions("slot").mapInArrow(tidy(merge_all), TOTALS), "totals")
     known = totals.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
@@ -441,7 +446,7 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     both = both.unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
     answers = both.repartition(tasks, "slot").sortWithinPartitions("slot")
     answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary"), "answers")
-    scratch.drop(totals)
+    scratch.drop(asked, totals)
 
     def join_batch(left: pa.Table, right: pa.Table) -> pa.Table:
         held = unpack_rows(left.column("texts")[0].as_py())
@@ -453,7 +458,7 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
         })
 
     ddl = "doc_id long, learned boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    batches = max(1, texts.count())
+    batches = max(1, texts.count())  # each has one row
     left, right = (t.repartition(batches, "batch").groupBy("batch") for t in (texts, answers))
     return left.cogroup(right).applyInArrow(join_batch, ddl)
 
