@@ -29,3 +29,25 @@ def test_random_graphs_read_their_vertices(spark, name):
     df = registry.QUERIES[name](spark, SMALL)
     assert [f for f in df.inputFiles() if f.endswith("part.parquet")]
     assert sorted(map(tuple, df.collect())) == sorted(by_sql(name))
+
+
+def test_line_graph_of_hubs_in_blocks(spark, monkeypatch):
+    from matchloom.operators import baselines
+
+    monkeypatch.setattr(baselines, "BLOCK_CELLS", 4)
+    rows = random_graph(31, n=20, m=90) + [(100, k, 1) for k in range(101, 140)]
+    got = [tuple(r) for r in registry.named_line_graph(frame(spark, rows)).collect()]
+    named = sorted((u, v) for u, v, _ in rows)
+    want = {(*a, *b) for a, b in combinations(named, 2) if set(a) & set(b)}
+    assert len(got) == len(want) and set(got) == want
+
+
+def test_line_graph_has_no_bound_unless_asked(spark):
+    """The star of customers at 6 x sf0.1 has 162 million pairs; the bound stopped at 50."""
+    star = spark.range(1, 11_001).selectExpr("0L as u", "id as v", "1L as w")
+    from matchloom.operators import baselines
+
+    ordered = ordered_edges(star, Scratch(spark, "star"))
+    assert baselines.line_graph(ordered).count() == 11_000 * 10_999 // 2
+    result = baselines.line_graph_matching(star)
+    assert result.size() == 1
