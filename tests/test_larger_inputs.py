@@ -51,3 +51,38 @@ def test_line_graph_has_no_bound_unless_asked(spark):
     assert baselines.line_graph(ordered).count() == 11_000 * 10_999 // 2
     result = baselines.line_graph_matching(star)
     assert result.size() == 1
+
+
+def test_assignment_proves_itself():
+    import numpy as np
+
+    from matchloom.functions.kernels import exact_weight, priced_assignment
+
+    rng = random.Random(3)
+    for _ in range(200):
+        ends = [(i, 100 + j) for i in range(rng.randint(1, 7)) for j in range(rng.randint(1, 7)) if rng.random() < 0.6] or [(0, 100)]
+        (u, v), w = map(np.array, zip(*ends)), np.array([rng.randint(-2, 9) for _ in ends])
+        taken, names, prices = priced_assignment(u, v, w)
+        price = dict(zip(names.tolist(), prices.tolist()))
+        assert prices.min() >= 0 and all(price[a] + price[b] >= c for a, b, c in zip(u.tolist(), v.tolist(), w.tolist()))
+        assert len(set(u[taken])) == len(taken) == len(set(v[taken]))
+        assert w[taken].sum() == prices.sum() == exact_weight(u, v, w)[0]
+
+
+def test_bipartite_optimum_of_a_large_table(spark, monkeypatch):
+    """8,000 x 8,000 vertices, a table beyond the bound of before, and a core that has to grow."""
+    from matchloom.operators import baselines
+
+    n = 8_000
+    far = spark.range(n).selectExpr("id as u", "id + 1000000 as v", "10L as w").unionByName(spark.range(n - 1).selectExpr("id as u", "id + 1000001 as v", "11L as w"))
+    assert baselines.exact_bipartite(far).weight() == 11 * (n - 1)
+    monkeypatch.setattr(baselines, "CORE_EDGES", 1)
+    rows = [(u, 100 + v, w) for u, v, w in ((r.randrange(9), r.randrange(12), r.randrange(1, 20)) for r in [random.Random(5)] for _ in range(60))]
+    rows = list({(u, v): (u, v, w) for u, v, w in rows}.values())
+    from matchloom.functions.kernels import exact_weight
+    import numpy as np
+
+    want = exact_weight(*(np.array(c) for c in zip(*rows)))[0]
+    assert baselines.exact_bipartite(frame(spark, rows)).weight() == want
+    monkeypatch.setattr(baselines, "SCAN_ROWS", 0)
+    assert baselines.exact_bipartite(frame(spark, rows)).weight() == want
