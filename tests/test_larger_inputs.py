@@ -86,3 +86,31 @@ def test_bipartite_optimum_of_a_large_table(spark, monkeypatch):
     assert baselines.exact_bipartite(frame(spark, rows)).weight() == want
     monkeypatch.setattr(baselines, "SCAN_ROWS", 0)
     assert baselines.exact_bipartite(frame(spark, rows)).weight() == want
+
+
+def test_heavy_edge_by_pieces(spark):
+    from matchloom.functions.kernels import heavy_edge_scan
+    from matchloom.operators import baselines
+    import numpy as np
+
+    rows = random_graph(41, n=40, m=200)
+    ordered = ordered_edges(frame(spark, rows), scratch := Scratch(spark, "pieces"))
+    falling = sorted(map(tuple, ordered.select("eid", "u", "v").collect()), reverse=True)
+    eid, u, v = map(np.array, zip(*falling))
+    names = sorted({*u.tolist(), *v.tolist()})
+    want = set(eid[heavy_edge_scan(u, v, {x: i for i, x in enumerate(names)})].tolist())
+    rank = F.struct(F.lit(0).cast("long"), F.col("vertex"))
+    got = baselines.heavy_edge_pieces(ordered, rank, scratch, rows=30)
+    assert {r["eid"] for r in got.collect()} == want
+
+
+def test_percentiles_hold_no_values_in_one_place(spark):
+    from matchloom.functions import measures
+
+    for n in (0, 1, 2, 7, 1000):
+        df = spark.range(n).selectExpr("pmod(id * 37, 251) - 60 as w")
+        shares = {"p25": 0.25, "p50": 0.5, "p90": 0.9}
+        got = measures.percentiles(df, "w", shares)
+        want = df.agg(*[F.expr(f"percentile(w, {p})").alias(c) for c, p in shares.items()])
+        assert got.collect() == want.collect() and got.schema.simpleString() == want.schema.simpleString()
+        assert "percentile(" not in got._jdf.queryExecution().toString()
