@@ -114,3 +114,24 @@ def test_percentiles_hold_no_values_in_one_place(spark):
         want = df.agg(*[F.expr(f"percentile(w, {p})").alias(c) for c, p in shares.items()])
         assert got.collect() == want.collect() and got.schema.simpleString() == want.schema.simpleString()
         assert "percentile(" not in got._jdf.queryExecution().toString()
+
+
+def test_growth_by_pieces_is_growth(spark):
+    from matchloom.operators import paths
+
+    scratch = Scratch(spark, "growth")
+    ordered = ordered_edges(frame(spark, random_graph(51, n=60, m=400)), scratch)
+    want = {tuple(r) for r in paths.grown_links_scan(ordered).select("eid", "comp", "taken").collect()}
+    links = paths.grow_by_pieces(ordered, scratch, rows=60)
+    assert {tuple(r) for r in paths.grown_links_scan(links).select("eid", "comp", "taken").collect()} == want
+
+
+def test_log_of_a_long_finish_stays_in_tables(spark):
+    """A path of rising weights has as many phases as half its edges."""
+    from matchloom.operators.localmax import PhaseLog, local_max
+
+    path = spark.range(400).selectExpr("id as u", "id + 1 as v", "id + 1 as w")
+    result = local_max(path, plan="kernel")
+    assert isinstance(result.log, PhaseLog) and result.log.known is None and len(result.log) == 200
+    frame_ = [tuple(r)[:6] for r in result.log_frame().orderBy("phase").collect()]
+    assert result.log.known is None and frame_ == [tuple(x.values())[:6] for x in result.log] and frame_[0][:5] == (1, 400, 1, 2, 398)
