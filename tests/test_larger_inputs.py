@@ -135,3 +135,25 @@ def test_log_of_a_long_finish_stays_in_tables(spark):
     assert isinstance(result.log, PhaseLog) and result.log.known is None and len(result.log) == 200
     frame_ = [tuple(r)[:6] for r in result.log_frame().orderBy("phase").collect()]
     assert result.log.known is None and frame_ == [tuple(x.values())[:6] for x in result.log] and frame_[0][:5] == (1, 400, 1, 2, 398)
+
+
+def test_delaunay_around_points():
+    """The points around one settle it as all points do, in time that does not grow with them."""
+    import time
+
+    import numpy as np
+
+    from matchloom.sources.delaunay import Grid, delaunay_partners, partners
+
+    rng = np.random.default_rng(2)
+    lattice = np.stack(np.meshgrid(np.arange(14), np.arange(14)), -1).reshape(-1, 2) * 7
+    for xy in (rng.integers(0, 1000, (300, 2)), (rng.normal(size=(300, 2)) * 1e5).astype(np.int64), lattice, np.array([[0, 0], [5, 0], [9, 0]])):
+        xy = np.unique(xy, axis=0)
+        grid = Grid(xy)
+        for k in range(len(xy)):
+            assert set(partners(xy, grid, k)) == set(delaunay_partners(xy, k))
+    xy = np.unique(rng.integers(0, 1_000_000, (100_000, 2)), axis=0)
+    grid, began = Grid(xy), time.time()
+    for k in range(0, len(xy), 1000):
+        partners(xy, grid, k)
+    assert time.time() - began < 5  # about 15 s by all points
