@@ -5,6 +5,9 @@ table of last tokens is filled from left to right: an automaton over the vocabul
 the tokens that are suffixes of the prefix, and the one that may follow the last token of
 what is left is kept. Following the back-pointers from the end gives the ids.
 
+Words recur over all tasks of a worker process, so the cache of pre-tokens stays with it; it holds
+ids joined by commas only, and its bound keeps it at about 150 MB.
+
 Two neighbouring tokens are compatible when no merge across their border would run before
 both are complete; that is read off the two merge trees, without encoding anything.
 """
@@ -25,8 +28,9 @@ from .textkernels import byte_chunks, tidy, utf8_view
 #: Fixed value: the split pattern of byte-level BPE vocabularies of this family.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
-CACHE_ENTRIES = 100_000
-PAIR_ENTRIES = 200_000
+#: Pre-tokens of one of two generations, and pairs of tokens: about 250 and 130 bytes each.
+CACHE_ENTRIES = 250_000
+PAIR_ENTRIES = 300_000
 LONGEST_CACHED = 64
 
 
@@ -42,16 +46,22 @@ class PairRules:
     """Which token may directly follow which, from the merge list."""
 
     def __init__(self, merges: list[tuple[int, int]], product: list[int], n_tokens: int):
-        self.rank = {pair: k for k, pair in enumerate(merges)}
+        self.rank = {a << 20 | b: k for k, (a, b) in enumerate(merges)}
         self.parts: list[tuple[int, int] | None] = [None] * n_tokens
         self.born = [-1] * n_tokens
         for k, (pair, made) in enumerate(zip(merges, product)):
             if self.parts[made] is None:
                 self.parts[made], self.born[made] = pair, k
         self.known: dict[int, bool] = {}
+        self.edges: tuple[dict[int, list], dict[int, list]] = {}, {}
 
     def edge(self, token: int, side: int) -> list[tuple[int, int]]:
         """Nodes along one side of a token's merge tree, each with the rank that ends its life."""
+        if (out := self.edges[side].get(token)) is None:
+            out = self.edges[side][token] = self._edge(token, side)
+        return out
+
+    def _edge(self, token: int, side: int) -> list[tuple[int, int]]:
         out, until = [], len(self.rank) + 1
         while True:
             out.append((token, until))
@@ -73,10 +83,11 @@ class PairRules:
         rank = self.rank
         facing = self.edge(right, 0)
         for x, x_until in self.edge(left, 1):
+            x <<= 20
             for y, y_until in facing:
                 # a merge over the border runs if both sides still stand at its rank; at equal
                 # rank the leftmost goes first: the left tree's own merge, then the border
-                if (at := rank.get((x, y))) is not None and at < x_until and at <= y_until:
+                if (at := rank.get(x | y)) is not None and at < x_until and at <= y_until:
                     return False
         return True
 
@@ -107,15 +118,16 @@ class PrefixEncoder:
         self.automaton.make_automaton()
         self.split = regex.compile(SPLIT)
         self.around = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        self.young: dict[str, tuple[int, str, bytes]] = {}
-        self.old: dict[str, tuple[int, str, bytes]] = {}
+        self.young: dict[str, str] = {}
+        self.old: dict[str, str] = {}
 
     def _own(self, i: int) -> bool:
         """The parts fit except for the merge that makes the token itself."""
         left, right = self.rules.parts[i]
-        at = self.rules.rank.pop((left, right))
+        key = left << 20 | right
+        at = self.rules.rank.pop(key)
         ok = self.rules._fits(left, right)
-        self.rules.rank[(left, right)] = at
+        self.rules.rank[key] = at
         return ok
 
     def ids(self, raw: bytes) -> list[int]:
@@ -139,45 +151,47 @@ class PrefixEncoder:
             n -= sizes[n]
         return out[::-1]
 
-    def forget(self) -> None:
-        """Empty the caches, which would stay with the worker."""
-        self.young, self.old = {}, {}
-        self.rules.known.clear()
-
-    def entry(self, piece: str) -> tuple[int, str, bytes]:
-        """Of one pre-token: how many ids, the ids joined, and the bytes they decode to."""
-        ids = self.ids(piece.encode())
-        found = (len(ids), ",".join(map(str, ids)), b"".join([self.bytes_of[i] for i in ids]))
+    def entry(self, piece: str) -> str:
+        """The ids of one pre-token joined by commas; they decode to its bytes again."""
+        raw = piece.encode()
+        ids = self.ids(raw)
+        if b"".join([self.bytes_of[i] for i in ids]) != raw:
+            raise ValueError("ids do not decode to their pre-token")
+        found = ",".join(map(str, ids))
         if len(piece) <= LONGEST_CACHED:
             if len(self.young) >= CACHE_ENTRIES:
                 self.old, self.young = self.young, {}
             self.young[piece] = found
         return found
 
+    def again(self, piece: str) -> str:
+        """Of a pre-token that the young cache lacks."""
+        if (found := self.young.get(piece)) is not None:
+            return found
+        if (found := self.old.get(piece)) is not None:
+            self.young[piece] = found
+            return found
+        return self.entry(piece)
+
     def encode(self, text: str) -> tuple[int, str, str]:
         """How many ids, the ids joined by commas, and the text that they decode to."""
         parts = self.around.split(text) if self.around else [text]
-        count, joined, raw = 0, [], []
+        joined, raw = [], []
         for part in parts:
             if part in self.special:
                 i = self.special[part]
-                count += 1
                 joined.append(str(i))
                 raw.append(self.bytes_of[i])
                 continue
-            young, old = self.young, self.old
-            for piece in self.split.findall(part):
-                found = young.get(piece)
-                if found is None:
-                    if (found := old.get(piece)) is not None:
-                        young[piece] = found
-                    else:
-                        found = self.entry(piece)
-                        young, old = self.young, self.old
-                count += found[0]
-                joined.append(found[1])
-                raw.append(found[2])
-        return count, ",".join(joined), b"".join(raw).decode("utf-8", "replace")
+            pieces = self.split.findall(part)
+            found = list(map(self.young.get, pieces))
+            if None in found:
+                found = [self.again(piece) if ids is None else ids for piece, ids in zip(pieces, found)]
+            joined += found
+            # each piece's ids were decoded when they were made
+            raw.append("".join(pieces).encode())
+        line = ",".join(joined)
+        return line.count(",") + 1 if line else 0, line, b"".join(raw).decode("utf-8", "replace")
 
 
 @lru_cache(maxsize=2)
@@ -215,7 +229,6 @@ def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", t
                     for c in outputs:
                         rows[c].append(made[c]())
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), *(pa.array(rows[c], schema.field(c).type) for c in outputs)], schema=schema)
-        bpe.forget()
 
     ddl = ", ".join(["doc_id long", *(f"{c} {kinds[c][1]}" for c in outputs)])
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidy(run), ddl)

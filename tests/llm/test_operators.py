@@ -494,3 +494,26 @@ def test_scratch_is_written_and_dropped(spark):
     scratch.drop(kept)
     with pytest.raises(Exception):
         spark.read.parquet(kept._scratch_path)
+
+
+def test_words_of_earlier_tasks_are_not_encoded_again(monkeypatch):
+    bpe_50k = bpe.PrefixEncoder(vocabulary("byte_bpe_50k.json"))
+    monkeypatch.setattr(bpe, "encoder", lambda path: bpe_50k)
+    made = []
+    whole = bpe_50k.ids
+    monkeypatch.setattr(bpe_50k, "ids", lambda raw: made.append(raw) or whole(raw))
+    taken = []
+
+    class Docs:
+        def select(self, *_):
+            return self
+
+        def mapInArrow(self, run, ddl):
+            taken.append(run)
+
+    bpe.encode_documents(Docs(), "any", outputs=("n_tokens", "decoded"))
+    batch = pa.RecordBatch.from_arrays([pa.array([1, 2]), pa.array(["Ünï words 42, again again", None])], names=["doc_id", "text"])
+    first = [b.to_pylist() for b in taken[0](iter([batch]))]
+    count = len(made)
+    assert [b.to_pylist() for b in taken[0](iter([batch]))] == first and first[0][0]["decoded"] == batch.column(1)[0].as_py()
+    assert count and len(made) == count
