@@ -7,9 +7,14 @@ that could lie within the threshold: if y is nearer to centre b than to a, then
 Cells follow the rows: those of more than CELL_ROWS vectors are cut again, each by k-means on a
 bounded sample of its own, until they are small or cutting does not pay. It pays where vectors
 cluster; without clusters a vector has to visit nearly every cell, the sample shows that, and
-cells stay larger. Equal vectors are one row with a multiplicity; a cell of more than ``tile``
-rows is split into tiles and every pair of tiles is a task of its own. Out of a task come counts
-and a forest, never all pairs.
+cells stay larger. Equal vectors are one row with a multiplicity.
+
+A cell whose rows would be dealt out more than MOST_COPIES times stays whole, and a whole cell of
+more than ``tile`` rows is written once, as tiles of rows in order of k-means cells of its own.
+Each two tiles meet by a replicated scan of the written tiles, which shuffles nothing; in them two
+k-means cells are compared by those of their rows that have to visit the other one. So disk
+follows the rows, whatever the number of pairs. Out of a task come counts and a forest, never
+all pairs.
 """
 
 from __future__ import annotations
@@ -24,7 +29,8 @@ from pyspark.sql import DataFrame, functions as F
 from .components import components
 from .simhash import settle
 from .storage import Scratch
-from .vectors import decode, distinct_vectors, packed
+from .textkernels import tidy
+from .vectors import decode, distinct_vectors, kept_kind, packed
 
 #: Rows of the sample that the centres of one cell are fitted on, and most centres at a time.
 FIT_SAMPLE = 8_192
@@ -34,8 +40,10 @@ CELL_ROWS = 256
 ROW_COST = 400
 MOST_LEVELS = 12
 PART_ROWS = 8_192
-TILE = 16_384
+TILE = 4_096
 STRIP = 128
+#: Rows that a cut may deal out for each row of a cell.
+MOST_COPIES = 1.5
 
 
 def unit(rows: np.ndarray) -> np.ndarray:
@@ -71,9 +79,10 @@ def visits(rows: np.ndarray, centres: np.ndarray, chord: float) -> tuple[np.ndar
     return home, out
 
 
-def fit_centres(sample: np.ndarray, n: int, chord: float, at_least: int = 1, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST) -> np.ndarray | None:
+def fit_centres(sample: np.ndarray, n: int, chord: float, at_least: int = 1, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST, most_copies: float = math.inf) -> np.ndarray | None:
     """Centres for a cell of n rows, as many as make its comparison cheapest by the sample, or
-    None if it should stay whole. ``at_least`` 2 always cuts."""
+    None if it should stay whole. ``at_least`` 2 always cuts, but never into more than
+    ``most_copies`` of a row."""
     tries, k = [], min(most, len(sample), max(2, -(-n // cell_rows)))
     while k >= 2:
         tries.append(k)
@@ -83,18 +92,22 @@ def fit_centres(sample: np.ndarray, n: int, chord: float, at_least: int = 1, cel
     for k in tries:
         centres = spherical_centres(sample, k)
         home, seen = visits(probe, centres, chord)
+        if seen.sum(axis=1).mean() > most_copies:
+            continue
         share = np.bincount((sample @ centres.T).argmax(axis=1), minlength=len(centres)) / len(sample)
         # rows that each visited cell holds at home, and a copy of the row for each cell
         price = float((seen * (share * n + row_cost)[None, :]).sum(axis=1).mean()) + row_cost
         if price < cost:
             best, cost = centres, price
+    if best is None and at_least > 1 and most_copies == math.inf:
+        return sample[:1]
     return best
 
 
-def cut_cell(part: pa.Table, centres: np.ndarray, chord: float) -> pa.Table:
+def cut_cell(part: pa.Table, centres: np.ndarray, chord: float, kind: type = np.float64) -> pa.Table:
     """Rows ``(id, copies, vec, cell, own)`` of one cell, cut by its centres: a row goes to its
     home cell and to those that it has to visit, and a visitor is one in all of them."""
-    home, seen = visits(unit(decode(part.column("vec").to_pylist())), centres, chord)
+    home, seen = visits(unit(decode(part.column("vec").to_pylist(), kind)), centres, chord)
     row, sub = np.nonzero(seen)
     out = part.select(["id", "copies", "vec"]).take(pa.array(row))
     cell = part.column("cell")[0].as_py()
@@ -106,39 +119,56 @@ def cut_cell(part: pa.Table, centres: np.ndarray, chord: float) -> pa.Table:
 PLACED = "id long, copies long, vec binary, cell string, own boolean"
 
 
-def place_in_cells(points: DataFrame, threshold: float, scratch: Scratch, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST) -> DataFrame:
+def fitted_centres(placed: DataFrame, sizes: DataFrame, level: int, kind: type, **options) -> DataFrame:
+    """``(cell, parts, centres)`` of the cells in ``sizes``, each fitted on a bounded sample of its
+    own rows, without those that should stay whole."""
+    drawn = F.pmod(F.xxhash64("id", F.lit(level)), F.col("n")) < FIT_SAMPLE
+    sample = placed.where("own").join(sizes, "cell").where(drawn).select("cell", "n", "parts", "vec")
+
+    def fit(table: pa.Table) -> pa.Table:
+        centres = fit_centres(unit(decode(table.column("vec").to_pylist(), kind)), table.column("n")[0].as_py(), **options)
+        one = table.select(["cell", "parts"]).slice(0, 0 if centres is None else 1)
+        return one.append_column("centres", pa.array([] if centres is None else [centres.tobytes()], pa.binary()))
+
+    return sample.groupBy("cell").applyInArrow(fit, "cell string, parts int, centres binary")
+
+
+def by_parts(placed: DataFrame, fitted: DataFrame, run, schema: str, tasks: int | None = None) -> DataFrame:
+    """``run(rows, centres)`` for the parts of each fitted cell."""
+    dealt = placed.join(fitted.select("cell", "parts"), "cell").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
+    shapes = fitted.select("cell", "centres", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts").cast("long") - 1)).alias("part"))
+    if tasks is not None:
+        dealt, shapes = (x.repartition(tasks, "cell", "part") for x in (dealt, shapes))
+
+    def both(rows: pa.Table, centres: pa.Table) -> pa.Table:
+        at = np.frombuffer(centres.column("centres")[0].as_py(), np.float64)
+        return run(rows, at)
+
+    empty = pa.schema([(c.split()[0], pa.type_for_alias({"long": "int64", "boolean": "bool"}.get(c.split()[1], c.split()[1]))) for c in schema.split(", ")]).empty_table()
+    return dealt.groupBy("cell", "part").cogroup(shapes.groupBy("cell", "part")).applyInArrow(lambda rows, at: both(rows, at) if len(rows) else empty, schema)
+
+
+def place_in_cells(
+    points: DataFrame, threshold: float, scratch: Scratch, cell_rows: int = CELL_ROWS, most: int = MOST_CENTRES, row_cost: int = ROW_COST, most_copies: float = math.inf, kind: type = np.float64
+) -> DataFrame:
     """All points ``(id, copies, vec)`` in cells, level by level."""
     chord = math.sqrt(2 - 2 * threshold) + 1e-9
-    placed = scratch.save(points.select("id", "copies", "vec", F.octet_length("vec").cast("string").alias("cell"), F.lit(True).alias("own")), "placed")
+    placed = points.select("id", "copies", "vec", F.octet_length("vec").cast("string").alias("cell"), F.lit(True).alias("own"))
     done = []
     for level in range(MOST_LEVELS):
         sizes = placed.groupBy("cell").agg(F.sum(F.col("own").cast("long")).alias("n"), F.ceil(F.count("*") / PART_ROWS).cast("int").alias("parts"))
         large = scratch.save(sizes.where(F.col("n") > cell_rows), "large")
-        # a bounded sample of each cell; the first level always cuts, later ones where it pays
-        drawn = F.pmod(F.xxhash64("id", F.lit(level)), F.col("n")) < FIT_SAMPLE
-        sample = placed.where("own").join(large, "cell").where(drawn).select("cell", "n", "parts", "vec")
-
-        least = 2 if level == 0 else 1
-
-        def fit(table: pa.Table) -> pa.Table:
-            centres = fit_centres(unit(decode(table.column("vec").to_pylist())), table.column("n")[0].as_py(), chord, least, cell_rows, most, row_cost)
-            one = table.select(["cell", "parts"]).slice(0, 0 if centres is None else 1)
-            return one.append_column("centres", pa.array([] if centres is None else [centres.tobytes()], pa.binary()))
-
-        fitted = scratch.save(sample.groupBy("cell").applyInArrow(fit, "cell string, parts int, centres binary"), "fitted")
+        # the first level always cuts, later ones where it pays
+        options = dict(chord=chord, at_least=2 if level == 0 else 1, cell_rows=cell_rows, most=most, row_cost=row_cost, most_copies=most_copies)
+        fitted = scratch.save(fitted_centres(placed, large, level, kind, **options), "fitted")
         if fitted.isEmpty():
             return reduce(DataFrame.unionByName, [*done, placed])
         done.append(scratch.save(placed.join(fitted, "cell", "left_anti"), "whole"))
-        dealt = placed.join(fitted.select("cell", "parts"), "cell").withColumn("part", F.pmod(F.xxhash64("id"), F.col("parts")))
-        shapes = fitted.select("cell", "centres", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts").cast("long") - 1)).alias("part"))
 
-        def cut(rows: pa.Table, centres: pa.Table) -> pa.Table:
-            if not len(rows):
-                return rows.select(["id", "copies", "vec", "cell", "own"])
-            at = np.frombuffer(centres.column("centres")[0].as_py(), np.float64)
-            return cut_cell(rows, at.reshape(-1, len(rows.column("vec")[0].as_py()) // 8), chord)
+        def cut(rows: pa.Table, centres: np.ndarray) -> pa.Table:
+            return cut_cell(rows, centres.reshape(-1, len(rows.column("vec")[0].as_py()) // kind().itemsize), chord, kind)
 
-        finer = scratch.save(dealt.groupBy("cell", "part").cogroup(shapes.groupBy("cell", "part")).applyInArrow(cut, PLACED), "placed")
+        finer = scratch.save(by_parts(placed, fitted, cut, PLACED), "placed")
         scratch.drop(placed)
         placed = finer
     return reduce(DataFrame.unionByName, [*done, placed])
@@ -148,47 +178,126 @@ def exact_cosine(x: np.ndarray, y: np.ndarray) -> float:
     return math.fsum(x * y) / math.sqrt(math.fsum(x * x) * math.fsum(y * y))
 
 
-def tile_links(left: pa.Table, right: pa.Table, threshold: float):
-    """Counts of linked vectors for the rows of ``left`` among ``right``, and a forest."""
-    x, y = decode(left.column("vec").to_pylist()), decode(right.column("vec").to_pylist())
+def hits(x: np.ndarray, y: np.ndarray, threshold: float):
+    """``(rows, columns, hit)`` by strips: which of these rows of x and y have that cosine. Single
+    precision finds the candidates, by a bound on its error; doubles decide."""
+    if not len(x) or not len(y):
+        return
     ux, uy = unit(x), unit(y)
-    a, b = left.column("id").to_numpy(), right.column("id").to_numpy()
-    copies = right.column("copies").to_numpy().astype(np.float64)
-    names, place = np.unique(np.concatenate([a, b]), return_inverse=True)
-    labels, counts = np.arange(len(names)), np.zeros(len(a), np.int64)
-    for i in range(0, len(a), STRIP):
-        cos = ux[i : i + STRIP] @ uy.T
+    low = threshold - (x.shape[1] + 8) * 1.2e-7
+    x32, y32 = ux.astype(np.float32), uy.astype(np.float32)
+    for i in range(0, len(x), STRIP):
+        near = x32[i : i + STRIP] @ y32.T >= low
+        rows = np.flatnonzero(near.any(axis=1))
+        if not len(rows):
+            continue
+        cols = np.flatnonzero(near[rows].any(axis=0))
+        rows += i
+        cos = ux[rows] @ uy[cols].T
         hit = cos >= threshold
         for r, c in zip(*np.nonzero(np.abs(cos - threshold) < 1e-12)):
-            hit[r, c] = exact_cosine(x[i + r], y[c]) >= threshold
-        hit &= a[i : i + STRIP][:, None] != b[None, :]
-        if hit.any():
-            counts[i : i + STRIP] = (hit @ copies).astype(np.int64)
-            r, c = np.nonzero(hit)
-            settle(labels, place[: len(a)][i + r], place[len(a) :][c])
-    some = np.flatnonzero(counts)
-    moved = np.flatnonzero(labels != np.arange(len(names)))
-    return a[some], counts[some], names[moved], names[labels[moved]]
-
-
-def compare_cells(placed: DataFrame, threshold: float, tile: int = TILE) -> DataFrame:
+            hit[r, c] = exact_cosine(x[rows[r]], y[cols[c]]) >= threshold
+        yield rows, cols, hit
+
+
+LINKS = "kind int, a long, b long"
+
+
+def link_table(ids: np.ndarray, counts: np.ndarray, names: np.ndarray, labels: np.ndarray) -> pa.Table:
     """``(kind, a, b)``: kind 0 a forest link of ids, kind 1 id a has b linked rows here."""
-    sizes = placed.groupBy("cell").agg(F.ceil(F.sum(F.col("own").cast("int")) / tile).cast("int").alias("rows"), F.ceil(F.count("*") / tile).cast("int").alias("cols")).where("rows > 0")
-    dealt = placed.join(sizes, "cell").withColumn("i", F.pmod(F.xxhash64("id"), F.col("rows")).cast("int")).withColumn("j", F.pmod(F.xxhash64("id", F.lit(1)), F.col("cols")).cast("int"))
-    base = ["cell", "id", "copies", "vec"]
-    lefts = dealt.where("own").select(*base, "i", F.explode(F.sequence(F.lit(0), F.col("cols") - 1)).alias("j"))
-    rights = dealt.select(*base, "j", F.explode(F.sequence(F.lit(0), F.col("rows") - 1)).alias("i"))
-    rights = rights.toDF(*rights.columns)  # names of its own, for the cogroup
-    keys = ["cell", "i", "j"]
+    some, moved = np.flatnonzero(counts), np.flatnonzero(labels != np.arange(len(names)))
+    kind = np.repeat(np.array([1, 0], np.int32), [len(some), len(moved)])
+    a, b = np.concatenate([ids[some], names[moved]]), np.concatenate([counts[some], names[labels[moved]]])
+    return pa.table({"kind": pa.array(kind), "a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+
+def cell_links(table: pa.Table, threshold: float, kind: type = np.float64) -> pa.Table:
+    """Links of the rows that are at home in a cell with all of its rows."""
+    ids, own = table.column("id").to_numpy(), table.column("own").to_numpy(zero_copy_only=False)
+    x, copies = decode(table.column("vec").to_pylist(), kind), table.column("copies").to_numpy()
+    names, place = np.unique(ids, return_inverse=True)
+    home = np.flatnonzero(own)
+    labels, counts = np.arange(len(names)), np.zeros(len(home), np.int64)
+    for rows, cols, hit in hits(x[home], x, threshold):
+        hit &= ids[home[rows]][:, None] != ids[cols][None, :]
+        counts[rows] += hit @ copies[cols]
+        r, c = np.nonzero(hit)
+        settle(labels, place[home[rows[r]]], place[cols[c]])
+    return link_table(ids[home], counts, names, labels)
+
+
+TILED = "cell string, part long, id binary, copies binary, own binary, home binary, seen binary, vec binary"
+
+
+def tile_row(rows: pa.Table, centres: np.ndarray, chord: float, kind: type) -> pa.Table:
+    """The rows of a part as one row of blobs, in order of their cells among ``centres``."""
+    vec = decode(rows.column("vec").to_pylist(), kind)
+    home, seen = visits(unit(vec), centres.reshape(-1, vec.shape[1]), chord)
+    order = np.argsort(home, kind="stable")
+    whole = {"id": rows.column("id").to_numpy(), "copies": rows.column("copies").to_numpy(), "own": rows.column("own").to_numpy(zero_copy_only=False), "home": home.astype(np.int32), "seen": seen, "vec": vec.astype(kind)}
+    blobs = {c: pa.array([v[order].tobytes()], pa.binary()) for c, v in whole.items()}
+    return pa.table({"cell": rows.column("cell").slice(0, 1), "part": rows.column("part").slice(0, 1), **blobs})
+
+
+class Tile:
+    def __init__(self, row: dict, side: str, kind: type):
+        held = lambda c, of: np.frombuffer(row[side + c], of)
+        self.ids, self.copies, self.own, self.home = held("id", np.int64), held("copies", np.int64), held("own", bool), held("home", np.int32)
+        self.seen, self.vec = (held(c, of).reshape(len(self.ids), -1) for c, of in (("seen", bool), ("vec", kind)))
+        self.cells = np.unique(self.home).tolist()
+
+    def facing(self, cell: int, other: int) -> np.ndarray:
+        """Rows of a cell that have to visit the other one."""
+        return np.flatnonzero((self.home == cell) & self.seen[:, other])
+
+
+def tile_links(a: Tile, b: Tile, same: bool, threshold: float) -> pa.Table:
+    """Links between two tiles, or inside of one; each pair of rows is compared once."""
+    names, place = np.unique(np.concatenate([a.ids, b.ids]), return_inverse=True)
+    at = place[: len(a.ids)], place[len(a.ids) :]
+    labels, counts = np.arange(len(names)), np.zeros(len(names), np.int64)
+    for g in a.cells:
+        for h in b.cells:
+            if same and h < g:
+                continue
+            x, y = a.facing(g, h), b.facing(h, g)
+            for rows, cols, hit in hits(a.vec[x].astype(np.float64), b.vec[y].astype(np.float64), threshold):
+                r, c = x[rows], y[cols]
+                hit &= a.own[r][:, None] | b.own[c][None, :]
+                if same and g == h:
+                    hit &= r[:, None] < c[None, :]
+                # rows are told apart here, so plain indexed sums do
+                counts[at[0][r]] += np.where(a.own[r], hit @ b.copies[c], 0)
+                counts[at[1][c]] += np.where(b.own[c], a.copies[r] @ hit, 0)
+                i, j = np.nonzero(hit)
+                settle(labels, at[0][r[i]], at[1][c[j]])
+    return link_table(names, counts, names, labels)
+
+
+def compare_cells(placed: DataFrame, threshold: float, scratch: Scratch, tile: int = TILE, kind: type = np.float64) -> DataFrame:
+    """``(kind, a, b)`` of all cells, see ``link_table``."""
+    sizes = placed.groupBy("cell").agg(F.sum(F.col("own").cast("long")).alias("n"), F.ceil(F.count("*") / tile).cast("int").alias("parts")).where("n > 0")
+    sizes = scratch.save(sizes, "sizes")
+    small, large = sizes.where("parts = 1").select("cell"), sizes.where("parts > 1")
+    found = placed.join(small, "cell").groupBy("cell").applyInArrow(lambda table: cell_links(table, threshold, kind), LINKS)
+    tiles = large.agg(F.sum("parts")).first()[0]
+    if not tiles:
+        return found
+    chord = math.sqrt(2 - 2 * threshold) + 1e-9
+    fitted = scratch.save(fitted_centres(placed, large, MOST_LEVELS, kind, chord=chord, at_least=2, cell_rows=1, most=max(2, tile // 64), row_cost=0), "tile_centres")
+    written = scratch.save(by_parts(placed, fitted, lambda rows, at: tile_row(rows, at, chord, kind), TILED, min(tiles, 4096)), "tiles")
+    left, right = (written.toDF(*[side + c for c in written.columns]) for side in ("l_", "r_"))
+    met = left.join(right.hint("shuffle_replicate_nl"), (F.col("l_cell") == F.col("r_cell")) & (F.col("l_part") <= F.col("r_part")))
 
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not len(left) or not len(right):
-            return pa.table({"kind": pa.array([], pa.int32()), "a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
-        who, counts, low, high = tile_links(left, right, threshold)
-        kind = np.concatenate([np.ones(len(who), np.int32), np.zeros(len(low), np.int32)])
-        return pa.table({"kind": pa.array(kind), "a": pa.array(np.concatenate([who, low])), "b": pa.array(np.concatenate([counts, high]))})
+    def run(batches):
+        for batch in batches:
+            for k in range(len(batch)):
+                row = batch.slice(k, 1).to_pylist()[0]
+                same = row["l_part"] == row["r_part"]
+                out = tile_links(Tile(row, "l_", kind), Tile(row, "r_", kind), same, threshold)
+                yield from out.to_batches()
 
-    return lefts.groupBy(*keys).cogroup(rights.groupBy(*keys)).applyInArrow(run, "kind int, a long, b long")
+    return found.unionByName(met.mapInArrow(tidy(run), LINKS))
 
 
 def near_duplicates(vectors: DataFrame, threshold: float = 0.95, scratch: Scratch | None = None, id_col: str = "vec_id", vector_col: str = "embedding", tile: int = TILE) -> DataFrame:
@@ -200,17 +309,22 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, scratch: Scratc
     table gives an empty result.
     """
     scratch = scratch or Scratch(vectors.sparkSession, "cosine")
-    rows = scratch.save(packed(vectors, id_col, vector_col), "packed")
-    points = scratch.save(distinct_vectors(rows), "points")
-    placed = place_in_cells(points, threshold, scratch)
-    found = scratch.save(compare_cells(placed, threshold, tile), "found")
+    kind = kept_kind(vectors, vector_col)
+    every = packed(vectors, id_col, vector_col, kind)
+    # vectors are written once, for the points; rows find theirs by 128 bits of a SHA-256
+    mark = F.substring(F.unhex(F.sha2("vec", 256)), 1, 16).alias("mark")
+    rows = scratch.save(every.select("vec_id", mark), "rows")
+    points = scratch.save(distinct_vectors(every), "points")
+    placed = place_in_cells(points, threshold, scratch, most_copies=MOST_COPIES, kind=kind)
+    found = scratch.save(compare_cells(placed, threshold, scratch, tile, kind), "found")
+    marks = points.select("id", "copies", mark)
     named = components(found.where("kind = 0").select("a", "b"), scratch)
     linked = found.where("kind = 1").groupBy("a").agg(F.sum("b").alias("others"))
     groups = (
-        points.join(linked, points["id"] == linked["a"], "left").join(named, points["id"] == named["node"], "left")
-        .select("vec", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "id").alias("component_id"))
+        marks.join(linked, F.col("id") == F.col("a"), "left").join(named, F.col("id") == F.col("node"), "left")
+        .select("mark", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "id").alias("component_id"))
     )
-    usable = F.col("vec").isNotNull() & F.col("vec_id").isNotNull()
-    joined = rows.where(usable).join(groups, "vec").select("vec_id", "n_links", "component_id")
+    usable = F.col("mark").isNotNull() & F.col("vec_id").isNotNull()
+    joined = rows.where(usable).join(groups, "mark").select("vec_id", "n_links", "component_id")
     lone = rows.where(~usable).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return joined.unionByName(lone).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))

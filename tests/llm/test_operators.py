@@ -496,6 +496,38 @@ def test_scratch_is_written_and_dropped(spark):
         spark.read.parquet(kept._scratch_path)
 
 
+def test_rows_without_clusters_are_dealt_once(spark):
+    rng = np.random.default_rng(21)
+    x = rng.normal(size=(1500, 24))
+    x = np.concatenate([x, x[:200] + rng.normal(size=(200, 24)) * 0.2]).astype(np.float32)
+    df = vectors(spark, [(i, v.tolist()) for i, v in enumerate(x)])
+    df = df.withColumn("embedding", F.col("embedding").cast("array<float>"))
+    assert cosine.kept_kind(df) is np.float32
+    scratch = Scratch(spark, "once")
+    points = scratch.save(cosine.distinct_vectors(cosine.packed(df, kind=np.float32)), "points")
+    placed = cosine.place_in_cells(points, 0.95, scratch, most_copies=cosine.MOST_COPIES, kind=np.float32)
+    assert placed.count() == len(x)
+    found = cosine.compare_cells(placed, 0.95, scratch, 100, np.float32)
+    assert "CartesianProduct" in found._jdf.queryExecution().executedPlan().toString()
+    u = x.astype(np.float64)
+    u /= np.linalg.norm(u, axis=1, keepdims=True)
+    hit = u @ u.T >= 0.95
+    np.fill_diagonal(hit, False)
+    count = dict(enumerate(hit.sum(axis=1).tolist()))
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in cosine.near_duplicates(df, 0.95, tile=100).collect()}
+    want = parts(count, [(int(a), int(b)) for a, b in np.argwhere(hit) if a < b])
+    assert sum(count.values()) > 200 and got == {i: (count[i], want[i]) for i in count}
+
+
+def test_a_cell_of_one_row_and_many_visitors(spark):
+    rng = np.random.default_rng(22)
+    v = rng.normal(size=6)
+    rows = [(i, (v + rng.normal(size=6) * 0.01).tobytes(), i == 7) for i in range(60)]
+    placed = spark.createDataFrame(rows, "id long, vec binary, own boolean").selectExpr("id", "1L as copies", "vec", "'48.0' as cell", "own")
+    found = cosine.compare_cells(placed, 0.95, Scratch(spark, "visitors"), 8)
+    assert [(r["a"], r["b"]) for r in found.where("kind = 1").groupBy("a").agg(F.sum("b").alias("b")).collect()] == [(7, 59)]
+
+
 def test_words_of_earlier_tasks_are_not_encoded_again(monkeypatch):
     bpe_50k = bpe.PrefixEncoder(vocabulary("byte_bpe_50k.json"))
     monkeypatch.setattr(bpe, "encoder", lambda path: bpe_50k)
