@@ -196,7 +196,7 @@ def mixed_documents(docs: DataFrame, scratch: Scratch | None = None, block: int
     """
     scratch = scratch or Scratch(docs.sparkSession, "mixed")
     # the documents travel as one struct, so that no column of theirs meets a helper's name
-    rows = scratch.save(docs.select(F.struct(*docs.columns).alias("doc"), F.monotonically_increasing_id().alias("row")), "rows")
+    rows = scratch.save(docs.select(F.struct(*docs.columns).alias("doc"), F.monotonically_increasing_id().alias("row")), "rows", "zstd")
     mix = Mix(scratch.save(sized_documents(rows.select("doc.doc_id", "doc.text", "doc.source", "row"), F.col("row")), "sized"), scratch, block)
     taken = mix.pieces.join(mix.turns, ["source_no", "index"])
     each = taken.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("turns").cast("int"))))

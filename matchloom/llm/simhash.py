@@ -319,7 +319,7 @@ def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None
     columns = words + ["n_shingles"] * (ratio > 0)
     ones = sum((F.bit_count(c) for c in words[1:]), F.bit_count("w0")).cast("long").alias("ones")
     if ratio > 0:
-        grouped = points.select("id", *columns, F.posexplode("bands").alias("choice", "value"))
+        grouped = points.select("id", F.posexplode("bands").alias("choice", "value"))
     elif blocks is not None:
         grouped = points.select("id", *columns, ones, _block_keys(radius, blocks).alias("g")).select("id", *columns, "ones", "g.choice", "g.value")
     else:
@@ -330,7 +330,11 @@ def forest(points: DataFrame, radius: int, tile: int = 16384, blocks: int | None
         sizes = table.column("n_shingles").to_numpy() if ratio > 0 else None
         return tile_forest(bits, table.column("id").to_numpy(), table.column("side").to_numpy(), lone, radius, sizes, ratio)
 
-    dealt = deal_tiles(grouped, columns, tile, scratch, None if ratio > 0 else radius)
+    if ratio > 0:
+        # most bands are no one else's: fingerprints follow only to the rows that meet another
+        dealt = deal_tiles(grouped, [], tile, scratch).join(points.select("id", *columns), "id")
+    else:
+        dealt = deal_tiles(grouped, columns, tile, scratch, radius)
     return dealt.repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS).mapInArrow(tidy(over_tiles(compare)), LINKS).distinct()
 
 

@@ -3,6 +3,7 @@ left when the training-data operators are taken out."""
 
 import hashlib
 import itertools
+import pathlib
 import re
 import shutil
 import subprocess
@@ -115,3 +116,20 @@ def test_the_rest_works_without_the_operators(tmp_path):
     shutil.copytree(ROOT, copy, ignore=shutil.ignore_patterns(".git", "llm", "corpus_pipeline.py", "__pycache__"))
     code = "import __spark_entry__ as e; assert len(e.queries()) > 90 and not any(k.startswith('op') or k == 'pipeline' for k in e.queries()) and set(e.oracle_sql()) <= set(e.queries())"
     subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, env={"PATH": "/usr/bin:/bin"})
+
+
+def test_tables_of_the_near_duplicate_stage_go_with_it(spark, monkeypatch):
+    made = []
+
+    class Seen(corpus_pipeline.Scratch):
+        def __init__(self, *args):
+            super().__init__(*args)
+            made.append(self)
+
+    monkeypatch.setattr(corpus_pipeline, "Scratch", Seen)
+    line = "one two three four five six seven eight nine ten eleven twelve"
+    rows = [(1, line), (2, line), (2, line + " more"), (3, "some other text that is like none of these"), (None, line)]
+    kept = corpus_pipeline.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "")
+    left = [p.name.split("-")[1] for s in made for p in pathlib.Path(s.root.removeprefix("file://")).iterdir()]
+    assert sorted(left) == ["gone", "once"]
+    assert sorted(kept.collect(), key=str) == [(1, line), (3, rows[3][1]), (None, line)]
