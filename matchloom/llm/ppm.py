@@ -81,7 +81,12 @@ def word_keys(rows: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 def distinct(keys: np.ndarray) -> np.ndarray:
     """Sorted distinct keys, by sorting (np.unique hashes plain integers, which is slower)."""
     keys = np.sort(keys)
-    return keys[np.concatenate([[True], keys[1:] != keys[:-1]])] if len(keys) else keys
+    return keys[run_starts(keys)]
+
+
+def run_starts(keys: np.ndarray) -> np.ndarray:
+    """Where each run of equal sorted keys begins."""
+    return np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]])) if len(keys) else np.zeros(0, np.int64)
 
 
 def pack(values: np.ndarray) -> bytes:
@@ -124,24 +129,38 @@ def shorter(grams: np.ndarray) -> np.ndarray:
 
 
 class Tally:
-    """Distinct keys of a batch with the count of those in training texts."""
+    """Distinct keys of a batch with the count of those in training texts. Parts of like size are
+    merged as they come, so that little more is held than the distinct keys."""
 
     def __init__(self):
         self.parts: list[tuple[np.ndarray, np.ndarray]] = []
 
     def add(self, keys: np.ndarray, learn: np.ndarray) -> None:
-        seen, counts = np.unique(keys[learn], return_counts=True)
-        other = distinct(keys[~learn])
-        self.parts.append((seen, counts.astype(np.int64)))
-        self.parts.append((other, np.zeros(len(other), np.int64)))
+        for chosen, weight in ((keys[learn], 1), (keys[~learn], 0)):
+            chosen.sort()
+            first = run_starts(chosen)
+            # a batch holds far less than 2^32 bytes besides one text, and a text less than 2^31
+            counts = np.diff(first, append=len(chosen)).astype(np.uint32) * np.uint32(weight)
+            self.parts.append((chosen[first], counts))
+            del chosen, first, counts
+            while len(self.parts) > 1 and 2 * len(self.parts[-1][0]) >= len(self.parts[-2][0]):
+                self.merge()
+
+    def merge(self) -> None:
+        (keys, counts), (more, n) = self.parts.pop(), self.parts.pop()
+        keys, counts = np.concatenate([keys, more]), np.concatenate([counts, n])
+        del more, n
+        order = np.argsort(keys, kind="stable")
+        keys = keys[order]
+        counts = counts[order]
+        del order
+        first = run_starts(keys)
+        self.parts.append((keys[first], np.add.reduceat(counts, first, dtype=np.uint32) if len(first) else counts))
 
     def total(self) -> tuple[np.ndarray, np.ndarray]:
-        keys = np.concatenate([k for k, _ in self.parts])
-        counts = np.concatenate([c for _, c in self.parts])
-        order = np.argsort(keys, kind="stable")
-        keys, counts = keys[order], counts[order]
-        first = np.flatnonzero(np.diff(keys, prepend=keys[:1] + np.uint64(1))) if len(keys) else np.zeros(0, np.int64)
-        return keys[first], np.add.reduceat(counts, first) if len(first) else counts
+        while len(self.parts) > 1:
+            self.merge()
+        return self.parts.pop() if self.parts else (np.zeros(0, np.uint64), np.zeros(0, np.uint32))
 
 
 def text_rows(column: pa.Array) -> tuple[list[bytes], np.ndarray]:
@@ -180,25 +199,32 @@ def unpack_rows(blob: bytes) -> pa.Table:
 
 
 def list_batches(batches, borders: np.ndarray, batch_bytes: int, first: int):
-    """Of each batch its rows, and the blobs for every range. Batches are numbered from ``first``."""
+    """Of each batch its rows, and the blobs for every range. Batches are numbered from ``first``.
+    The blobs of the texts, the grams and the words leave one after the other."""
     for batch_id, table in enumerate(cut_batches(batches, batch_bytes), first):
-        grams, words, none = Tally(), Tally(), None
-        for text, learn in zip(table.column(1).chunks, table.column(2).chunks):
-            rows, offsets = text_rows(text)
-            flags = learn.to_numpy(zero_copy_only=False)
-            for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
-                for make, tally in ((gram_keys, grams), (word_keys, words)):
-                    keys, sizes = make(rows[lo:hi])
+        yield blob_rows(batch_id, [(TEXT, 0, None, None, pack_rows(table))])
+        for kind, make, ranged in ((GRAM, gram_keys, lambda k: gram_range(k, borders)), (WORD, word_keys, lambda k: word_range(k, len(borders) + 1))):
+            tally = Tally()
+            for text, learn in zip(table.column(1).chunks, table.column(2).chunks):
+                data, offsets = utf8_view(text)
+                flags = learn.to_numpy(zero_copy_only=False)
+                for lo, hi in byte_chunks(offsets, CHUNK_BYTES):
+                    keys, sizes = make([data[a:b].tobytes() for a, b in zip(offsets[lo:hi].tolist(), offsets[lo + 1 : hi + 1].tolist())])
                     tally.add(keys, np.repeat(flags[lo:hi], sizes))
-        out = [(TEXT, 0, none, none, pack_rows(table))]
-        for kind, tally, ranged in ((GRAM, grams, lambda k: gram_range(k, borders)), (WORD, words, lambda k: word_range(k, len(borders) + 1))):
+                    del keys
             keys, counts = tally.total()
             groups = ranged(keys)
             at = np.flatnonzero(np.diff(groups, prepend=-1)).tolist()
-            out += [(kind, int(groups[a]), pack_sorted(keys[a:b]), pack(counts[a:b]), none) for a, b in zip(at, [*at[1:], len(keys)])]
-        kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
-        columns = [pa.array(c, t) for c, t in zip(zip(*out), kinds)]
-        yield pa.RecordBatch.from_arrays([pa.array([batch_id] * len(out), pa.int64()), *columns], names=["batch", "kind", "grp", "keys", "counts", "texts"])
+            yield blob_rows(batch_id, [(kind, int(groups[a]), pack_sorted(keys[a:b]), pack(counts[a:b]), None) for a, b in zip(at, [*at[1:], len(keys)])])
+            del keys, counts, groups
+        del table
+        give_back()
+
+
+def blob_rows(batch_id: int, rows: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.binary())
+    columns = [pa.array(c, t) for c, t in zip(zip(*rows), kinds)]
+    return pa.RecordBatch.from_arrays([pa.array([batch_id] * len(rows), pa.int64()), *columns], names=["batch", "kind", "grp", "keys", "counts", "texts"])
 
 
 def by_key(batches, key: str):
@@ -308,7 +334,7 @@ def merge_ranges(batches, borders: np.ndarray):
     for slot, parts in by_key(batches, "slot"):
         table = pa.Table.from_batches(parts)
         lists = [unpack_sorted(b) for b in table.column("keys").to_pylist()]
-        counts = np.concatenate([unpack(b, np.int64) for b in table.column("counts").to_pylist()])
+        counts = np.concatenate([unpack(b, np.uint32) for b in table.column("counts").to_pylist()])
         keys, of = np.unique(np.concatenate(lists), return_inverse=True)
         total = np.bincount(of, counts, len(keys)).astype(np.int64)
         words = int(slot) >> 32 == WORD

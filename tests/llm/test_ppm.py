@@ -2,9 +2,12 @@
 
 import math
 import random
+import tracemalloc
 import zlib
 from collections import Counter, defaultdict
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -90,3 +93,23 @@ def test_empty_table_and_no_training(spark):
     one = spark.createDataFrame([(None, "ab"), (3, None)], "doc_id long, text string")
     rows = {r["doc_id"]: r for r in ppm.score_documents(one, F.lit(False)).collect()}
     assert rows[None]["score"] == pytest.approx(3 * -math.log10(256)) and rows[3]["n_tokens"] == 1 and rows[3]["base_score"] == 0
+
+
+def test_lists_of_a_batch_need_room_for_distinct_grams_only(monkeypatch):
+    rng = random.Random(3)
+    texts = ["".join(rng.choice("abcdefgh ") for _ in range(4000)) for _ in range(32)] * 16
+    learn = [i % 3 > 0 for i in range(len(texts))]
+    rows = pa.RecordBatch.from_arrays([pa.array(range(len(texts)), pa.int64()), pa.array(texts), pa.array(learn)], names=["doc_id", "text", "learned"])
+    monkeypatch.setattr(ppm, "CHUNK_BYTES", 1 << 17)
+    tracemalloc.start()
+    out = [r for b in ppm.list_batches(iter([rows]), np.zeros(0, np.uint64), 4 << 20, 0) for r in b.to_pylist()]
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 12 * sum(map(len, texts))
+    (grams,) = [r for r in out if r["kind"] == ppm.GRAM]
+    want = Counter()
+    for text, use in zip(texts, learn):
+        keys, counts = np.unique(ppm.gram_keys([text.encode()])[0], return_counts=True)
+        want.update(dict(zip(keys.tolist(), (counts * use).tolist())))
+    got = dict(zip(ppm.unpack_sorted(grams["keys"]).tolist(), ppm.unpack(grams["counts"], np.uint32).tolist()))
+    assert got == want
