@@ -2,10 +2,13 @@
 
 import math
 
+from conftest import SF
+from matchloom import registry
 from matchloom.edges import arcs, ordered_edges
 from matchloom.functions import measures
 from matchloom.operators import adjacency, baselines, crew
 from matchloom.operators.localmax import local_max
+from matchloom.sources import graphs
 from matchloom.storage import Scratch
 from test_local_max import edges_of, frame, random_graph
 
@@ -73,3 +76,33 @@ def test_bound_ratio_is_half_or_more(spark):
 def test_doubling_ratios_by_hand(spark):
     rows = measures.doubling_ratio(spark.createDataFrame([(1, 8.0), (2, 4.0), (4, 2.5)], "p int, seconds double")).orderBy("p").collect()
     assert [(r["ratio"], r["speedup"], r["efficiency"]) for r in rows] == [(None, 1.0, 1.0), (2.0, 2.0, 1.0), (1.6, 3.2, 0.8)]
+
+
+def test_noise_is_no_expression_of_the_sort(spark):
+    class Kept:
+        def save(self, df, name):
+            return df
+
+    for ties in ("portable", "static", "id"):
+        plan = ordered_edges(frame(spark, random_graph(4, n=9, m=12)), Kept(), ties)._jdf.queryExecution().optimizedPlan().toString()
+        (line,) = [x for x in plan.splitlines() if "Sort [" in x]
+        assert "md5" not in line and "xxhash64" not in line
+
+
+def test_pairs_of_few_points_are_many_tasks(spark):
+    edges = graphs.rgg_events(spark, SF, True)
+    held = Scratch(spark, "held").save(edges.select("u"), "edges")
+    assert len(held.inputFiles()) >= spark.sparkContext.defaultParallelism // 2
+
+
+def test_sweep_runs_each_matching_to_its_end(spark, monkeypatch):
+    seen = []
+
+    def kept(edges, **options):
+        seen.append(local_max(edges, **options))
+        return seen[-1]
+
+    monkeypatch.setattr(registry, "local_max", kept)
+    monkeypatch.setattr(registry, "SWEEP_FINISH", 0, raising=False)
+    assert [p for p, _ in registry.timed_parts(spark, SF, most=2)] == [1, 2]
+    assert len(seen) == 2 and all(r.is_maximal() for r in seen) and edges_of(seen[0]) == edges_of(seen[1])
