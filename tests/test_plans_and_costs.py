@@ -2,6 +2,7 @@
 
 import math
 
+import numpy as np
 from conftest import SF
 from matchloom import registry
 from matchloom.edges import arcs, ordered_edges
@@ -106,3 +107,14 @@ def test_sweep_runs_each_matching_to_its_end(spark, monkeypatch):
     monkeypatch.setattr(registry, "SWEEP_FINISH", 0, raising=False)
     assert [p for p, _ in registry.timed_parts(spark, SF, most=2)] == [1, 2]
     assert len(seen) == 2 and all(r.is_maximal() for r in seen) and edges_of(seen[0]) == edges_of(seen[1])
+
+
+def test_gram_edges_are_made_once_and_as_if_summed_in_order(spark):
+    assert all("/gram-" in f for f in graphs.gram(spark, SF).inputFiles())
+    rng = np.random.default_rng(8)
+    # products of whole thousandths lie on the border of two weights
+    for a, b in ((rng.normal(size=(40, 64)), rng.normal(size=(50, 64))), (rng.integers(-3, 4, (40, 64)) / 1000.0, rng.integers(-3, 4, (50, 64)) / 1000.0)):
+        total = np.zeros((40, 50))
+        for k in range(64):
+            total += a[:, k][:, None] * b[:, k][None, :]
+        assert (graphs.floored_products(a, b) == np.floor(np.abs(total) * graphs.STEPS)).all()
