@@ -7,7 +7,7 @@ from conftest import SF
 from matchloom import registry
 from matchloom.edges import arcs, ordered_edges
 from matchloom.functions import measures
-from matchloom.operators import adjacency, baselines, crew
+from matchloom.operators import adjacency, baselines, coarsen, crew
 from matchloom.operators.localmax import local_max
 from matchloom.sources import graphs
 from matchloom.storage import Scratch
@@ -118,3 +118,11 @@ def test_gram_edges_are_made_once_and_as_if_summed_in_order(spark):
         for k in range(64):
             total += a[:, k][:, None] * b[:, k][None, :]
         assert (graphs.floored_products(a, b) == np.floor(np.abs(total) * graphs.STEPS)).all()
+
+
+def test_rating_joins_only_what_it_asks_for(spark):
+    edges = frame(spark, [(1, 2, 6), (2, 3, 4)])
+    weights = spark.createDataFrame([(1, 1), (2, 2), (3, 1)], "vertex long, c long")
+    rated = coarsen.rate_edges(edges, weights, "expansion2")
+    assert {(r["u"], r["v"]): r["rating"] for r in rated.collect()} == {(1, 2): 18_000_000, (2, 3): 8_000_000}
+    assert rated._jdf.queryExecution().optimizedPlan().toString().count("Join ") == 2
