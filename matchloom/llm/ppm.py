@@ -21,11 +21,13 @@ counts. Lists travel as one compressed blob for each batch and range, never as o
 
 from __future__ import annotations
 
+from contextlib import contextmanager
+
 import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark import TaskContext
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from .storage import Scratch
 from .textkernels import LOWER, byte_chunks, give_back, tidy, utf8_view
@@ -34,7 +36,11 @@ ORDER = 6
 #: Two bytes that no UTF-8 text holds stand for the start and the end of a text.
 START, END = 0xFE, 0xFF
 BATCH_BYTES = 10 << 20
-CHUNK_BYTES = 2 << 20
+#: Text whose grams are held at once, and keys that are merged or placed at once.
+CHUNK_BYTES = 1 << 19
+PIECE = 1 << 17
+#: Rows that Spark hands to Python at once.
+ARROW_BYTES = 2 << 20
 #: Text for each range of keys, and the most ranges (their borders are held in memory).
 RANGE_BYTES = 4 << 20
 MOST_RANGES = 1 << 20
@@ -137,6 +143,8 @@ class Tally:
 
     def add(self, keys: np.ndarray, learn: np.ndarray) -> None:
         for chosen, weight in ((keys[learn], 1), (keys[~learn], 0)):
+            if not len(chosen):
+                continue
             chosen.sort()
             first = run_starts(chosen)
             # a batch holds far less than 2^32 bytes besides one text, and a text less than 2^31
@@ -147,15 +155,20 @@ class Tally:
                 self.merge()
 
     def merge(self) -> None:
-        (keys, counts), (more, n) = self.parts.pop(), self.parts.pop()
-        keys, counts = np.concatenate([keys, more]), np.concatenate([counts, n])
-        del more, n
-        order = np.argsort(keys, kind="stable")
-        keys = keys[order]
-        counts = counts[order]
-        del order
-        first = run_starts(keys)
-        self.parts.append((keys[first], np.add.reduceat(counts, first, dtype=np.uint32) if len(first) else counts))
+        """Merge the last two parts, PIECE keys of the longer one at a time."""
+        (more, n), (keys, counts) = sorted((self.parts.pop(), self.parts.pop()), key=lambda p: len(p[0]))
+        merged, sums, size = np.empty(len(keys) + len(more), np.uint64), np.empty(len(keys) + len(more), np.uint32), 0
+        ends = [0, *np.searchsorted(more, keys[PIECE::PIECE]).tolist(), len(more)]
+        for lo, a, b in zip(range(0, len(keys), PIECE), ends[:-1], ends[1:]):
+            some = np.concatenate([keys[lo : lo + PIECE], more[a:b]])
+            order = np.argsort(some, kind="stable")
+            some = some[order]
+            first = run_starts(some)
+            to = size + len(first)
+            merged[size:to] = some[first]
+            sums[size:to] = np.add.reduceat(np.concatenate([counts[lo : lo + PIECE], n[a:b]])[order], first, dtype=np.uint32)
+            size = to
+        self.parts.append((merged[:size], sums[:size]))
 
     def total(self) -> tuple[np.ndarray, np.ndarray]:
         while len(self.parts) > 1:
@@ -187,10 +200,10 @@ def cut_batches(batches, batch_bytes: int):
         yield pa.Table.from_batches(held)
 
 
-def pack_rows(table: pa.Table) -> bytes:
+def pack_rows(rows: pa.RecordBatch) -> bytes:
     sink = pa.BufferOutputStream()
-    with pa.ipc.new_stream(sink, table.schema) as out:
-        out.write_table(table)
+    with pa.ipc.new_stream(sink, rows.schema) as out:
+        out.write_batch(rows)
     return zstandard.compress(sink.getvalue(), 3)
 
 
@@ -199,10 +212,13 @@ def unpack_rows(blob: bytes) -> pa.Table:
 
 
 def list_batches(batches, borders: np.ndarray, batch_bytes: int, first: int):
-    """Of each batch its rows, and the blobs for every range. Batches are numbered from ``first``.
-    The blobs of the texts, the grams and the words leave one after the other."""
+    """Of each batch its rows, in numbered blobs of about CHUNK_BYTES, and the blobs for every range.
+    Batches are numbered from ``first``. The blobs of the texts, the grams and the words leave one
+    after the other."""
     for batch_id, table in enumerate(cut_batches(batches, batch_bytes), first):
-        yield blob_rows(batch_id, [(TEXT, 0, None, None, pack_rows(table))])
+        pieces = (b.slice(lo, hi - lo) for b in table.to_batches() for lo, hi in byte_chunks(utf8_view(b.column(1))[1], CHUNK_BYTES))
+        for number, piece in enumerate(pieces):
+            yield blob_rows(batch_id, [(TEXT, number, None, None, pack_rows(piece))])
         for kind, make, ranged in ((GRAM, gram_keys, lambda k: gram_range(k, borders)), (WORD, word_keys, lambda k: word_range(k, len(borders) + 1))):
             tally = Tally()
             for text, learn in zip(table.column(1).chunks, table.column(2).chunks):
@@ -383,12 +399,14 @@ class Lookup:
         self.bits = max(4, int(np.ceil(np.log2(max(len(keys), 1) * 2.5))))
         self.slot = np.full(1 << self.bits, -1, np.int32)
         self.keys = keys
-        todo, at = np.arange(len(keys), dtype=np.int32), self.home(keys)
-        while len(todo):
-            free = self.slot[at] < 0
-            self.slot[at[free]] = todo[free]
-            lost = self.slot[at] != todo
-            todo, at = todo[lost], (at[lost] + 1) & ((1 << self.bits) - 1)
+        for lo in range(0, len(keys), PIECE):
+            at = self.home(keys[lo : lo + PIECE])
+            todo = np.arange(lo, lo + len(at), dtype=np.int32)
+            while len(todo):
+                free = self.slot[at] < 0
+                self.slot[at[free]] = todo[free]
+                lost = self.slot[at] != todo
+                todo, at = todo[lost], (at[lost] + 1) & ((1 << self.bits) - 1)
 
     def home(self, keys: np.ndarray) -> np.ndarray:
         return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - self.bits)).astype(np.int64)
@@ -413,7 +431,11 @@ def score_batch(texts: list[pa.Array], answers: list[tuple[int, int, bytes]], to
     for kind, make in ((GRAM, gram_keys), (WORD, word_keys)):
         chunks = list(byte_chunks(offsets, CHUNK_BYTES))
         made = [make(rows[lo:hi]) for lo, hi in chunks] if kind == WORD else None  # grams take too much room
-        asked = distinct(np.concatenate([distinct((made[c] if made else make(rows[lo:hi]))[0]) for c, (lo, hi) in enumerate(chunks)]))
+        tally = Tally()
+        for c, (lo, hi) in enumerate(chunks):
+            keys, _ = made[c] if made else make(rows[lo:hi])
+            tally.add(keys, np.zeros(len(keys), bool))
+        asked = tally.total()[0]
         blobs = sorted((g, v) for k, g, v in answers if k == kind)
         values = np.concatenate([unpack(v, np.float32 if kind == GRAM else np.int64) for _, v in blobs])
         if len(values) != len(asked):
@@ -449,12 +471,14 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     def list_all(batches):
         yield from list_batches(batches, borders, batch_bytes, TaskContext.get().partitionId() * TASK_BATCHES)
 
-    # texts and lists lie apart, so that the lists can go as soon as they are answered
+    # texts and lists lie apart, so that the lists can go as soon as they are answered; the blobs are
+    # compressed, and pages of a few of them need no large buffers
     made = rows.mapInArrow(tidy(list_all), ASKED)
     path = f"{scratch.root}/asked"
-    made.withColumn("part", (F.col("kind") == TEXT).cast("int")).write.partitionBy("part").parquet(path)
+    with small_batches(docs.sparkSession):
+        made.withColumn("part", (F.col("kind") == TEXT).cast("int")).write.partitionBy("part").option("parquet.page.size.row.check.min", 8).parquet(path, compression="uncompressed")
     whole = docs.sparkSession.read.schema(f"{ASKED}, part int").parquet(path)
-    asked, texts = whole.where("part = 0"), whole.where("part = 1").select("batch", "texts")
+    asked, texts = whole.where("part = 0"), whole.where("part = 1").select("batch", "grp", "texts")
     asked._scratch_path = f"{path}/part=0"
     slot = (F.col("kind").cast("long") * (1 << 32) + F.col("grp")).alias("slot")
 
@@ -464,18 +488,20 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
     # as many tasks as ranges, so that no task grows with the input
     tasks = 2 * (len(borders) + 1)
     lists = asked.select(slot, "batch", "keys", "counts")
-    totals = scratch.save(lists.select("slot", "keys", "counts").repartition(tasks, "slot").sortWithinPartitions("slot").mapInArrow(tidy(merge_all), TOTALS), "totals")
+    totals = scratch.save(lists.select("slot", "keys", "counts").repartition(tasks, "slot").sortWithinPartitions("slot").mapInArrow(tidy(merge_all), TOTALS), "totals", "uncompressed")
     known = totals.agg(F.sum("tokens"), F.sum("types")).first()
     tokens, types = int(known[0] or 0), int(known[1] or 0)
     across = border_contexts(totals, borders, scratch).withColumn("batch", F.lit(-2).cast("long") - F.col("length"))
     both = lists.unionByName(totals.select("slot", F.lit(-1).cast("long").alias("batch"), "keys", "counts"))
     both = both.unionByName(across.select("slot", "batch", "grams", "sums"), allowMissingColumns=True)
     answers = both.repartition(tasks, "slot").sortWithinPartitions("slot")
-    answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary"), "answers")
+    answers = scratch.save(answers.mapInArrow(tidy(answer_ranges), "batch long, kind int, grp long, vals binary"), "answers", "uncompressed")
     scratch.drop(asked, totals)
 
     def join_batch(left: pa.Table, right: pa.Table) -> pa.Table:
-        held = unpack_rows(left.column("texts")[0].as_py())
+        blobs = sorted(zip(left.column("grp").to_pylist(), left.column("texts").to_pylist()))
+        held = pa.concat_tables([unpack_rows(blob) for _, blob in blobs])
+        del blobs
         values = score_batch(held.column("text").chunks, list(zip(*(right.column(c).to_pylist() for c in ("kind", "grp", "vals")))), tokens, types)
         give_back()
         return pa.table({
@@ -484,11 +510,23 @@ def score_documents(docs: DataFrame, learn: Column, scratch: Scratch | None = No
         })
 
     ddl = "doc_id long, learned boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    batches = max(1, texts.count())  # each has one row
+    batches = max(1, texts.where("grp = 0").count())
     left, right = (t.repartition(batches, "batch").groupBy("batch") for t in (texts, answers))
     return left.cogroup(right).applyInArrow(join_batch, ddl)
 
 
+@contextmanager
+def small_batches(spark: SparkSession):
+    """Meanwhile Python gets rows by ARROW_BYTES. Spark's own bound is 64 MB and its buffers double as they fill."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, str(ARROW_BYTES))
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if before is None else spark.conf.set(name, before)
+
+
 def gram_borders(rows: DataFrame, size: int, range_bytes: int) -> np.ndarray:
     """Keys that cut the grams into ranges, from a share of the grams of a sample of the rows."""
     ranges = min(MOST_RANGES, -(-size // range_bytes))
@@ -506,7 +544,8 @@ def gram_borders(rows: DataFrame, size: int, range_bytes: int) -> np.ndarray:
                 yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64))], names=["key"])
 
     shares = [F.lit(k / ranges) for k in range(1, ranges)]
-    found = sample.select("text").mapInArrow(tidy(some), "key long").agg(F.percentile_approx("key", F.array(*shares), F.lit(max(10_000, 4 * ranges)))).first()[0]
+    with small_batches(rows.sparkSession):
+        found = sample.select("text").mapInArrow(tidy(some), "key long").agg(F.percentile_approx("key", F.array(*shares), F.lit(max(10_000, 4 * ranges)))).first()[0]
     return np.unique(np.array(found or [], np.int64)).astype(np.uint64)
 
 

@@ -113,3 +113,54 @@ def test_lists_of_a_batch_need_room_for_distinct_grams_only(monkeypatch):
         want.update(dict(zip(keys.tolist(), (counts * use).tolist())))
     got = dict(zip(ppm.unpack_sorted(grams["keys"]).tolist(), ppm.unpack(grams["counts"], np.uint32).tolist()))
     assert got == want
+
+
+def test_scoring_a_batch_needs_little_room_beside_its_texts():
+    rng = np.random.default_rng(11)
+    letters = np.frombuffer(b"abcdefghijklmnopqrstuvwxyz     ", np.uint8)
+    some = [letters[rng.integers(0, len(letters), 4096)].tobytes().decode() for _ in range(256)]
+    texts = pa.array(some * 4)
+    size = sum(map(len, some)) * 4
+    answers = []
+    for kind, make, dtype in ((ppm.GRAM, ppm.gram_keys, np.float32), (ppm.WORD, ppm.word_keys, np.int64)):
+        n = len(np.unique(make([t.encode() for t in some])[0]))
+        answers.append((kind, 0, ppm.pack(np.ones(n, dtype))))
+    tracemalloc.start()
+    known, total, _, score = (ppm.score_batch([texts], answers, 1, 1)[k] for k in (1, 0, 2, 3))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 20 * size
+    assert (known == total).all() and (score == 4097).all() and total.tolist() == [len(t.split()) + 1 for t in some * 4]
+
+
+def test_texts_of_a_batch_leave_in_small_blobs(spark):
+    texts = [f"{i} " + "ab c" * 8000 for i in range(60)]
+    learn = [i % 3 > 0 for i in range(len(texts))]
+    rows = pa.RecordBatch.from_arrays([pa.array(range(len(texts)), pa.int64()), pa.array(texts), pa.array(learn)], names=["doc_id", "text", "learned"])
+    out = [r for b in ppm.list_batches(iter([rows]), np.zeros(0, np.uint64), 4 << 20, 0) for r in b.to_pylist()]
+    held = [ppm.unpack_rows(r["texts"]) for r in out if r["kind"] == ppm.TEXT]
+    assert max(t.nbytes for t in held) < 1 << 20
+    assert pa.concat_tables(held).to_pylist() == rows.to_pylist()
+
+    df = spark.createDataFrame([(i, t, u) for i, (t, u) in enumerate(zip(texts, learn))], "doc_id long, text string, u boolean").coalesce(1)
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name, None)
+    wide, narrow = (sorted(tuple(r) for r in ppm.score_documents(df, F.col("u"), batch_bytes=n).collect()) for n in (4 << 20, 40_000))
+    assert spark.conf.get(name, None) == before
+    assert len(wide) == len(narrow) == len(texts)
+    assert all(a[:-1] == b[:-1] and a[-1] == pytest.approx(b[-1], rel=1e-9) for a, b in zip(wide, narrow))
+
+
+def test_parts_of_a_tally_merge_by_pieces(monkeypatch):
+    monkeypatch.setattr(ppm, "PIECE", 5)
+    rng = np.random.default_rng(2)
+    tally, want = ppm.Tally(), Counter()
+    for size in (40, 3, 0, 25, 11, 1):
+        keys, learn = rng.integers(0, 60, size).astype(np.uint64), rng.random(size) < 0.5
+        tally.add(keys, learn)
+        for k, u in zip(keys.tolist(), learn.tolist()):
+            want[k] += u
+    keys, counts = tally.total()
+    assert keys.tolist() == sorted(want) and counts.tolist() == [want[k] for k in sorted(want)]
+    lookup = ppm.Lookup(keys)
+    assert lookup.find(keys[::-1].copy()).tolist() == list(range(len(keys)))[::-1]
