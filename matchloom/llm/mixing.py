@@ -116,6 +116,8 @@ class Mix:
         filled = scratch.save(running(filled, ["source_no", "bucket"], {"ahead": F.col("n")}, scratch), "filled")
         counts = filled.groupBy("source_no").agg(F.sum("n").alias("blocks"), F.min("ahead").alias("first"))
         bases = filled.join(counts, "source_no").select("source_no", "bucket", (F.col("ahead") - F.col("first")).alias("base"))
+        # the few rows of buckets may be broadcast, those of documents never, however small their file is
+        bases = bases.hint("broadcast" if filled.count() <= BROADCAST_ROWS else "merge")
         share = F.least(F.round(F.col("target") / F.col("source_size") * F.col("blocks")).cast("long"), MOST_TURNS * F.col("blocks"))
         quotas = self.targets.join(counts, "source_no").select("source_no", "blocks", share.alias("quota"))
         self.quotas = scratch.save(running(quotas, ["source_no"], {"lo": F.col("quota")}, scratch).withColumn("hi", F.col("lo") + F.col("quota")), "quotas")
@@ -130,7 +132,8 @@ class Mix:
             *self.placed.columns, (F.col("base") + F.col("local")).alias("index"),
             (begin - F.col("start")).alias("word_from"), (until - begin).alias("words"),
         )
-        self.turns = self.slots.groupBy("source_no", "index").agg(F.count("*").alias("turns"))
+        # slots grow out of a few short runs, by which Spark would take their blocks for a table to broadcast
+        self.turns = self.slots.groupBy("source_no", "index").agg(F.count("*").alias("turns")).hint("merge")
 
     def _spread(self, keyed: DataFrame) -> DataFrame:
         """Rows with a number ``deal`` that parts those of a doc_id with very many rows; 0 for others."""
@@ -206,7 +209,7 @@ def mixed_documents(docs: DataFrame, scratch: Scratch | None = None, block: int
         .select("row", (F.col("got") == F.col("size")).alias("whole"), "spans")
     )
     words = F.when(~F.col("whole"), F.regexp_extract_all("doc.text", F.lit(WORD), F.lit(0)))
-    joined = spans.join(rows, "row").withColumn("list", words)
+    joined = spans.hint("merge").join(rows, "row").withColumn("list", words)
     cut = F.array_join(F.flatten(F.transform("spans", lambda s: F.slice(F.col("list"), (s["word_from"] + 1).cast("int"), s["words"].cast("int")))), " ")
     out = joined.withColumn("words", F.when(F.col("whole"), F.col("doc.text")).otherwise(cut))
     values = {c: F.col(f"doc.`{c}`") for c in docs.columns}

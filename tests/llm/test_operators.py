@@ -88,6 +88,15 @@ def test_mixed_documents_hold_the_taken_words(spark):
     assert mixing.mixed_documents(df.where("false")).count() == 0 and mixing.mix_report(df.where("false")).count() == 0
 
 
+def test_mixing_broadcasts_nothing_that_grows_with_the_words(spark):
+    rows = [(i, "w " * 5000, "ab"[i % 2]) for i in range(40)]
+    for make in (mixing.mix_report, mixing.mixed_documents):
+        out = make(docs(spark, rows))
+        out.collect()
+        plan = out._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+        assert "SortMergeJoin [source_no" in plan and not re.search(r"BroadcastHashJoin \[source_no#\d+, index#|BroadcastHashJoin \[row#", plan)
+
+
 def test_mixing_by_ranges_and_with_a_hot_id(spark, monkeypatch):
     rows = [(i, t, "abcde"[i % 5]) for i, t in enumerate(texts(4, 120, 0, 60))] + [(None, "one more row", "a")] * 300
     want = sorted(map(str, mixing.mix_report(docs(spark, rows), block=8).collect()))
