@@ -157,3 +157,13 @@ def test_delaunay_around_points():
     for k in range(0, len(xy), 1000):
         partners(xy, grid, k)
     assert time.time() - began < 5  # about 15 s by all points
+
+
+def test_written_edges_are_ordered_once(spark):
+    scratch = Scratch(spark, "once")
+    edges = scratch.save(frame(spark, random_graph(5, n=20, m=60)), "edges")
+    first = ordered_edges(edges, scratch)
+    assert ordered_edges(edges, Scratch(spark, "twice")) is first
+    assert ordered_edges(edges, scratch, "static") is not first and ordered_edges(edges, scratch, seed=7) is not first
+    weights = [f(edges).weight() for f in registry.METHODS.values()]
+    assert weights == [f(frame(spark, random_graph(5, n=20, m=60))).weight() for f in registry.METHODS.values()]
