@@ -167,3 +167,26 @@ def test_written_edges_are_ordered_once(spark):
     assert ordered_edges(edges, scratch, "static") is not first and ordered_edges(edges, scratch, seed=7) is not first
     weights = [f(edges).weight() for f in registry.METHODS.values()]
     assert weights == [f(frame(spark, random_graph(5, n=20, m=60))).weight() for f in registry.METHODS.values()]
+
+
+def test_votes_name_the_winners_without_a_join(spark):
+    from matchloom.operators import localmax
+
+    live = ordered_edges(frame(spark, random_graph(6, n=30, m=90)), Scratch(spark, "votes")).withColumn("key", F.col("eid"))
+    for levels in (1, 2):
+        got, want = (f(live, [], levels).select("u", "v", "eid") for f in (localmax.winners_by_vote, localmax.winners_by_join))
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+        assert "Join" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_noise_of_the_order_is_not_shuffled(spark):
+    from matchloom import edges as module
+
+    df = frame(spark, [(u, v, w % 3) for u, v, w in random_graph(7, n=40, m=200)]).repartition(5)
+    tie = F.unhex(module.portable_tie(3))
+    placed = module.in_order(df, tie)
+    got = placed.select("u", "v", "w").collect()
+    want = df.withColumn("tie", tie).orderBy("w", F.col("tie").desc(), F.col("u").desc(), F.col("v").desc()).select("u", "v", "w").collect()
+    assert got == want
+    below = placed._jdf.queryExecution().optimizedPlan().toString().split("RepartitionByExpression")[1]
+    assert "AS tie" not in below
